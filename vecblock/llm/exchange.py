@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 
 from vecblock.llm import kernels as K
 
+#: A bucket is judged in so many turns, to bound the memory of sorting it.
+TURNS = 8
 NO_ID = np.iinfo(np.int64).max
 BLOCK = "bucket int, block binary"
 VERDICT = "doc_key long, tie int, at binary"
@@ -127,8 +129,8 @@ def _judge(decide: Decide, paired: bool):
             m = len(r)
             keys.append(k)
             ties.append(t)
-            rows.append(r + base)
-            at.append(p)
+            rows.append((r + base).astype(np.int32 if base + len(k) < 2**31 else np.int64))
+            at.append(p.astype(np.uint32))
             flags.append(f)
             hashes.append(np.frombuffer(block, np.uint64, m, 9 + n))
             if paired:
@@ -138,7 +140,14 @@ def _judge(decide: Decide, paired: bool):
         if keys:
             keys, ties, rows = np.concatenate(keys), np.concatenate(ties), np.concatenate(rows)
             at, flags, hashes = np.concatenate(at), np.concatenate(flags), np.concatenate(hashes)
-            hit = decide(hashes, np.concatenate(seconds) if paired else None, keys[rows], flags)
+            seconds = np.concatenate(seconds) if paired else None
+            # equal hashes fall into the same turn, so the turns can be judged one by one
+            hit = np.zeros(len(hashes), bool)
+            turn = ((hashes >> np.uint64(8)) % np.uint64(TURNS)).astype(np.uint8)
+            for k in range(TURNS):
+                mine = np.flatnonzero(turn == k)
+                if len(mine):
+                    hit[mine] = decide(hashes[mine], seconds[mine] if paired else None, keys[rows[mine]], flags[mine])
             got = _answer(keys, ties, rows[hit], at[hit])
             if got is not None:
                 out.append(got)

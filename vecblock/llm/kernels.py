@@ -3,7 +3,7 @@
 Words are maximal runs of bytes outside 0x20 and 0x09-0x0D.  A word's hash is a
 polynomial over its bytes taken from a prefix sum modulo 2**64, so a batch costs
 a handful of vector operations and no Python object per word.  Work proceeds in
-segments of about one megabyte: memory does not depend on the batch or on the
+segments of a quarter megabyte: memory does not depend on the batch or on the
 length of one text.
 """
 
@@ -14,7 +14,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-SEGMENT = 1 << 20
+SEGMENT = 1 << 18
 _U = np.uint64
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
