@@ -106,8 +106,8 @@ def normalized(v: Column) -> Column:
 
 def _positions(df: DataFrame, by: list[str], vec: str, agg) -> DataFrame:
     """Aggregate coordinate by coordinate and put the coordinates together again."""
-    flat = df.select(*by, F.posexplode(doubles(vec)).alias("pos", "x")).groupBy(*by, "pos").agg(agg(F.col("x")).alias("x"))
-    return flat.groupBy(*by).agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "x"))), lambda s: s["x"]).alias(vec))
+    flat = df.select(*by, F.posexplode(doubles(vec)).alias("_pos", "_x")).groupBy(*by, "_pos").agg(agg(F.col("_x")).alias("_x"))
+    return flat.groupBy(*by).agg(F.transform(F.array_sort(F.collect_list(F.struct("_pos", "_x"))), lambda s: s["_x"]).alias(vec))
 
 
 def centroid(df: DataFrame, by: list[str], vec: str = "v") -> DataFrame:

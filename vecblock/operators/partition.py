@@ -62,10 +62,10 @@ def assign(df: DataFrame, centers: np.ndarray) -> DataFrame:
 
 def lloyd_round(df: DataFrame, centers: DataFrame) -> DataFrame:
     """One round as a plain DataFrame plan: (pos, n, v) new centers from (pos, v); ties go to the lower pos."""
-    c = centers.select("pos", F.col("v").alias("c"))
+    c = centers.select(F.col("pos").cast("int").alias("pos"), F.col("v").alias("c"))
     pairs = df.select("vec_id", "v").join(F.broadcast(c), how="cross")  # the few centers beside every row
     near = pairs.groupBy("vec_id").agg(F.min_by(F.struct("pos", "v"), F.struct(M.l2_sq(F.col("v"), F.col("c")), F.col("pos"))).alias("b")).select("b.pos", "b.v")
-    return near.groupBy("pos").agg(F.count("*").alias("n")).join(M.centroid(near, ["pos"]), "pos")
+    return near.groupBy("pos").agg(F.count("*").alias("n")).join(M.centroid(near, ["pos"]).withColumnRenamed("pos", "at"), F.col("pos") == F.col("at")).drop("at")
 
 
 def kmeans(df: DataFrame, centers: DataFrame, iters: int) -> DataFrame:
