@@ -146,6 +146,12 @@ class Counter:
         return [sum(map(get, p)) + s for p, s in zip(parts, special)]
 
 
+@lru_cache(maxsize=2)
+def shared_counter(path: str) -> Counter:
+    """One counter for all tasks of a worker."""
+    return Counter(path)
+
+
 _OUT = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64()), ("over_limit", pa.bool_())])
 
 
@@ -153,7 +159,7 @@ def count_tokens(docs: DataFrame, path: str, limit: int = 2048) -> DataFrame:
     """(doc_id, n_bytes, n_tokens, over_limit) for every row; ``path`` is the vocabulary file on every machine."""
 
     def run(batches):
-        counter = Counter(path)
+        counter = shared_counter(path)
         for batch in batches:
             raw, off = K.string_buffers(batch.column("text"))
             ids = batch.column("doc_id").cast(pa.int64())

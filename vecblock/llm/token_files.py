@@ -20,6 +20,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -32,42 +33,206 @@ from vecblock.llm import kernels as K
 from vecblock.llm.shared import Stored, bucket_count
 
 LIMIT, STRIDE, BLOCK = 16, 128, 1 << 19
-CACHE = 200_000
-_WS = r"\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
-#: Pieces that byte-level pre-tokenisation always separates.
-_PIECE = re.compile(rf" ?[^{_WS}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]")
+#: Slots of a worker's piece table (14 bytes each); it is emptied when half full.
+SLOTS = 1 << 21
+#: White space beyond ASCII, and the mark of special strings: such texts go to the library whole.
+_ODD = re.compile(rb"\xc2[\x85\xa0]|\xe1\x9a\x80|\xe2\x80[\x80-\x8a\xa8\xa9\xaf]|\xe2\x81\x9f|\xe3\x80\x80|<\|")
+
+
+def piece_spans(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Byte spans that pre-tokenisation always separates: a word with one blank before it, and the rest of the white space.
+
+    A run of white space before a word gives its last blank to the word; without
+    a blank in last place that character stands alone.  What comes before it, and
+    a run at the end of a text, is one span.
+    """
+    w = K.words(raw, off)
+    s, e = w.start, w.end
+    row = np.searchsorted(off, s, "right") - 1
+    first = np.append(True, row[1:] != row[:-1])[: len(s)]
+    before = np.where(first, off[row], np.append(0, e[:-1])[: len(s)])
+    gap = s - before
+    blank = (gap > 0) & (raw[np.maximum(s - 1, 0)] == 0x20)
+    long = np.flatnonzero(gap > 1)
+    alone = np.flatnonzero((gap > 0) & ~blank)
+    last = off[:-1].copy()  # end of each text's last word
+    last[row] = e  # ascending: the last one stays
+    tail = np.flatnonzero(off[1:] > last)
+    more_s = np.concatenate([before[long], s[alone] - 1, last[tail]])
+    more_e = np.concatenate([s[long] - 1, s[alone], off[1:][tail]])
+    order = np.argsort(more_s, kind="stable")
+    more_s, more_e = more_s[order], more_e[order]
+    at = np.searchsorted(s, more_s)
+    return np.insert(s - blank, at, more_s), np.insert(e, at, more_e)
+
+
+# Classes of bytes: white space, letter, digit, other ASCII, and what only the library's own pattern settles.
+_CLASS = np.full(256, 4, np.uint8)
+_CLASS[:128] = 3
+_CLASS[[0x20, *range(0x09, 0x0E)]] = 0
+_CLASS[[*range(65, 91), *range(97, 123)]] = 1
+_CLASS[48:58] = 2
+_CLASS[39] = 4  # an apostrophe may begin a contraction
+
+
+def split_classes(raw: np.ndarray, s: np.ndarray, e: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Cut spans where letters, digits and other signs meet; (start, end, unsettled).
+
+    Letters are ASCII and the accented ones of two bytes led by 0xC3.  A span with any other
+    non-ASCII byte or an apostrophe stays whole and is unsettled.
+    """
+    kind = _CLASS[raw]
+    lead = np.flatnonzero(raw[:-1] == 0xC3)
+    sign = raw[lead + 1]
+    lead = lead[(sign != 0x97) & (sign != 0xB7)]
+    kind[lead], kind[lead + 1] = 1, 1
+    odd = np.concatenate([[0], np.cumsum(kind == 4)])
+    unsettled = odd[e] > odd[s]
+    cut = np.flatnonzero((kind[1:] != kind[:-1]) & (kind[1:] > 0) & (kind[:-1] > 0)) + 1
+    if len(cut) and len(s):
+        at = np.searchsorted(s, cut, "right") - 1
+        ok = (at >= 0) & (cut < e[at]) & (cut > s[at]) & ~unsettled[at]
+        cut, at = cut[ok], at[ok]
+        s, e, unsettled = np.insert(s, at + 1, cut), np.insert(e, at, cut), np.insert(unsettled, at + 1, False)
+    return s, e, unsettled
+
+
+class PieceTable:
+    """Hash table from 64-bit piece hashes to runs of ids, probed for whole arrays."""
+
+    def __init__(self, kind, slots: int = SLOTS):
+        self.kind, self.slots = kind, slots
+        self.clear()
+
+    def clear(self) -> None:
+        self.key = np.zeros(self.slots, np.uint64)
+        self.at = np.zeros(self.slots, np.int32)
+        self.size = np.zeros(self.slots, np.uint16)
+        self.ids = np.zeros(1 << 20, self.kind)
+        self.used = self.n = 0
+
+    def find(self, h: np.ndarray) -> np.ndarray:
+        """Slot of each hash, or -1."""
+        out = np.full(len(h), -1, np.int64)
+        open_ = np.arange(len(h))
+        slot = (h & np.uint64(self.slots - 1)).astype(np.int64)
+        while len(open_):
+            key = self.key[slot]
+            hit = key == h[open_]
+            out[open_[hit]] = slot[hit]
+            go = ~hit & (key != 0)
+            open_, slot = open_[go], (slot[go] + 1) & (self.slots - 1)
+        return out
+
+    def add(self, h: np.ndarray, runs: list[bytes]) -> None:
+        """New distinct hashes with their ids."""
+        w = np.dtype(self.kind).itemsize
+        size = np.fromiter(map(len, runs), np.int64, len(runs)) // w
+        if size.max(initial=0) > 0xFFFF:
+            raise ValueError("a piece has too many ids")
+        flat = np.frombuffer(b"".join(runs), self.kind)
+        if self.used + len(flat) > len(self.ids):
+            self.ids = np.concatenate([self.ids, np.zeros(max(len(self.ids), len(flat)), self.kind)])
+        self.ids[self.used : self.used + len(flat)] = flat
+        at = self.used + np.cumsum(size) - size
+        self.used += len(flat)
+        self.n += len(h)
+        slot = (h & np.uint64(self.slots - 1)).astype(np.int64)
+        todo = np.arange(len(h))
+        while len(todo):
+            free = self.key[slot[todo]] == 0
+            _, one = np.unique(slot[todo[free]], return_index=True)
+            put = todo[free][one]
+            self.key[slot[put]], self.at[slot[put]], self.size[slot[put]] = h[put], at[put], size[put]
+            done = np.zeros(len(h), bool)
+            done[put] = True
+            todo = todo[~done[todo]]
+            slot[todo] = (slot[todo] + 1) & (self.slots - 1)
+
+    def __call__(self, slot: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        size = self.size[slot].astype(np.int64)
+        return self.ids[K.ragged(self.at[slot].astype(np.int64), size)], size
 
 
 class Encoder:
-    """Ids of whole texts by the library, which sees every distinct blank-separated piece once."""
+    """Ids of whole texts by the library, which sees a distinct blank-separated piece once.
+
+    The table of pieces has a fixed size and never changes a result.
+    """
+
+    def __init__(self, path: str):
+        import os
 
-    def __init__(self, path: str, cache: int = CACHE):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
+        import public_tokenizers
+        import regex
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.type = np.uint16 if self.tok.get_vocab_size() <= 1 << 16 else np.uint32
         self.special = [t.content for t in self.tok.get_added_tokens_decoder().values()]
-        self.known: dict[str, bytes] = {}
-        self.limit = cache
+        self.split = regex.compile(public_tokenizers.PATTERN).findall
+        self.table = PieceTable(self.type)
 
     def _ids(self, text: str) -> bytes:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.type).tobytes()
 
-    def encode(self, texts: list[str]) -> list[bytes]:
-        odd = {k for k, t in enumerate(texts) if any(s in t for s in self.special)}
-        parts = [[] if k in odd else _PIECE.findall(t) for k, t in enumerate(texts)]
-        fresh = set().union(*parts).difference(self.known)
-        if fresh:
-            if len(self.known) + len(fresh) > self.limit:
-                self.known.clear()
-                fresh = set().union(*parts)
-            names = list(fresh)
-            for at in range(0, len(names), 4096):
-                some = names[at : at + 4096]
-                got = self.tok.encode_batch_fast(some, add_special_tokens=False)
-                self.known.update((s, np.array(e.ids, self.type).tobytes()) for s, e in zip(some, got))
-        get = self.known.__getitem__
-        return [self._ids(texts[k]) if k in odd else b"".join(map(get, p)) for k, p in enumerate(parts)]
+    def _runs(self, pieces: list[str]) -> list[bytes]:
+        """Ids of distinct pieces.  Those that start with a blank are sent as one text: the library parts them again there."""
+        out: dict[str, bytes] = {}
+        lead = [p for p in pieces if p[0] == " " and len(p) > 1 and not p[1].isspace()]
+        for at in range(0, len(lead), 2048):
+            some = lead[at : at + 2048]
+            got = self.tok.encode("".join(some), add_special_tokens=False)
+            word, ids = np.array(got.word_ids, np.int64), np.array(got.ids, self.type)
+            edge = np.searchsorted(word, np.arange(len(some) + 1)).tolist()
+            if word[-1] != len(some) - 1:
+                raise RuntimeError("the library parted the pieces otherwise")
+            raw, w = ids.tobytes(), ids.itemsize
+            out.update((p, raw[w * a : w * b]) for p, a, b in zip(some, edge, edge[1:]))
+        rest = [p for p in pieces if p not in out]
+        got = self.tok.encode_batch_fast(rest, add_special_tokens=False)
+        out.update((p, np.array(e.ids, self.type).tobytes()) for p, e in zip(rest, got))
+        return [out[p] for p in pieces]
+
+    def _learn(self, spans: list[str], unsettled: np.ndarray) -> list[bytes]:
+        """Ids of distinct spans; unsettled ones are parted by the library's pattern first."""
+        parts = [self.split(c) if u else (c,) for c, u in zip(spans, unsettled.tolist())]
+        names = list(set().union(*parts))
+        get = dict(zip(names, self._runs(names))).__getitem__
+        return [get(p[0]) if len(p) == 1 else b"".join(map(get, p)) for p in parts]
+
+    def encode(self, texts: list[bytes]) -> list[bytes]:
+        """Ids of UTF-8 texts, packed."""
+        odd = {k for k, t in enumerate(texts) if _ODD.search(t)}
+        plain = [b"" if k in odd else t for k, t in enumerate(texts)]
+        raw = np.frombuffer(b"".join(plain), np.uint8)
+        off = np.concatenate([[0], np.cumsum(np.fromiter(map(len, plain), np.int64, len(plain)))])
+        s, e, unsettled = split_classes(raw, *piece_spans(raw, off))
+        h = np.maximum(K.span_hashes(raw, s, e), np.uint64(1))
+        slot = self.table.find(h)
+        miss = np.flatnonzero(slot < 0)
+        if len(miss):
+            new, where = np.unique(h[miss], return_index=True)
+            if self.table.n + len(new) > self.table.slots // 2:
+                self.table.clear()
+                new, where = np.unique(h, return_index=True)
+                miss = np.arange(len(h))
+            at = miss[where]
+            view = raw.tobytes()
+            runs = self._learn([str(view[a:b], "utf-8") for a, b in zip(s[at].tolist(), e[at].tolist())], unsettled[at])
+            self.table.add(new, runs)
+            slot[miss] = self.table.find(h[miss])
+        flat, size = self.table(slot)
+        edge = np.concatenate([[0], np.cumsum(size)])[np.searchsorted(s, off)].tolist()
+        body, w = flat.tobytes(), flat.itemsize
+        return [self._ids(str(t, "utf-8")) if k in odd else body[w * a : w * b] for k, (t, a, b) in enumerate(zip(texts, edge, edge[1:]))]
+
+
+@lru_cache(maxsize=2)
+def encoder(path: str) -> Encoder:
+    """One encoder for all tasks of a worker."""
+    return Encoder(path)
 
 
 def code_lengths(counts: np.ndarray, limit: int = LIMIT) -> np.ndarray:
@@ -150,14 +315,14 @@ _BLOCKS_DDL = "part int, first long, tie int, uid long, n_tokens long, head bina
 
 def _tokenise(path: str, end_id: int):
     def run(batches):
-        enc = Encoder(path)
+        enc = encoder(path)
         end = np.array([end_id], enc.type).tobytes()
         for batch in batches:
             sizes = batch.column("n_raw").to_numpy()
             packed = batch.column("packed")
             off = np.concatenate([[0], np.cumsum(sizes)])
-            for i, j in K.slices(off, K.SEGMENT):
-                texts = [str(X.unpack_text(packed[k].as_py(), int(sizes[k])), "utf-8") for k in range(i, j)]
+            for i, j in K.slices(off, 4 * K.SEGMENT):
+                texts = [X.unpack_text(packed[k].as_py(), int(sizes[k])) for k in range(i, j)]
                 ids = [x + end for x in enc.encode(texts)]
                 yield pa.RecordBatch.from_arrays([batch.column(c).slice(i, j - i) for c in ("part", "doc_key", "tie")] + [pa.array(ids, pa.binary())], schema=_IDS)
 
