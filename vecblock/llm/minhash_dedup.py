@@ -5,15 +5,22 @@ lower-cased).  Two collections of ``groups`` short tuples of ``rows`` minhashes
 each are computed; the key of table (i, j) combines tuple i of the first with
 tuple j of the second.  groups**2 tables thus cost 2 * groups * rows minhashes
 instead of groups**2 * 2 * rows.  At similarity s a pair meets in some table with
-probability (1 - (1 - s**rows)**groups)**2: 0.99999 at s = 0.8 with the defaults.
-
-Copies (equal sets) collapse to one representative first.  Within a table's
-bucket a representative is compared with the bucket's first member and with its
-predecessor; what these links leave apart is compared in a second round, bucket
-by bucket, between different components only.  Large mixed buckets are first split by
-further tuples, which a similar pair still shares in several ways.  Every link
-is confirmed on full shingle sets.  Components come from alternating star
-contraction, so neither links nor components visit the driver.
+probability (1 - (1 - s**rows)**groups)**2: 0.9999 at s = 0.8 with the defaults, and
+more above.
+
+Copies (equal sets) collapse to one representative first.  Representatives meet
+by the tuples of the first collection, in packed blocks; the tables (i, j) are
+formed inside such a meeting, so a representative travels groups times and not groups**2
+times.  A pair is a candidate if it shares a table and AGREE tuples in all.
+Each meeting gives a spanning forest of its candidate pairs,
+linear in its members; the connected parts of all forests are clusters.  Crowds
+are thinned before the shuffle: members that agree with a local head almost
+everywhere send their link to it and let it stand for them in that meeting.  Full
+shingle sets travel to their cluster once, in blocks of bounded size, where every
+link is confirmed: a document outside the largest component found so far is
+counted against all others by an inverted index, so no link between
+components is missed and no pair is ever written out.  Components come from
+alternating star contraction; neither links nor components visit the driver.
 
 Defined results: a text with fewer words than a shingle is its whole sequence as
 one shingle; a null or blank text has the empty set and is linked with nothing;
@@ -30,17 +37,27 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
+from vecblock.llm import exchange as X
 from vecblock.llm import kernels as K
-from vecblock.llm.shared import Stored
-
-GROUPS, ROWS = 12, 2
-SMALL_BUCKET = 24
+from vecblock.llm.shared import Stored, bucket_count
+
+GROUPS, ROWS = 10, 2
+#: Tuples (of 2 * GROUPS) that a candidate pair shares at least; at s = 0.8 fewer have a chance of 1e-4.
+AGREE = 5
+#: Members of a meeting that are compared pair by pair; larger ones are parted first.
+DIRECT = 2048
+#: Heads tried first in a meeting or block: they join most members at once.
+HEADS = 16
+#: Members of a meeting within one batch from which the crowd is thinned before the shuffle.
+CROWD = 64
+#: Tuples (of 2 * GROUPS) shared with a head by a member that the head can stand for (similarity of about 0.92 and more).
+TIGHT = 17
+#: Shingles of one block of a cluster.
+BLOCK = 2_000_000
 _U = np.uint64
 _A = pa.list_(pa.int64())
 _SKETCH = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("s1", pa.int64()), ("s2", pa.int64()), ("left", _A), ("right", _A)])
-_SETS = pa.schema([("doc_id", pa.int64()), ("s1", pa.int64()), ("s2", pa.int64()), ("items", pa.binary())])
 
 
 def shingle_sets(raw: np.ndarray, off: np.ndarray, width: int) -> Iterator[np.ndarray]:
@@ -103,19 +120,6 @@ def _sketch(width: int, groups: int, rows: int):
     return run
 
 
-def _sets(width: int):
-    def run(batches):
-        for batch in batches:
-            raw, off = K.string_buffers(batch.column("text"))
-            ids = batch.column("doc_id").cast(pa.int64())
-            for i, j in K.slices(off, 2 * K.SEGMENT):
-                sets = list(shingle_sets(raw[off[i] : off[j]], off[i : j + 1] - off[i], width))
-                who = [_identity(s) for s in sets]
-                yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.array([w[0] for w in who], pa.int64()), pa.array([w[1] for w in who], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], schema=_SETS)
-
-    return run
-
-
 def components(edges: DataFrame, spark: SparkSession, rounds: int = 60) -> Stored:
     """(v, c): every node of the undirected ``edges`` (u, v) and the least node it reaches.
 
@@ -145,73 +149,260 @@ def components(edges: DataFrame, spark: SparkSession, rounds: int = 60) -> Store
     return out
 
 
-def _fits(a: str, b: str, percent: int):
+_PAIR = "u long, v long"
+_NO_PAIRS = pa.table({"u": pa.array([], pa.int64()), "v": pa.array([], pa.int64())})
+
+
+def _deal(buckets: int):
+    """Send each representative's sketch to the bucket of each of its first-collection tuples."""
+
+    def run(batches):
+        for batch in batches:
+            m = len(batch)
+            if not m:
+                continue
+            rep, n = (batch.column(c).to_numpy() for c in ("rep", "n"))
+            sides = [np.asarray(batch.column(c).values.to_numpy())[batch.column(c).offsets[0].as_py() : batch.column(c).offsets[-1].as_py()].reshape(m, -1) for c in ("left", "right")]
+            to = (sides[0].view(np.uint64) % _U(buckets)).astype(np.int64)
+            small = np.hstack(sides).view(np.uint64).astype(np.uint32)
+            apart, pairs = _thin(rep, n.astype(np.int64), small)
+            outs, blocks = [], []
+            if len(pairs):
+                outs.append(int(len(pairs) % buckets))
+                blocks.append(b"D" + K.pack(*pairs.T))
+            for b in np.unique(to[apart]).tolist():
+                row, group = np.nonzero((to == b) & apart)
+                outs.append(b)
+                blocks.append(b"E" + K.pack(rep[row], n[row].astype(np.uint32), group.astype(np.uint8), *small[row].T))
+            yield pa.RecordBatch.from_arrays([pa.array(outs, pa.int32()), pa.array(blocks, pa.binary())], names=["bucket", "block"])
+
+    return run
+
+
+def _thin(rep: np.ndarray, n: np.ndarray, sketch: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(who still goes to which meeting, links made): crowds of one batch leave their heads and the loosely tied."""
+    groups = sketch.shape[1] // 2
+    apart = np.ones((len(rep), groups), bool)
+    pairs = []
+    for i in range(groups):
+        order = np.lexsort((rep, sketch[:, i]))
+        own = sketch[order, i]
+        first = np.flatnonzero(np.append(True, own[1:] != own[:-1]))
+        size = np.diff(np.append(first, len(order)))
+        for a, m in zip(first[size > CROWD].tolist(), size[size > CROWD].tolist()):
+            open_ = _by_center(order[a : a + m], rep, sketch, groups)
+            for _ in range(HEADS):
+                if len(open_) < 2:
+                    break
+                head, rest = open_[0], open_[1:]
+                near = ((sketch[rest] == sketch[head]).sum(1) >= TIGHT) & _fit_sizes(n[rest], n[head], 80)
+                apart[rest[near], i] = False
+                pairs.append(np.stack([np.full(int(near.sum()), rep[head]), rep[rest[near]]], 1))
+                open_ = rest[~near]
+    made = np.unique(np.concatenate(pairs), axis=0) if pairs else np.zeros((0, 2), np.int64)
+    return apart, made
+
+
+def _by_center(rows: np.ndarray, rep: np.ndarray, sketch: np.ndarray, groups: int) -> np.ndarray:
+    """Rows of a meeting that share a table with another, most central first."""
+    central = np.zeros(len(rows), np.int64)
+    for j in range(groups):
+        _, at, count = np.unique(sketch[rows, groups + j], return_inverse=True, return_counts=True)
+        central += count[at]
+    order = np.lexsort((rep[rows], -central))
+    return rows[order[central[order] > groups]]
+
+
+def _meetings(table: pa.Table, groups: int):
+    """Runs of rows that share a first-collection tuple: (rep, n, sketch matrix) of two or more."""
+    parts = [K.unpack(x[1:]) for x in table.column("block").to_pylist() if x[:1] == b"E"]
+    if not parts:
+        return
+    rep, n, group = (np.concatenate([p[k] for p in parts]) for k in range(3))
+    sketch = np.stack([np.concatenate([p[3 + k] for p in parts]) for k in range(2 * groups)], 1)
+    own = sketch[np.arange(len(rep)), group]
+    order = np.lexsort((rep, own, group))
+    g, o = group[order], own[order]
+    first = np.flatnonzero(np.append(True, (g[1:] != g[:-1]) | (o[1:] != o[:-1])))
+    for a, b in zip(first.tolist(), [*first[1:].tolist(), len(order)]):
+        if b - a > 1:
+            at = order[a:b]
+            yield rep[at], n[at].astype(np.int64), sketch[at]
+
+
+def _fit_sizes(n1: np.ndarray, n2: np.ndarray, percent: int) -> np.ndarray:
     """Sizes that allow 100 * intersection >= percent * union."""
-    return F.least(a, b) * 100 >= F.greatest(a, b) * percent
+    return 100 * np.minimum(n1, n2) >= percent * np.maximum(n1, n2)
+
+
+def _out(us: list, vs: list) -> pa.Table:
+    if not us:
+        return _NO_PAIRS
+    u, v = np.concatenate(us), np.concatenate(vs)
+    pair = np.unique(np.stack([np.minimum(u, v), np.maximum(u, v)], 1), axis=0)
+    pair = pair[pair[:, 0] != pair[:, 1]]
+    return pa.table({"u": pa.array(pair[:, 0]), "v": pa.array(pair[:, 1])})
+
+
+class _Forest:
+    """Union-find over row numbers that remembers the unions made."""
+
+    def __init__(self, m: int):
+        self.up = np.arange(m)
+        self.edges: list[tuple[int, int]] = []
 
+    def find(self, x: int) -> int:
+        while self.up[x] != x:
+            self.up[x] = self.up[self.up[x]]
+            x = int(self.up[x])
+        return x
 
-_CONFIRMED = "u long, v long"
+    def labels(self) -> np.ndarray:
+        while True:
+            top = self.up[self.up]
+            if (top == self.up).all():
+                return top
+            self.up = top
 
+    def join(self, x: int, others: np.ndarray) -> None:
+        a = self.find(x)
+        for y in others.tolist():
+            b = self.find(y)
+            if a != b:
+                self.up[max(a, b)] = min(a, b)
+                a = min(a, b)
+                self.edges.append((x, y))
 
-def _confirm(percent: int):
-    """Grouped by u and salt: one row carries u's own set, the others those of its candidates."""
+
+def _forests(groups: int, percent: int):
+    """Spanning forests of the candidate pairs of each meeting."""
 
     def run(table: pa.Table) -> pa.Table:
-        own, us, vs = None, [], []
-        mine = table.column("own").to_pylist()
-        items = table.column("items")
-        for k, flag in enumerate(mine):
-            if flag:
-                own = np.frombuffer(items[k].as_py(), np.uint64)
-        u, v = table.column("u").to_pylist(), table.column("v").to_pylist()
-        for k, flag in enumerate(mine):
-            if flag or own is None:
-                continue
-            other = np.frombuffer(items[k].as_py(), np.uint64)
-            small, big = (own, other) if len(own) < len(other) else (other, own)
-            at = np.searchsorted(big, small)
-            shared = int((big[np.minimum(at, len(big) - 1)] == small).sum())
-            if 100 * shared >= percent * (len(own) + len(other) - shared):
-                us.append(u[k])
-                vs.append(v[k])
-        return pa.table({"u": pa.array(us, pa.int64()), "v": pa.array(vs, pa.int64())})
+        us, vs = [], []
+        for block in table.column("block").to_pylist():
+            if block[:1] == b"D":
+                u, v = K.unpack(block[1:])
+                us.append(u)
+                vs.append(v)
+        for rep, n, sketch in _meetings(table, groups):
+            forest = _Forest(len(rep))
+            open_ = _by_center(np.arange(len(rep)), rep, sketch, groups)
+            rows = np.sort(open_)
+            for _ in range(HEADS):
+                if len(open_) < 2:
+                    break
+                head, rest = open_[0], open_[1:]
+                hit = _candidates(head, rest, n, sketch, groups, percent)
+                forest.join(int(head), rest[hit])
+                open_ = rest[~hit]
+            _agreeing(rows, n, forest, sketch, groups, percent, ())
+            if forest.edges:
+                e = np.array(forest.edges)
+                us.append(rep[e[:, 0]])
+                vs.append(rep[e[:, 1]])
+        return _out(us, vs)
 
     return run
 
 
-def confirm(pairs: DataFrame, sets: DataFrame, percent: int, salt: int = 64) -> DataFrame:
-    """The (u, v) of ``pairs`` whose full sets are similar; ``sets`` has (rep, items)."""
-    one = pairs.select("u", "v", F.pmod(F.xxhash64("v"), F.lit(salt)).cast("int").alias("salt"))
-    theirs = one.join(sets, one.v == sets.rep).select("u", "salt", "v", F.lit(False).alias("own"), "items")
-    mine = one.select("u", "salt").distinct().join(sets, F.col("u") == sets.rep).select("u", "salt", F.lit(None).cast("long").alias("v"), F.lit(True).alias("own"), "items")
-    return theirs.union(mine).groupBy("u", "salt").applyInArrow(_confirm(percent), _CONFIRMED)
+def _candidates(x: int, rest: np.ndarray, n: np.ndarray, sketch: np.ndarray, groups: int, percent: int) -> np.ndarray:
+    """Which of ``rest`` share a table with x, agree in AGREE tuples, and have a size that allows a link."""
+    same = sketch[rest] == sketch[x]
+    return (same.sum(1) >= AGREE) & same[:, :groups].any(1) & same[:, groups:].any(1) & _fit_sizes(n[rest], n[x], percent)
 
 
-def _residue(members: DataFrame, limit: int, tuples: int, depth: int) -> DataFrame:
-    """Candidate pairs (u, v) of different components that share a bucket.
+def _agreeing(rows: np.ndarray, n: np.ndarray, forest: _Forest, sketch: np.ndarray, groups: int, percent: int, used: tuple[int, ...]) -> None:
+    """Join what the heads left apart: candidates of different trees among ``rows``."""
+    label = forest.labels()[rows]
+    if len(rows) < 2 or (label == label[0]).all():
+        return
+    if len(rows) > DIRECT and len(used) < 3:
+        # one more tuple: a pair at 0.8 shares each of the others with chance 0.64
+        for c in range(sketch.shape[1]):
+            if c in used:
+                continue
+            order = rows[np.argsort(sketch[rows, c], kind="stable")]
+            value = sketch[order, c]
+            first = np.flatnonzero(np.append(True, value[1:] != value[:-1]))
+            for a, b in zip(first.tolist(), [*first[1:].tolist(), len(order)]):
+                if b - a > 1:
+                    _agreeing(order[a:b], n, forest, sketch, groups, percent, (*used, c))
+        return
+    names, at, size = np.unique(label, return_inverse=True, return_counts=True)
+    minor = rows[at != size.argmax()]  # pairs inside the largest tree are joined already
+    for x in minor.tolist():
+        top = forest.labels()
+        rest = rows[top[rows] != top[x]]
+        if len(rest):
+            forest.join(x, rest[_candidates(x, rest, n, sketch, groups, percent)])
+
+
+def linked(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+    """A spanning forest of the links among full sets (sorted distinct hashes), exactly."""
+    m = len(sets)
+    size = np.fromiter(map(len, sets), np.int64, m)
+    flat = np.concatenate(sets) if m else np.zeros(0, np.uint64)
+    order = np.argsort(flat, kind="stable")
+    owner = np.repeat(np.arange(m), size)[order]
+    flat = flat[order]
+    forest = _Forest(m)
+
+    def count(x: int) -> None:
+        lo, hi = np.searchsorted(flat, sets[x]), np.searchsorted(flat, sets[x], "right")
+        shared = np.bincount(owner[K.ragged(lo, hi - lo)], minlength=m)
+        hit = np.flatnonzero(100 * shared >= percent * (size + size[x] - shared))
+        forest.join(x, hit[hit != x])
+
+    # a head is found by its neighbours: start with the sets whose shingles most others hold
+    lo, hi = np.searchsorted(flat, flat), np.searchsorted(flat, flat, "right")
+    common = np.bincount(owner, hi - lo, m) / np.maximum(size, 1)
+    done = np.zeros(m, bool)
+    for x in np.argsort(-common, kind="stable")[:HEADS].tolist():
+        count(x)
+        done[x] = True
+    label = forest.labels()
+    largest = np.bincount(label, minlength=m).argmax()
+    for x in np.flatnonzero((label != largest) & ~done).tolist():
+        count(x)
+    return forest.edges
+
+
+_PLACED = pa.schema([("cluster", pa.int64()), ("b1", pa.int32()), ("b2", pa.int32()), ("rep", pa.int64()), ("items", pa.binary())])
+
+
+def _place(width: int):
+    """A compressed text becomes its set, once for every pair of blocks that its own block belongs to."""
 
-    ``members``: key, rep, n, comp, left, bucket rows of which at least two
-    components meet.  In a bucket all but the largest component's rows are its
-    minority.  A minority of up to ``limit`` rows meets the whole bucket, which is
-    linear in the bucket; larger ones are split by one more tuple, for every
-    tuple, so a similar pair stays together with the chance of its similarity in
-    each of them.  After ``depth`` splits no further one is tried.
-    """
-    part = members
-    found = None
-    for level in range(depth + 1):
-        by_comp = part.groupBy("key", "comp").agg(F.count("*").alias("k"))
-        shape = by_comp.groupBy("key").agg(F.sum("k").alias("size"), F.max_by("comp", "k").alias("main"), (F.sum("k") - F.max("k")).alias("minor")).where("minor > 0")
-        here = part.join(shape, "key")
-        last = level == depth
-        few = here if last else here.where(F.col("minor") <= limit)
-        odd = few.where("comp <> main").select("key", F.col("rep").alias("u"), F.col("n").alias("nu"), F.col("comp").alias("cu"))
-        pairs = few.select("key", F.col("rep").alias("v"), F.col("n").alias("nv"), F.col("comp").alias("cv")).join(odd, "key").where("cu <> cv")
-        found = pairs if found is None else found.union(pairs)
-        if last:
-            break
-        part = here.where(F.col("minor") > limit).select("rep", "n", "comp", "left", "key", F.posexplode("left").alias("at", "more")).select(F.xxhash64("key", "at", "more").alias("key"), "rep", "n", "comp", "left")
-    return found
+    def run(batches):
+        for batch in X.small_batches(batches):
+            out: list[list] = [[] for _ in range(5)]
+            cols = [batch.column(c).to_pylist() for c in ("rep", "s1", "s2", "cluster", "blocks", "n_raw")]
+            for k, (rep, s1, s2, cluster, blocks, size) in enumerate(zip(*cols)):
+                raw = np.frombuffer(X.unpack_text(batch.column("packed")[k].as_py(), size), np.uint8)
+                one = next(shingle_sets(raw, np.array([0, len(raw)]), width))
+                if _identity(one) != (s1, s2):
+                    continue
+                mine = int(K.mix(np.array([rep], np.int64).view(np.uint64))[0] % _U(blocks))
+                for other in range(blocks):
+                    for c, v in zip(out, (cluster, min(mine, other), max(mine, other), rep, one.tobytes())):
+                        c.append(v)
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, _PLACED)], schema=_PLACED)
+
+    return run
+
+
+def _settle_block(percent: int):
+    def run(table: pa.Table) -> pa.Table:
+        rep = table.column("rep").to_numpy()
+        rep, one = np.unique(rep, return_index=True)
+        items = table.column("items")
+        edges = linked([np.frombuffer(items[i].as_py(), np.uint64) for i in one.tolist()], percent)
+        if not edges:
+            return _NO_PAIRS
+        e = np.array(edges)
+        return _out([rep[e[:, 0]]], [rep[e[:, 1]]])
+
+    return run
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, groups: int = GROUPS, rows: int = ROWS) -> DataFrame:
@@ -221,40 +412,23 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, groups:
     sketch = Stored(spark, docs.mapInArrow(_sketch(width, groups, rows), "doc_id long, n_shingles long, s1 long, s2 long, left array<long>, right array<long>"), "sketch")
     whole = sketch.df.where("n_shingles > 0 AND doc_id IS NOT NULL")
     reps = Stored(spark, whole.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("left").alias("left"), F.first("right").alias("right")), "reps")
-    # one id may stand for several rows; its sets then belong together
-    table = F.flatten(F.transform("left", lambda x, i: F.transform("right", lambda y, j: F.xxhash64(x, y, i, j))))
-    keyed = reps.df.select("rep", "n", F.explode(table).alias("key"))
-    w = Window.partitionBy("key").orderBy("rep", "n")
-    near = keyed.select("key", "rep", "n", F.first(F.struct("rep", "n")).over(w).alias("head"), F.lag(F.struct("rep", "n")).over(w).alias("prev"), F.lead("rep").over(w).alias("next"))
-    buckets = Stored(spark, near.where("prev IS NOT NULL OR next IS NOT NULL").select("key", "rep", "n", F.when(F.col("prev").isNotNull(), F.col("head")).alias("head"), "prev"), "buckets")
-    met = buckets.df.where("prev IS NOT NULL")
-    pairs = met.select(F.col("head.rep").alias("u"), F.col("rep").alias("v"), F.col("head.n").alias("nu"), F.col("n").alias("nv"))
-    pairs = pairs.union(met.select("prev.rep", "rep", "prev.n", "n")).where(_fits("nu", "nv", percent)).where("u <> v").select("u", "v").distinct()
-    pairs = Stored(spark, pairs, "pairs")
-
-    ids = pairs.df.select(F.col("u").alias("rep")).union(pairs.df.select("v")).distinct()
-    members = buckets.df.select("rep").distinct()
-    wanted = members.union(ids).distinct()
-    first_of = reps.df.select("s1", "s2", "rep").join(wanted, "rep", "left_semi")
-    texts = docs.mapInArrow(_sets(width), "doc_id long, s1 long, s2 long, items binary")
-    return_sets = texts.join(first_of, (texts.doc_id == first_of.rep) & (texts.s1 == first_of.s1) & (texts.s2 == first_of.s2), "left_semi")
-    sets = Stored(spark, return_sets.select(F.col("doc_id").alias("rep"), "items").groupBy("rep").agg(F.first("items").alias("items")), "sets")
-    links = Stored(spark, confirm(pairs.df, sets.df, percent), "confirmed")
-    comp = components(links.df, spark)
-
-    named = reps.df.select("rep", "left").join(members, "rep", "left_semi").join(comp.df.withColumnRenamed("v", "rep"), "rep", "left").select("rep", "left", F.coalesce("c", "rep").alias("comp"))
-    rest = buckets.df.select("key", "rep", "n").join(named, "rep")
-    mixed = rest.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-    rest = rest.join(mixed, "key", "left_semi")
-    more = _residue(rest, SMALL_BUCKET, groups, 2).where(_fits("nu", "nv", percent)).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
-    more = more.join(pairs.df, ["u", "v"], "left_anti")
-    extra = Stored(spark, confirm(more, sets.df, percent), "confirmed")
-    if not extra.df.isEmpty():
-        old = comp
-        comp = components(links.df.union(extra.df), spark)
-        old.drop()
-    for done in (buckets, sets, pairs, links, extra):
-        done.drop()
+    buckets = bucket_count(docs, 4 << 20, least=16)
+    dealt = reps.df.select("rep", "n", "left", "right").mapInArrow(_deal(buckets), "bucket int, block binary")
+    forests = dealt.groupBy("bucket").applyInArrow(_forests(groups, percent), _PAIR)
+    clusters = components(forests, spark)
+
+    named = clusters.df.select(F.col("v").alias("rep"), F.col("c").alias("cluster")).union(clusters.df.select("c", "c").distinct())
+    wanted = named.join(reps.df.select("rep", "n", "s1", "s2"), "rep")
+    blocks = named.join(reps.df.select("rep", "n"), "rep").groupBy("cluster").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("blocks"))
+    wanted = Stored(spark, wanted.join(blocks, "cluster").select("rep", "s1", "s2", "cluster", "blocks"), "wanted")
+    texts = X.pack_texts(docs).where("packed IS NOT NULL")
+    # one plan at every size: a broadcast of few ids now would hide the shuffle of many later
+    asked = texts.join(wanted.df.hint("merge"), F.col("doc_key") == F.col("rep")).select("rep", "s1", "s2", "cluster", "blocks", "packed", "n_raw")
+    placed = asked.mapInArrow(_place(width), "cluster long, b1 int, b2 int, rep long, items binary")
+    links = placed.groupBy("cluster", "b1", "b2").applyInArrow(_settle_block(percent), _PAIR)
+    comp = components(links, spark)
+    wanted.drop()
+    clusters.drop()
     label = reps.df.select("s1", "s2", "rep").join(comp.df.withColumnRenamed("v", "rep"), "rep", "left").select("s1", "s2", F.coalesce("c", "rep").alias("component_id"))
     out = sketch.df.select("doc_id", "n_shingles", "s1", "s2").join(label, ["s1", "s2"], "left")
     cid = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("component_id")).otherwise(F.col("doc_id"))
