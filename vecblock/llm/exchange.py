@@ -189,6 +189,14 @@ def pack_texts(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, doc_key long, tie int, packed binary, n_raw long")
 
 
+def small_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Batches of compressed texts (n_raw bytes each) in parts of about a megabyte of text."""
+    for batch in batches:
+        off = np.concatenate([[0], np.cumsum(batch.column("n_raw").to_numpy())])
+        for i, j in K.slices(off):
+            yield batch.slice(i, j - i)
+
+
 def unpack_text(packed: bytes | None, n_raw: int) -> bytes:
     return pa.decompress(packed, n_raw, codec="zstd", asbytes=True) if packed else b""
 

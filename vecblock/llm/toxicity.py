@@ -32,7 +32,9 @@ from vecblock.llm import kernels as K
 from vecblock.llm.logistic import Logistic, sigmoid
 from vecblock.llm.quality_classifier import labelled
 
-SAMPLE, TERMS, MIN_DOCS, MIN_Z, STEM = 16_000, 8_000, 4, 2.5, 5
+SAMPLE, TERMS, MIN_DOCS, MIN_Z = 16_000, 8_000, 4, 2.5
+MIN_ODDS, FEATURES = 1.5, 6
+STEMS = range(4, 9)
 LEXICON_SHARE = 0.7
 
 # Letters of other scripts drawn like Latin ones.
@@ -63,7 +65,7 @@ def fold(text: str) -> list[str]:
 def _terms(words: list[str]) -> set[str]:
     """Features of a training text: ' word ' and ' begin'."""
     out = set(words)
-    return {f" {w} " for w in out} | {f" {w[:STEM]}" for w in out if len(w) > STEM}
+    return {f" {w} " for w in out} | {f" {w[:k]}" for w in out for k in STEMS if len(w) > k}
 
 
 def training(doc_id: str = "doc_id") -> Column:
@@ -144,10 +146,11 @@ class Lexicon:
     def features(self, words: list[str]) -> list[float]:
         found = self.matches(words)
         if not found:
-            return [0.0, 0.0, 0.0, 0.0]
+            return [0.0] * FEATURES
         total = sum(w for _, w, _ in found)
+        share = 1000 / (len(words) + 20)
         kinds = len({t for _, _, t in found})
-        return [np.log1p(total), np.log1p(1000 * total / (len(words) + 20)), max(w for _, w, _ in found), np.log1p(kinds)]
+        return [np.log1p(total), np.log1p(share * total), max(w for _, w, _ in found), np.log1p(kinds), np.log1p(len(found)), np.log1p(share * len(found))]
 
 
 def learn_lexicon(rows: DataFrame, terms: int = TERMS) -> Lexicon:
@@ -159,11 +162,15 @@ def learn_lexicon(rows: DataFrame, terms: int = TERMS) -> Lexicon:
     odds = F.log((F.col("pos") + 0.5) / (n1 + 1.0)) - F.log((F.col("neg") + 0.5) / (n0 + 1.0))
     z = odds / F.sqrt(1 / (F.col("pos") + 0.5) + 1 / (F.col("neg") + 0.5))
     counts = rows.select("y", "text").mapInArrow(_count(_terms), "term string, pos long, neg long").groupBy("term").agg(F.sum("pos").alias("pos"), F.sum("neg").alias("neg"))
-    top = counts.where(F.col("pos") >= MIN_DOCS).withColumns({"w": odds, "z": z}).where((F.col("z") >= MIN_Z) & (F.col("w") >= 1.0)).orderBy(F.desc("z"), "term").limit(terms)
-    weights = {r.term: float(r.w) for r in top.select("term", "w").collect()}  # at most ``terms``
-    # a beginning says no more than its word where the word alone carries it
-    words = {t.strip() for t in weights if t.endswith(" ")}
-    weights = {t: w for t, w in weights.items() if t.endswith(" ") or sum(x.startswith(t[1:]) for x in words) != 1}
+    top = counts.where(F.col("pos") >= MIN_DOCS).withColumns({"w": odds, "z": z}).where((F.col("z") >= MIN_Z) & (F.col("w") >= MIN_ODDS)).orderBy(F.desc("z"), "term").limit(terms)
+    got = top.select("term", "w", "pos").collect()  # at most ``terms``
+    # a beginning that one word accounts for says no more than that word
+    whole = {r.term: r.pos for r in got if r.term.endswith(" ")}
+    covered = Counter()
+    for word, pos in whole.items():
+        for k in range(2, len(word)):
+            covered[word[:k]] = max(covered[word[:k]], pos)
+    weights = {r.term: float(r.w) for r in got if r.term in whole or covered[r.term] < 0.9 * r.pos}
     plain = Lexicon(weights, set())
 
     def phrases(folded: list[str]) -> set[str]:
@@ -196,8 +203,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample: int =
             x = [lexicon.features(fold(t.as_py() or "")) for t in batch.column("text")]
             yield pa.RecordBatch.from_arrays([batch.column("y").cast(pa.int32()), pa.array(x, pa.list_(pa.float64()))], names=["y", "x"])
 
-    got = labelled(docs, labels, label, sample - int(sample * LEXICON_SHARE), training() & ~_for_lexicon()).select("y", "text").mapInArrow(run, "y int, x array<double>").toArrow()  # ``sample`` rows of four numbers
-    x = np.array(got.column("x").to_pylist(), np.float64).reshape(-1, 4)
+    got = labelled(docs, labels, label, sample - int(sample * LEXICON_SHARE), training() & ~_for_lexicon()).select("y", "text").mapInArrow(run, "y int, x array<double>").toArrow()  # ``sample`` rows of FEATURES numbers
+    x = np.array(got.column("x").to_pylist(), np.float64).reshape(-1, FEATURES)
     y = got.column("y").to_numpy().astype(np.float64)
     order = np.lexsort((*x.T, y))
     return lexicon, Logistic(x[order], y[order])
@@ -219,7 +226,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "toxic", threshold: f
                 cut = (off[i : j + 1] - off[i]).tolist()
                 folded = [fold(str(view[a:b], "utf-8")) for a, b in zip(cut, cut[1:])]
                 found = [lexicon.matches(w) for w in folded]
-                x = np.array([lexicon.features(w) if f else [0.0] * 4 for w, f in zip(folded, found)], np.float64).reshape(-1, 4)
+                x = np.array([lexicon.features(w) if f else [0.0] * FEATURES for w, f in zip(folded, found)], np.float64).reshape(-1, FEATURES)
                 p = sigmoid(calibration.logit(x))
                 yield pa.RecordBatch.from_arrays([ids.slice(i, j - i), pa.array([len(f) for f in found], pa.int64()), pa.array([sum(w for _, w, _ in f) for f in found], pa.float64()), pa.array(p, pa.float64())], schema=_OUT)
 
