@@ -210,4 +210,14 @@ def fixpoint_violations(found: DataFrame, links: DataFrame, rows: DataFrame, q:
     return worse.agg(F.count("*").alias("violations"))
 
 
-__all__ = ["LEVEL_BYTES", "build_links", "build_links_pruned", "fixpoint_violations", "greedy", "local_graph", "near_leaves", "near_leaves_by_tree", "random_seeds", "recommended_leaf_capacity", "recommended_link_leaves", "with_kind"]
+__all__ = ["LEVEL_BYTES", "build_links", "build_links_pruned", "fixpoint_violations", "greedy", "greedy_per_branch", "local_graph", "near_leaves", "near_leaves_by_tree", "random_seeds", "recommended_leaf_capacity", "recommended_link_leaves", "with_kind"]
+
+
+def greedy_per_branch(seeds: DataFrame, links: DataFrame, rows: DataFrame, q: DataFrame, k: int, metric: str = "l2", farthest: bool = False, exclude_self: bool = True) -> DataFrame:
+    """(query_id, rank, vec_id, dist): one walk for each branch's seeds (query_id, branch, vec_id), merged at the end."""
+    branch = F.dense_rank().over(Window.partitionBy("query_id").orderBy("branch")) - 1
+    apart = seeds.withColumn("b", branch.cast("long")).select((F.col("query_id") * 4096 + F.pmod("b", F.lit(4096))).alias("walk"), "query_id", "vec_id")
+    walks = apart.select("walk", "query_id").distinct().join(q, "query_id")
+    got = greedy(apart.select(F.col("walk").alias("query_id"), "vec_id"), links, rows, walks.select(F.col("walk").alias("query_id"), "v"), k + int(exclude_self), metric, farthest, exclude_self=False)
+    merged = got.select(F.floor(F.col("query_id") / 4096).cast("long").alias("query_id"), "vec_id", "dist").distinct()
+    return exact.ranked(merged.where("query_id <> vec_id") if exclude_self else merged, k, farthest)

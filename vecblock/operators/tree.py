@@ -438,3 +438,18 @@ def describe(tree: BlockTree) -> dict:
 
 def with_params(tree: BlockTree, **changes) -> BlockTree:
     return replace(tree, params=replace(tree.params, **changes))
+
+
+def pin(tree: BlockTree, fraction: float = 1.0) -> BlockTree:
+    """Keep the leading ``fraction`` of the shards in memory (spilling to disk); the rest stays on disk.
+
+    Answers do not depend on it.  Inner levels are broadcast by each search anyway.
+    """
+    from pyspark import StorageLevel
+
+    top = tree.nodes.agg((F.max("shard") + 1).alias("n")).first().n or 0
+    edge = int(round(top * fraction))
+    if edge <= 0:
+        return tree
+    hot = tree.rows.where(F.col("shard") < edge).persist(StorageLevel.MEMORY_AND_DISK)
+    return replace(tree, rows=hot.unionByName(tree.rows.where(F.col("shard") >= edge)))

@@ -14,6 +14,7 @@ from vecblock.operators import dissim, exact, graph, ingest, measures, partition
 from vecblock.operators.partition import PartitionParams
 from vecblock.operators.search import ALL, SearchParams
 from vecblock.sources import vectors as V
+from vecblock.sources.stored import fresh_path
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -822,3 +823,135 @@ def recommended(spark, sf_dir):
 def predicted_cost(spark, sf_dir):
     n = V.table(spark, sf_dir, "lineitem").count()
     return measures.predicted_cost(spark, n, 8, 5, 64, 4, 4, 8, 50).withColumn("distances", F.round("distances", 3))
+
+
+# --- storage, sources, sinks, functions and streams around the index -------------------------------
+
+
+@query(knn_sql(10))
+def storage_round_trip(spark, sf_dir):
+    path = fresh_path(spark, "index")
+    tree.save(_tree(spark, sf_dir), path)
+    return long_rank(search.search(tree.open_tree(spark, path), V.queries_of(V.vectors(spark, sf_dir)), SearchParams(beam=ALL)))
+
+
+@query(knn_sql(10))
+def storage_half_pinned(spark, sf_dir):
+    t = tree.pin(_tree(spark, sf_dir), 0.5)
+    return long_rank(search.search(t, V.queries_of(V.vectors(spark, sf_dir)), SearchParams(beam=ALL)))
+
+
+@query(f"WITH {BASE} SELECT vec_id, round(list_sum(v), 6) AS s FROM v")
+def source_leaves(spark, sf_dir):
+    """The tree's leaves through the 'blocktree' data source."""
+    from vecblock.sources import formats
+
+    path = fresh_path(spark, "index")
+    base = tree.save(_tree(spark, sf_dir), path)
+    spark.dataSource.register(formats.leaf_source())
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    df = spark.read.format("blocktree").option("path", base).load()
+    return r6(df.select("vec_id", F.aggregate("v", F.lit(0.0), lambda s, x: s + x).alias("s")), "s")
+
+
+def _imported(spark, sf_dir, kind: str):
+    from vecblock.sources import formats
+
+    path = fresh_path(spark, kind)
+    v = V.vectors(spark, sf_dir).select("vec_id", "v")
+    if kind == "csv":
+        v.select("vec_id", F.concat(F.lit("["), F.array_join(F.transform("v", lambda x: x.cast("string")), ","), F.lit("]")).alias("t")).write.option("header", True).csv(path)
+        got = formats.parse_text(spark.read.option("header", True).schema("vec_id long, t string").csv(path), "t")
+    else:
+        getattr(v.write, kind)(path)
+        got = getattr(spark.read.schema("vec_id long, v array<double>"), kind)(path)
+    return r6(got.select("vec_id", F.aggregate("v", F.lit(0.0), lambda s, x: s + x).alias("s")), "s")
+
+
+for _kind in ("csv", "json", "orc"):
+    query(f"WITH {BASE} SELECT vec_id, round(list_sum(v), 6) AS s FROM v", f"source_{_kind}")(lambda s, d, kind=_kind: _imported(s, d, kind))
+
+
+@query(knn_sql(5))
+def table_function_search(spark, sf_dir):
+    import numpy as np
+
+    from vecblock.functions import sql as S
+
+    v = V.vectors(spark, sf_dir)
+    rows = v.orderBy("vec_id").collect()  # a view's worth of rows
+    spark.udtf.register("vec_search", S.search_table(np.array([r.v for r in rows]), np.array([r.vec_id for r in rows])))
+    V.queries_of(v).createOrReplaceTempView("vecblock_q")
+    return long_rank(spark.sql("SELECT s.* FROM vecblock_q q, LATERAL vec_search(q.query_id, q.v, 5) s"))
+
+
+@query(f"WITH {BASE} SELECT row_number() OVER (ORDER BY list_distance((SELECT qv FROM q WHERE query_id = 0), v), vec_id) AS rank, vec_id, round(list_distance((SELECT qv FROM q WHERE query_id = 0), v), 6) AS dist FROM v QUALIFY rank <= 10")
+def planner_rewrite_topk(spark, sf_dir):
+    from vecblock.plans import planner
+
+    v = V.vectors(spark, sf_dir)
+    literal = v.where("vec_id = 0").first().v
+    got = planner.rewrite_topk(v, list(literal), 10, _tree(spark, sf_dir), beam=ALL)
+    return r6(got.withColumn("rank", F.col("rank").cast("long")), "dist")
+
+
+@query(knn_sql(10))
+def stream_insert_equal(spark, sf_dir):
+    """Half the vectors in an index, the rest inserted by a stream of two files."""
+    from vecblock.streaming import streams
+
+    v = V.vectors(spark, sf_dir).select("vec_id", "v")
+    index, source = fresh_path(spark, "index"), fresh_path(spark, "in")
+    tree.save(tree.build(v.where("vec_id % 4 < 2"), PARAMS), index)
+    for k in (2, 3):
+        v.where(F.col("vec_id") % 4 == k).coalesce(1).write.mode("append").parquet(source)
+    streams.insert_stream(streams.file_stream(spark, source, v.schema), index, fresh_path(spark, "ck")).awaitTermination()
+    return long_rank(search.search(tree.open_tree(spark, index), V.queries_of(v), SearchParams(beam=ALL)))
+
+
+@query("SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1, 2")
+def stream_tumbling_complete(spark, sf_dir):
+    """The same windows as a stream in complete mode."""
+    from vecblock.streaming import streams
+
+    ev = V.table(spark, sf_dir, "events")
+    source = fresh_path(spark, "in")
+    streams.timed_events(ev).select("event_id", "ts", "event_type", "value").coalesce(1).write.parquet(source)
+    stream = streams.file_stream(spark, source, spark.read.parquet(source).schema)
+    name = "vecblock_windows"
+    out = streams.run_once(streams.tumbling(stream), name, fresh_path(spark, "ck"), "complete")
+    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", F.round("total", 4).alias("total"))
+
+
+@query()
+def greedy_per_branch(spark, sf_dir):
+    """Walks from every opened leaf apart, merged, beside the plain tree answer."""
+    v, t = V.hubs(spark, sf_dir), _tree(spark, sf_dir, "hubs")
+    q = V.queries_of(v)
+    links = graph.build_links(t, 8, 4)
+    found = search.search(t, q, SearchParams(beam=2))
+    seeds = found.join(t.rows.select("vec_id", F.col("leaf_id").alias("branch")), "vec_id").select("query_id", "branch", "vec_id")
+    return long_rank(graph.greedy_per_branch(seeds, links, v, q, 10))
+
+
+@query()
+def mllib_partitions(spark, sf_dir):
+    """MLlib's own K-Means and bisecting K-Means as controls: cluster sizes."""
+    from pyspark.ml.clustering import BisectingKMeans, KMeans
+    from pyspark.ml.functions import array_to_vector
+
+    f = V.hubs(spark, sf_dir).select(array_to_vector("v").alias("features"))
+    out = None
+    for name, model in (("kmeans", KMeans(k=10, seed=42)), ("bisecting", BisectingKMeans(k=10, seed=42))):
+        part = model.fit(f).transform(f).groupBy("prediction").agg(F.count("*").alias("n")).select(F.lit(name).alias("method"), "prediction", "n")
+        out = part if out is None else out.union(part)
+    return out
+
+
+@query(f"WITH {BASE}, a AS (SELECT label, count(*) AS n FROM v GROUP BY label) SELECT CAST(label AS BIGINT) AS label, n FROM a")
+def sink_bucketed_table(spark, sf_dir):
+    """A table bucketed by label: grouping it again needs no shuffle."""
+    name = "vecblock_bucketed"
+    spark.sql(f"DROP TABLE IF EXISTS {name}")
+    V.vectors(spark, sf_dir).withColumn("label", F.col("label").cast("long")).write.bucketBy(4, "label").sortBy("vec_id").mode("overwrite").option("path", fresh_path(spark, "bucketed")).saveAsTable(name)
+    return spark.table(name).groupBy("label").agg(F.count("*").alias("n"))

@@ -49,7 +49,12 @@ def parse_text(df: DataFrame, column: str, sep: str = ",") -> DataFrame:
 
 
 def leaf_source():
-    """The data source class 'blocktree': options path, version; pushed filters on leaf_id and shard choose files."""
+    """The data source class 'blocktree' over one saved version (option path); pushed filters on leaf_id and shard choose files.
+
+    Python sources open files themselves, so this one needs a file system that
+    every machine mounts; ``tree.open_tree`` reads any store.  Needs
+    spark.sql.python.filterPushdown.enabled.
+    """
     from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, In, InputPartition
 
     class Shard(InputPartition):

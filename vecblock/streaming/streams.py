@@ -83,18 +83,20 @@ def run_once(stream: DataFrame, name: str, checkpoint: str, mode: str = "append"
     return spark.table(name)
 
 
-def view_sessions(turns: DataFrame, radius: float, gap_ms: int = 3_600_000) -> DataFrame:
-    """(session_id, seq, served_from, view_no): a live anchor per session, kept in state with a time to live.
+def view_sessions(turns: DataFrame, radius: float, ttl_ms: int | None = None) -> DataFrame:
+    """(session_id, seq, served_from, view_no): a live anchor per session, kept in state.
 
     ``turns``: (session_id, seq, v).  A query within ``radius`` of the session's
-    anchor is served from its view; others renew it.  Needs the RocksDB state store.
+    anchor is served from its view; others renew it.  ``ttl_ms`` forgets idle
+    sessions by processing time, which keeps a query running (no availableNow).
+    Needs the RocksDB state store.
     """
     import pandas as pd
     from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
     class Live(StatefulProcessor):
         def init(self, handle: StatefulProcessorHandle) -> None:
-            self.state = handle.getValueState("view", "anchor string, no long", ttlDurationMs=gap_ms)
+            self.state = handle.getValueState("view", "anchor string, no long", ttlDurationMs=ttl_ms)
 
         def handleInputRows(self, key, rows, timerValues):
             got = pd.concat(list(rows)).sort_values("seq")
@@ -113,4 +115,4 @@ def view_sessions(turns: DataFrame, radius: float, gap_ms: int = 3_600_000) -> D
         def close(self) -> None:
             return
 
-    return turns.groupBy("session_id").transformWithStateInPandas(Live(), "session_id long, seq long, served_from string, view_no long", "append", "processingTime")
+    return turns.groupBy("session_id").transformWithStateInPandas(Live(), "session_id long, seq long, served_from string, view_no long", "append", "none" if ttl_ms is None else "processingTime")
