@@ -47,31 +47,37 @@ def _without(text: Column, chars: str) -> Column:
     return F.length(F.translate(text, chars, ""))
 
 
+def _let(value: Column, use) -> Column:
+    """``use(value)`` with value computed once, wherever the optimizer moves the expression."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def _windows(w: Column) -> Column:
+    """(hash, place) of every three consecutive words, in hash order, so that equal ones are neighbours."""
+    at = lambda i: F.struct(F.xxhash64(F.get(w, i), F.get(w, i + 1), F.get(w, i + 2)).alias("h"), i.alias("p"))
+    return F.sort_array(F.when(F.size(w) >= 3, F.transform(F.sequence(F.lit(0), F.size(w) - 3), at)).otherwise(F.array().cast("array<struct<h:bigint,p:int>>")))
+
+
+def _covered(places: Column) -> Column:
+    """Words under windows of three at ascending places."""
+    start = F.struct(F.lit(-1).alias("last"), F.lit(0).alias("n"))
+    return F.aggregate(places, start, lambda acc, p: F.struct((p + 2).alias("last"), (acc["n"] + F.least(F.lit(3), p + 2 - acc["last"])).alias("n")), lambda acc: acc["n"])
+
+
+def _repeated(w: Column) -> Column:
+    twice = lambda s: F.filter(s, lambda x, i: (F.get(s, i - 1)["h"] == x["h"]) | (F.get(s, i + 1)["h"] == x["h"]))
+    return _let(_windows(w), lambda s: _covered(F.sort_array(F.transform(twice(s), lambda x: x["p"]))))
+
+
 def measure(docs: DataFrame, text: str = "text") -> DataFrame:
-    """``docs`` and the base measurements (long); intermediate arrays never leave the row."""
+    """``docs`` and the base measurements (long)."""
     body = F.coalesce(F.col(text), F.lit(""))
-    one = docs.withColumns({
-        "_words": F.regexp_extract_all(body, F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0)),
-        "_lines": F.filter(F.split(body, "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]")),
-        "_solid": _without(body, BLANKS),
-        "_symbols": F.length(body) - _without(body, SYMBOLS),
-    })
-    n = F.size("_words")
-    two = one.withColumns({
-        "n_words": n.cast("long"), "word_chars": F.col("_solid").cast("long"), "n_symbols": F.col("_symbols").cast("long"), "n_lines": F.size("_lines").cast("long"),
-        "n_dup_lines": (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long"),
-        "_windows": F.when(n >= 3, F.transform(F.sequence(F.lit(1), n - 2), lambda i: F.struct(F.xxhash64(F.element_at("_words", i), F.element_at("_words", i + 1), F.element_at("_words", i + 2)).alias("h"), i.alias("p")))).otherwise(F.array().cast("array<struct<h:bigint,p:int>>")),
-    }).drop("_words", "_lines", "_solid", "_symbols")
-    three = two.withColumn("_windows", F.sort_array("_windows"))
-    # in hash order equal windows are neighbours
-    before = F.concat(F.array(F.lit(None).cast("struct<h:bigint,p:int>")), F.slice("_windows", 1, F.greatest(F.size("_windows") - 1, F.lit(0))))
-    after = F.concat(F.slice("_windows", 2, F.greatest(F.size("_windows") - 1, F.lit(0))), F.array(F.lit(None).cast("struct<h:bigint,p:int>")))
-    side = F.when(F.size("_windows") > 0, F.arrays_zip(F.col("_windows").alias("w"), before.alias("b"), after.alias("a")))
-    four = three.withColumn("_side", side).drop("_windows")
-    hits = F.filter("_side", lambda x: (x["b"]["h"] == x["w"]["h"]) | (x["a"]["h"] == x["w"]["h"]))
-    five = four.withColumn("_at", F.sort_array(F.transform(hits, lambda x: x["w"]["p"]))).drop("_side")
-    covered = F.aggregate("_at", F.struct(F.lit(0).alias("last"), F.lit(0).alias("n")), lambda acc, p: F.struct((p + 2).alias("last"), (acc["n"] + F.least(F.lit(3), p + 2 - acc["last"])).alias("n")), lambda acc: acc["n"])
-    return five.withColumn("n_repeat_words", F.coalesce(covered, F.lit(0)).cast("long")).drop("_at")
+    words = F.regexp_extract_all(body, F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))
+    lines = F.filter(F.split(body, "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
+    of_words = _let(words, lambda w: F.struct(F.size(w).cast("long").alias("n_words"), _repeated(w).cast("long").alias("n_repeat_words")))
+    of_lines = _let(lines, lambda x: F.struct(F.size(x).cast("long").alias("n_lines"), (F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines")))
+    out = docs.withColumns({"_w": of_words, "_l": of_lines, "word_chars": _without(body, BLANKS).cast("long"), "n_symbols": (F.length(body) - _without(body, SYMBOLS)).cast("long")})
+    return out.withColumns({c: F.col(f"{g}.{c}") for g, c in (("_w", "n_words"), ("_w", "n_repeat_words"), ("_l", "n_lines"), ("_l", "n_dup_lines"))}).drop("_w", "_l")
 
 
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words")

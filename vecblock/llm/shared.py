@@ -60,8 +60,9 @@ def input_bytes(df: DataFrame) -> int:
 
 
 def bucket_count(df: DataFrame, bytes_each: int = 4 << 20, least: int = 64, most: int = 1 << 20) -> int:
-    """A power of two such that one bucket holds about ``bytes_each`` of the input."""
-    want = max(least, min(most, input_bytes(df) // bytes_each))
+    """A power of two such that one bucket holds about ``bytes_each`` of the input; 256 where Catalyst has no estimate."""
+    size = input_bytes(df)
+    want = max(least, min(most, size // bytes_each)) if size < 1 << 60 else max(least, 256)
     return 1 << (int(want) - 1).bit_length()
 
 

@@ -380,7 +380,7 @@ def write_token_file(docs: DataFrame, vocabulary: str, path: str, end_id: int =
     """Tokenise ``docs`` (doc_id, text) and write them under ``path`` in ascending doc_id order."""
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
-    parts = parts or bucket_count(docs, 4 << 20, least=16)
+    parts = parts or bucket_count(docs, 4 << 20, least=16, most=1 << 14)
     cuts = docs.select(F.col("doc_id").cast("double").alias("d")).where("d IS NOT NULL").approxQuantile("d", [k / parts for k in range(1, parts)], 0.2 / parts) if parts > 1 else []
     bounds = np.unique(np.array(cuts, np.float64))
     packed = X.pack_texts(docs)
