@@ -15,7 +15,9 @@ times.  A pair is a candidate if it shares a table and AGREE tuples in all.
 Each meeting gives a spanning forest of its candidate pairs,
 linear in its members; the connected parts of all forests are clusters.  Crowds
 are thinned before the shuffle: members that agree with a local head almost
-everywhere send their link to it and let it stand for them in that meeting.  Full
+everywhere send their link to it and let it stand for them in that meeting.  The head
+carries their least and largest size and the number of tuples in which one of them
+differs from it, and takes every candidate that any of them could have.  Full
 shingle sets travel to their cluster once, in blocks of bounded size, where every
 link is confirmed: a document outside the largest component found so far is
 counted against all others by an inverted index, so no link between
@@ -165,7 +167,7 @@ def _deal(buckets: int):
             sides = [np.asarray(batch.column(c).values.to_numpy())[batch.column(c).offsets[0].as_py() : batch.column(c).offsets[-1].as_py()].reshape(m, -1) for c in ("left", "right")]
             to = (sides[0].view(np.uint64) % _U(buckets)).astype(np.int64)
             small = np.hstack(sides).view(np.uint64).astype(np.uint32)
-            apart, pairs = _thin(rep, n.astype(np.int64), small)
+            apart, least, most, loose, pairs = _thin(rep, n.astype(np.int64), small)
             outs, blocks = [], []
             if len(pairs):
                 outs.append(int(len(pairs) % buckets))
@@ -173,16 +175,22 @@ def _deal(buckets: int):
             for b in np.unique(to[apart]).tolist():
                 row, group = np.nonzero((to == b) & apart)
                 outs.append(b)
-                blocks.append(b"E" + K.pack(rep[row], n[row].astype(np.uint32), group.astype(np.uint8), *small[row].T))
+                blocks.append(b"E" + K.pack(rep[row], least[row, group].astype(np.uint32), most[row, group].astype(np.uint32), loose[row, group], group.astype(np.uint8), *small[row].T))
             yield pa.RecordBatch.from_arrays([pa.array(outs, pa.int32()), pa.array(blocks, pa.binary())], names=["bucket", "block"])
 
     return run
 
 
-def _thin(rep: np.ndarray, n: np.ndarray, sketch: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(who still goes to which meeting, links made): crowds of one batch leave their heads and the loosely tied."""
+def _thin(rep: np.ndarray, n: np.ndarray, sketch: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Crowds of one batch leave their heads and the loosely tied.
+
+    By row and meeting: whether it still goes there, the least and the largest size it stands for,
+    and the most tuples in which such a member differs from it; then the links made.
+    """
     groups = sketch.shape[1] // 2
     apart = np.ones((len(rep), groups), bool)
+    least, most = (np.repeat(n[:, None], groups, 1) for _ in range(2))
+    loose = np.zeros((len(rep), groups), np.uint8)
     pairs = []
     for i in range(groups):
         order = np.lexsort((rep, sketch[:, i]))
@@ -195,31 +203,35 @@ def _thin(rep: np.ndarray, n: np.ndarray, sketch: np.ndarray) -> tuple[np.ndarra
                 if len(open_) < 2:
                     break
                 head, rest = open_[0], open_[1:]
-                near = ((sketch[rest] == sketch[head]).sum(1) >= TIGHT) & _fit_sizes(n[rest], n[head], 80)
+                same = (sketch[rest] == sketch[head]).sum(1)
+                near = (same >= TIGHT) & _fit_sizes(n[rest], n[head], 80)
                 apart[rest[near], i] = False
+                least[head, i] = n[rest[near]].min(initial=n[head])
+                most[head, i] = n[rest[near]].max(initial=n[head])
+                loose[head, i] = 2 * groups - same[near].min(initial=2 * groups)
                 pairs.append(np.stack([np.full(int(near.sum()), rep[head]), rep[rest[near]]], 1))
                 open_ = rest[~near]
     made = np.unique(np.concatenate(pairs), axis=0) if pairs else np.zeros((0, 2), np.int64)
-    return apart, made
+    return apart, least, most, loose, made
 
 
-def _by_center(rows: np.ndarray, rep: np.ndarray, sketch: np.ndarray, groups: int) -> np.ndarray:
-    """Rows of a meeting that share a table with another, most central first."""
+def _by_center(rows: np.ndarray, rep: np.ndarray, sketch: np.ndarray, groups: int, all_rows: bool = False) -> np.ndarray:
+    """Rows of a meeting that share a table with another (or ``all_rows``), most central first."""
     central = np.zeros(len(rows), np.int64)
     for j in range(groups):
         _, at, count = np.unique(sketch[rows, groups + j], return_inverse=True, return_counts=True)
         central += count[at]
     order = np.lexsort((rep[rows], -central))
-    return rows[order[central[order] > groups]]
+    return rows[order if all_rows else order[central[order] > groups]]
 
 
 def _meetings(table: pa.Table, groups: int):
-    """Runs of rows that share a first-collection tuple: (rep, n, sketch matrix) of two or more."""
+    """Runs of rows that share a first-collection tuple: (rep, (least, most, loose), sketch matrix) of two or more."""
     parts = [K.unpack(x[1:]) for x in table.column("block").to_pylist() if x[:1] == b"E"]
     if not parts:
         return
-    rep, n, group = (np.concatenate([p[k] for p in parts]) for k in range(3))
-    sketch = np.stack([np.concatenate([p[3 + k] for p in parts]) for k in range(2 * groups)], 1)
+    rep, least, most, loose, group = (np.concatenate([p[k] for p in parts]) for k in range(5))
+    sketch = np.stack([np.concatenate([p[5 + k] for p in parts]) for k in range(2 * groups)], 1)
     own = sketch[np.arange(len(rep)), group]
     order = np.lexsort((rep, own, group))
     g, o = group[order], own[order]
@@ -227,7 +239,7 @@ def _meetings(table: pa.Table, groups: int):
     for a, b in zip(first.tolist(), [*first[1:].tolist(), len(order)]):
         if b - a > 1:
             at = order[a:b]
-            yield rep[at], n[at].astype(np.int64), sketch[at]
+            yield rep[at], (least[at].astype(np.int64), most[at].astype(np.int64), loose[at].astype(np.int64)), sketch[at]
 
 
 def _fit_sizes(n1: np.ndarray, n2: np.ndarray, percent: int) -> np.ndarray:
@@ -286,7 +298,8 @@ def _forests(groups: int, percent: int):
                 vs.append(v)
         for rep, n, sketch in _meetings(table, groups):
             forest = _Forest(len(rep))
-            open_ = _by_center(np.arange(len(rep)), rep, sketch, groups)
+            wide = np.flatnonzero(n[2])
+            open_ = _by_center(np.arange(len(rep)), rep, sketch, groups, len(wide) > 0)
             rows = np.sort(open_)
             for _ in range(HEADS):
                 if len(open_) < 2:
@@ -295,6 +308,11 @@ def _forests(groups: int, percent: int):
                 hit = _candidates(head, rest, n, sketch, groups, percent)
                 forest.join(int(head), rest[hit])
                 open_ = rest[~hit]
+            for x in wide.tolist():  # what they accept may share no further tuple
+                top = forest.labels()
+                rest = np.flatnonzero(top != top[x])
+                if len(rest):
+                    forest.join(x, rest[_candidates(x, rest, n, sketch, groups, percent)])
             _agreeing(rows, n, forest, sketch, groups, percent, ())
             if forest.edges:
                 e = np.array(forest.edges)
@@ -305,13 +323,21 @@ def _forests(groups: int, percent: int):
     return run
 
 
-def _candidates(x: int, rest: np.ndarray, n: np.ndarray, sketch: np.ndarray, groups: int, percent: int) -> np.ndarray:
-    """Which of ``rest`` share a table with x, agree in AGREE tuples, and have a size that allows a link."""
+def _candidates(x: int, rest: np.ndarray, n: tuple[np.ndarray, np.ndarray, np.ndarray], sketch: np.ndarray, groups: int, percent: int) -> np.ndarray:
+    """Which of ``rest``, all of one meeting, share a table with x, agree in AGREE tuples, and have a size that allows a link.
+
+    A row answers for the members it stands for: one that differs from it in ``loose`` tuples may have so many
+    more in common with the other side, and its table with it.
+    """
+    least, most, loose = n
     same = sketch[rest] == sketch[x]
-    return (same.sum(1) >= AGREE) & same[:, :groups].any(1) & same[:, groups:].any(1) & _fit_sizes(n[rest], n[x], percent)
+    apart = loose[rest] + loose[x]
+    table = same[:, :groups].any(1) & same[:, groups:].any(1)
+    size = (100 * most[x] >= percent * least[rest]) & (100 * most[rest] >= percent * least[x])
+    return (same.sum(1) >= AGREE - apart) & (table | (apart > 0)) & size
 
 
-def _agreeing(rows: np.ndarray, n: np.ndarray, forest: _Forest, sketch: np.ndarray, groups: int, percent: int, used: tuple[int, ...]) -> None:
+def _agreeing(rows: np.ndarray, n: tuple[np.ndarray, np.ndarray, np.ndarray], forest: _Forest, sketch: np.ndarray, groups: int, percent: int, used: tuple[int, ...]) -> None:
     """Join what the heads left apart: candidates of different trees among ``rows``."""
     label = forest.labels()[rows]
     if len(rows) < 2 or (label == label[0]).all():
