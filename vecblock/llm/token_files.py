@@ -33,8 +33,10 @@ from vecblock.llm import kernels as K
 from vecblock.llm.shared import Stored, bucket_count
 
 LIMIT, STRIDE, BLOCK = 16, 128, 1 << 19
-#: Slots of a worker's piece table (14 bytes each); it is emptied when half full.
+#: Slots of a worker's piece table (14 bytes each); it is emptied when half full, and larger only for a slice that needs it.
 SLOTS = 1 << 21
+#: Bytes of the longest span that enters the piece table.
+LONG = 1 << 10
 #: White space beyond ASCII, and the mark of special strings: such texts go to the library whole.
 _ODD = re.compile(rb"\xc2[\x85\xa0]|\xe1\x9a\x80|\xe2\x80[\x80-\x8a\xa8\xa9\xaf]|\xe2\x81\x9f|\xe3\x80\x80|<\|")
 
@@ -101,10 +103,12 @@ class PieceTable:
     """Hash table from 64-bit piece hashes to runs of ids, probed for whole arrays."""
 
     def __init__(self, kind, slots: int = SLOTS):
-        self.kind, self.slots = kind, slots
+        self.kind, self.least = kind, slots
         self.clear()
 
-    def clear(self) -> None:
+    def clear(self, n: int = 0) -> None:
+        """Empty, with room for ``n`` pieces at least."""
+        self.slots = max(self.least, 1 << (2 * n).bit_length())
         self.key = np.zeros(self.slots, np.uint64)
         self.at = np.zeros(self.slots, np.int32)
         self.size = np.zeros(self.slots, np.uint16)
@@ -157,7 +161,7 @@ class PieceTable:
 class Encoder:
     """Ids of whole texts by the library, which sees a distinct blank-separated piece once.
 
-    The table of pieces has a fixed size and never changes a result.
+    The table of pieces never changes a result.
     """
 
     def __init__(self, path: str):
@@ -202,28 +206,42 @@ class Encoder:
         get = dict(zip(names, self._runs(names))).__getitem__
         return [get(p[0]) if len(p) == 1 else b"".join(map(get, p)) for p in parts]
 
-    def encode(self, texts: list[bytes]) -> list[bytes]:
-        """Ids of UTF-8 texts, packed."""
-        odd = {k for k, t in enumerate(texts) if _ODD.search(t)}
-        plain = [b"" if k in odd else t for k, t in enumerate(texts)]
-        raw = np.frombuffer(b"".join(plain), np.uint8)
-        off = np.concatenate([[0], np.cumsum(np.fromiter(map(len, plain), np.int64, len(plain)))])
-        s, e, unsettled = split_classes(raw, *piece_spans(raw, off))
+    def _looked_up(self, raw: np.ndarray, s: np.ndarray, e: np.ndarray, unsettled: np.ndarray, words) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all spans, ids of each) by the table, which learns what it lacks."""
         h = np.maximum(K.span_hashes(raw, s, e), np.uint64(1))
         slot = self.table.find(h)
         miss = np.flatnonzero(slot < 0)
         if len(miss):
             new, where = np.unique(h[miss], return_index=True)
             if self.table.n + len(new) > self.table.slots // 2:
-                self.table.clear()
                 new, where = np.unique(h, return_index=True)
                 miss = np.arange(len(h))
+                self.table.clear(len(new))
             at = miss[where]
-            view = raw.tobytes()
-            runs = self._learn([str(view[a:b], "utf-8") for a, b in zip(s[at].tolist(), e[at].tolist())], unsettled[at])
-            self.table.add(new, runs)
+            self.table.add(new, self._learn(words(s[at], e[at]), unsettled[at]))
             slot[miss] = self.table.find(h[miss])
-        flat, size = self.table(slot)
+        out = self.table(slot)
+        if self.table.slots > self.table.least:
+            self.table.clear()
+        return out
+
+    def encode(self, texts: list[bytes]) -> list[bytes]:
+        """Ids of UTF-8 texts, packed."""
+        odd = {k for k, t in enumerate(texts) if _ODD.search(t)}
+        plain = [b"" if k in odd else t for k, t in enumerate(texts)]
+        raw = np.frombuffer(b"".join(plain), np.uint8)
+        off = np.concatenate([[0], np.cumsum(np.fromiter(map(len, plain), np.int64, len(plain)))])
+        s, e, unsettled = split_classes(raw, *piece_spans(raw, off))
+        view = raw.tobytes()
+        words = lambda a, b: [str(view[i:j], "utf-8") for i, j in zip(a.tolist(), b.tolist())]
+        long = e - s > LONG
+        flat, size = self._looked_up(raw, s[~long], e[~long], unsettled[~long], words)
+        if long.any():
+            past = [np.array(x.ids, self.type) for x in self.tok.encode_batch_fast(words(s[long], e[long]), add_special_tokens=False)]
+            at = np.flatnonzero(long) - np.arange(len(past))  # short spans before each
+            runs = np.split(flat, np.concatenate([[0], np.cumsum(size)])[at])
+            flat = np.concatenate([x for pair in zip(runs, past) for x in pair] + runs[-1:])
+            size = np.insert(size, at, [len(x) for x in past])
         edge = np.concatenate([[0], np.cumsum(size)])[np.searchsorted(s, off)].tolist()
         body, w = flat.tobytes(), flat.itemsize
         return [self._ids(str(t, "utf-8")) if k in odd else body[w * a : w * b] for k, (t, a, b) in enumerate(zip(texts, edge, edge[1:]))]
