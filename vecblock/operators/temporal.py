@@ -12,46 +12,85 @@ from vecblock.functions import arrays as A
 from vecblock.functions import metrics as M
 from vecblock.operators import exact
 
-MAX_CHAIN = 20_000
+#: Queries up to which each step of a chain looks at all of them.
+DIRECT = 2_000
+#: Cells that a step opens at once.
+OPEN = 8
+
+
+class _Cells:
+    """Unused rows in cells around sampled rows; a cell whose bound exceeds the best distance stays closed."""
+
+    def __init__(self, ids: np.ndarray, x: np.ndarray, metric: str):
+        self.ids, self.x, self.metric = ids, x, metric
+        k = int(np.sqrt(len(ids)))
+        self.center = x[np.random.default_rng(0).choice(len(ids), k, replace=False)]
+        near, far = np.zeros(len(ids), np.int64), np.full(len(ids), np.inf)
+        for c in range(k):
+            d = A.distance(self.center[c], x, metric)
+            near[d < far] = c
+            far = np.minimum(far, d)
+        self.cell = near
+        self.radius = np.zeros(k)
+        np.maximum.at(self.radius, near, far)
+        order = np.argsort(near, kind="stable")
+        self.rows = np.split(order, np.cumsum(np.bincount(near, minlength=k))[:-1])
+        self.open_ = np.array([len(r) > 0 for r in self.rows])
+
+    def drop(self, at: int) -> None:
+        c = self.cell[at]
+        self.rows[c] = self.rows[c][self.rows[c] != at]
+        self.open_[c] = len(self.rows[c]) > 0
+
+    def nearest(self, at: int) -> int:
+        """The nearest unused row, the lowest id among equals: exact by the triangle inequality."""
+        d = A.distance(self.x[at], self.center, self.metric)
+        bound = d - self.radius - 1e-9 * (d + self.radius)  # rounding
+        todo = np.flatnonzero(self.open_)
+        todo = todo[np.argsort(bound[todo])]
+        best, row = np.inf, -1
+        for k in range(0, len(todo), OPEN):
+            if bound[todo[k]] > best:
+                break
+            rows = np.concatenate([self.rows[c] for c in todo[k : k + OPEN].tolist()])
+            got = A.distance(self.x[at], self.x[rows], self.metric)
+            one = np.lexsort((self.ids[rows], got))[0]
+            if row < 0 or (got[one], self.ids[rows[one]]) < (best, self.ids[row]):
+                best, row = got[one], int(rows[one])
+        return row
+
+
+def chain(ids: np.ndarray, x: np.ndarray, metric: str = "l2") -> np.ndarray:
+    """Row numbers from the first row on, always the nearest unused one (the lowest id among equals)."""
+    cells = _Cells(ids, x, metric) if metric == "l2" and len(ids) > DIRECT else None
+    left = np.ones(len(ids), bool)
+    seq = np.zeros(len(ids), np.int64)
+    for k in range(1, len(ids)):
+        at = int(seq[k - 1])
+        if cells:
+            cells.drop(at)
+            seq[k] = cells.nearest(at)
+            continue
+        left[at] = False
+        rest = np.flatnonzero(left)
+        seq[k] = rest[np.lexsort((ids[rest], A.distance(x[at], x[rest], metric)))[0]]
+    return seq
 
 
 def order_correlated(q: DataFrame, metric: str = "l2") -> DataFrame:
-    """(query_id, seq): start at the lowest id, then always the nearest unused query.
+    """(query_id, seq): start at the lowest id, then always the nearest unused query, at every size.
 
-    A chain is sequential; sets beyond MAX_CHAIN are chained inside the cells of
-    a coarse clustering, cell after cell.
+    A chain is sequential: one task holds all queries (8 bytes a coordinate).
     """
-    n = q.count()
-    cells = max(1, -(-n // MAX_CHAIN))
 
     def run(t: pa.Table) -> pa.Table:
         ids = t.column("query_id").to_numpy()
         order = np.argsort(ids, kind="stable")
         ids, x = ids[order], A.matrix(t.column("v"))[order]
-        left = np.ones(len(ids), bool)
-        at, seq = 0, []
-        for _ in range(len(ids)):
-            seq.append(ids[at])
-            left[at] = False
-            rest = np.flatnonzero(left)
-            if len(rest):
-                d = A.distance(x[at], x[rest], metric)
-                at = int(rest[np.lexsort((ids[rest], d))[0]])
-        cell = t.column("cell")[0].as_py()
-        return pa.table([pa.array(np.full(len(seq), cell, np.int64)), pa.array(seq, pa.int64()), pa.array(np.arange(len(seq)), pa.int64())], names=["cell", "query_id", "pos"])
-
-    if cells == 1:
-        part = q.select("query_id", M.doubles("v").alias("v"), F.lit(0).cast("long").alias("cell"))
-    else:
-        from vecblock.operators import partition, seeding
-
-        rows = q.select(F.col("query_id").alias("vec_id"), "v")
-        centers = np.array([r.v for r in seeding.random(rows, cells).orderBy("pos").collect()])
-        part = partition.assign(rows, centers).select(F.col("vec_id").alias("query_id"), "v", F.col("cluster").alias("cell"))
-    chained = part.groupBy("cell").applyInArrow(run, "cell long, query_id long, pos long")
-    size = chained.groupBy("cell").agg(F.count("*").alias("k"))
-    ahead = size.select("cell", (F.sum("k").over(Window.orderBy("cell")) - F.col("k")).alias("ahead"))  # a row per cell
-    return chained.join(F.broadcast(ahead), "cell").select("query_id", (F.col("ahead") + F.col("pos")).alias("seq"))
+        return pa.table([pa.array(ids[chain(ids, x, metric)], pa.int64()), pa.array(np.arange(len(ids)), pa.int64())], names=["query_id", "seq"])
+
+    part = q.select("query_id", M.doubles("v").alias("v"), F.lit(0).cast("long").alias("cell"))
+    return part.groupBy("cell").applyInArrow(run, "query_id long, seq long")
 
 
 def order_random(q: DataFrame, seed: int = 42) -> DataFrame:
