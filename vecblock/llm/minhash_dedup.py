@@ -419,10 +419,11 @@ def _place(width: int):
 
 def _settle_block(percent: int):
     def run(table: pa.Table) -> pa.Table:
-        rep = table.column("rep").to_numpy()
-        rep, one = np.unique(rep, return_index=True)
-        items = table.column("items")
-        edges = linked([np.frombuffer(items[i].as_py(), np.uint64) for i in one.tolist()], percent)
+        order = np.argsort(table.column("rep").to_numpy(), kind="stable").tolist()
+        ids, items = table.column("rep"), table.column("items")
+        own = dict.fromkeys((ids[i].as_py(), items[i].as_py()) for i in order)  # an id may stand for several sets
+        rep = np.array([k for k, _ in own], np.int64)
+        edges = linked([np.frombuffer(x, np.uint64) for _, x in own], percent)
         if not edges:
             return _NO_PAIRS
         e = np.array(edges)
