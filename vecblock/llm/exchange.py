@@ -1,19 +1,25 @@
-"""A compact keyed exchange: hashed entries of documents meet in buckets, verdicts return per document.
-
-A document emits entries (hash, position).  Tasks group their entries by hash
-bucket and send one packed block for each chunk of texts and bucket, so that a
-shuffled row stands for thousands of entries.  What a chunk can settle itself is
-settled before the shuffle, hence a hash that every document holds reaches its
-bucket once or twice per chunk and not once per document.  Buckets answer with
-the positions concerned, packed per document.
-
-A row is known by its doc_id and 16 bits of a checksum of its text, so rows that
-share a doc_id but not a text stay apart.  A null doc_id sorts after all others.
+"""A compact keyed exchange: hashed entries of documents meet in buckets, verdicts return to their chunk.
+
+Documents are written once to the shared folder in chunks of a few megabytes of
+compressed text; a chunk has a random name, and a row is known by its chunk and
+its place there, so rows that share a doc_id, or have none, are never mixed up.
+
+A chunk emits entries (hash, check, position).  Entries for one hash bucket travel
+as one packed block, so that a shuffled row stands for thousands of entries; in
+Spark's row format a row per entry would alone shuffle several times the
+input.  What a chunk can settle itself is settled before the shuffle, hence a
+hash that every document holds reaches its bucket once per chunk and not once per
+document.  With more than FAN buckets, entries go in two steps: coarse buckets
+gather the blocks of many chunks, settle them once more and cut them finer.  Buckets
+answer with the positions concerned, packed per chunk.
+
+Documents are compared by doc_id; a null doc_id comes after all others.
 """
 
 from __future__ import annotations
 
 import hashlib
+import uuid
 import zlib
 from collections.abc import Callable, Iterator
 
@@ -23,170 +29,299 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecblock.llm import kernels as K
+from vecblock.llm.shared import Stored
 
+CHUNK_BYTES = 2 << 20
+#: Most buckets of one step.
+FAN = 4096
+#: Entries that the first of two steps gathers before it cuts them finer.
+GATHER = 4 << 20
 #: A bucket is judged in so many turns, to bound the memory of sorting it.
-TURNS = 8
-NO_ID = np.iinfo(np.int64).max
+TURNS = 4
+CHUNK = "chunk binary, n_raw long, head binary, body binary"
 BLOCK = "bucket int, block binary"
-VERDICT = "doc_key long, tie int, at binary"
+VERDICT = "chunk binary, at binary"
+_CHUNK = pa.schema([("chunk", pa.binary()), ("n_raw", pa.int64()), ("head", pa.binary()), ("body", pa.binary())])
 _BLOCK = pa.schema([("bucket", pa.int32()), ("block", pa.binary())])
-_VERDICT = pa.schema([("doc_key", pa.int64()), ("tie", pa.int32()), ("at", pa.binary())])
+_VERDICT = pa.schema([("chunk", pa.binary()), ("at", pa.binary())])
 
-#: entries(raw, off) -> (doc row, position, hash, second hash or None)
-Entries = Callable[[np.ndarray, np.ndarray], tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray | None]]
-#: settle(hash, second, doc_key) -> (keep mask, hit mask, flag per entry): what a chunk decides by itself
-Settle = Callable[[np.ndarray, "np.ndarray | None", np.ndarray], tuple[np.ndarray, np.ndarray, np.ndarray]]
-#: decide(hash, second, doc_key, flag) -> hit mask
-Decide = Callable[[np.ndarray, "np.ndarray | None", np.ndarray, np.ndarray], np.ndarray]
+#: entries(raw, off) -> parts of (row, position, hash, check)
+Entries = Callable[[np.ndarray, np.ndarray], Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]]
+#: settle(hash, check, document rank) -> (keep mask, hit mask): what some entries decide among themselves;
+#: the kept ones must lead all others to the same decision as if all were there
+Settle = Callable[[np.ndarray, np.ndarray, np.ndarray], tuple[np.ndarray, np.ndarray]]
+#: decide(hash, check, document rank) -> hit mask
+Decide = Callable[[np.ndarray, np.ndarray, np.ndarray], np.ndarray]
 
 
-def row_keys(ids: pa.Array, raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    keys = ids.cast(pa.int64()).fill_null(NO_ID).to_numpy(zero_copy_only=False)
-    view = memoryview(np.ascontiguousarray(raw))
-    tie = np.fromiter((zlib.crc32(view[a:b]) & 0xFFFF for a, b in zip(off[:-1].tolist(), off[1:].tolist())), np.int32, len(off) - 1)
-    return keys, tie
+def ranks(ids: np.ndarray, null: np.ndarray) -> np.ndarray:
+    """Small numbers in the order of the ids, nulls last."""
+    known = np.unique(ids[~null])
+    return np.where(null, len(known), np.searchsorted(known, ids)).astype(np.int64)
 
 
-def _answer(keys, ties, row, pos) -> pa.RecordBatch | None:
-    """One packed verdict for each document row that has hits; entries come ordered by row."""
-    if not len(row):
-        return None
-    first = np.flatnonzero(np.diff(row, prepend=-1))
-    last = np.append(first[1:], len(row))
-    at = [K.pack(K.deltas(np.sort(pos[a:b])).astype(np.uint32)) for a, b in zip(first.tolist(), last.tolist())]
-    who = row[first]
-    return pa.RecordBatch.from_arrays([pa.array(keys[who], pa.int64()), pa.array(ties[who], pa.int32()), pa.array(at, pa.binary())], schema=_VERDICT)
+# --- chunks ----------------------------------------------------------------------
 
 
-def _emit(entries: Entries, settle: Settle, buckets: int):
-    shift = np.uint64(64 - max(1, buckets.bit_length() - 1))
+class Chunk:
+    """Rows of a chunk: ``raw[off[i]:off[i+1]]`` is text i; ``there`` is false where it is null."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    __slots__ = ("ids", "null", "off", "raw", "there")
+
+    def __init__(self, ids, null, there, off, raw):
+        self.ids, self.null, self.there, self.off, self.raw = ids, null, there, off, raw
+
+    @classmethod
+    def open(cls, batch: pa.RecordBatch, k: int, with_text: bool = True) -> Chunk:
+        ids, flags, size = K.unpack(batch.column("head")[k].as_buffer())
+        raw = np.zeros(0, np.uint8)
+        if with_text and batch.column("n_raw")[k].as_py():
+            raw = np.frombuffer(pa.decompress(batch.column("body")[k].as_buffer(), batch.column("n_raw")[k].as_py(), codec="zstd"), np.uint8)
+        return cls(np.cumsum(ids), (flags & 1) > 0, (flags & 2) > 0, np.concatenate([[0], np.cumsum(size.astype(np.int64))]), raw)
+
+    def texts(self) -> Iterator[bytes]:
+        for a, b in zip(self.off[:-1].tolist(), self.off[1:].tolist()):
+            yield self.raw[a:b].tobytes()
+
+    def doc_ids(self) -> pa.Array:
+        return pa.array(self.ids, pa.int64(), mask=self.null)
+
+
+def doc_ids(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
+    """(ids, which are null) of a batch with a doc_id."""
+    col = batch.column("doc_id").cast(pa.int64())
+    return col.fill_null(0).to_numpy(zero_copy_only=False), col.is_null().to_numpy(zero_copy_only=False)
+
+
+def cut_chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, Chunk]]:
+    """(the columns of CHUNK, the open chunk) for runs of rows of about CHUNK_BYTES."""
+    for batch in batches:
+        raw, off = K.string_buffers(batch.column("text"))
+        ids, null = doc_ids(batch)
+        there = batch.column("text").is_valid().to_numpy(zero_copy_only=False)
+        for i, j in K.slices(off, CHUNK_BYTES):
+            c = Chunk(ids[i:j], null[i:j], there[i:j], off[i : j + 1] - off[i], raw[off[i] : off[j]])
+            head = K.pack(K.deltas(c.ids), c.null + 2 * c.there.astype(np.uint8), np.diff(c.off).astype(np.uint32))
+            body = pa.compress(c.raw.tobytes(), codec="zstd", asbytes=True) if len(c.raw) else b""
+            yield [uuid.uuid4().bytes, len(c.raw), head, body], c
+
+
+def chunked(docs: DataFrame) -> Stored:
+    """CHUNK rows of (doc_id, text), written to the shared folder: from here on a row's name is fixed."""
+
+    def run(batches):
+        for row, _ in cut_chunks(batches):
+            yield pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(row, _CHUNK)], schema=_CHUNK)
+
+    return Stored(docs.sparkSession, docs.select("doc_id", "text").mapInArrow(run, CHUNK), "chunks", compression="none")
+
+
+# --- blocks -----------------------------------------------------------------------
+
+
+class Gather:
+    """Entries of many blocks: a table of chunks, one of rows, and the entries."""
+
+    def __init__(self):
+        self.chunks: list[bytes] = []
+        self.parts: list[tuple] = []
+        self.rows = self.n = 0
+
+    def add(self, chunks: list[bytes], of: np.ndarray, at: np.ndarray, ids: np.ndarray, null: np.ndarray, row: np.ndarray, pos: np.ndarray, h: np.ndarray, g: np.ndarray) -> None:
+        self.parts.append((of + len(self.chunks), at, ids, null, row + self.rows, pos, h, g))
+        self.chunks += chunks
+        self.rows += len(at)
+        self.n += len(h)
+
+    def read(self, block: pa.Buffer) -> None:
+        data = memoryview(block)
+        n, m = int.from_bytes(data[1:9], "little"), int.from_bytes(data[9:17], "little")
+        chunks = [bytes(data[17 + 16 * k : 33 + 16 * k]) for k in range(n)]
+        start = 17 + 16 * n
+        of, at, ids, null, count, step = K.unpack(data[start : start + m])
+        row = np.repeat(np.arange(len(at), dtype=np.int32), count)
+        total = np.cumsum(step, dtype=np.uint32)  # steps begin anew with each row
+        first = np.cumsum(count.astype(np.int64)) - count
+        base = np.where(first > 0, total[np.maximum(first - 1, 0)], np.uint32(0)) if len(total) else total
+        pos = total - base[row]
+        h = np.frombuffer(data, np.uint64, len(pos), start + m)
+        g = np.frombuffer(data, np.uint32, len(pos), start + m + 8 * len(pos))
+        self.add(chunks, np.cumsum(of).astype(np.int32), at, np.cumsum(ids), null > 0, row, pos, h, g)
+
+    def close(self) -> None:
+        """One array of each kind; ``rank`` orders the rows' documents."""
+        of, at, ids, null, self.row, self.pos, self.h, self.g = (np.concatenate(x) for x in zip(*self.parts))
+        self.parts = []
+        self.of, self.at, self.ids, self.null = of, at, ids, null
+        self.rank = ranks(ids, null).astype(np.int32)
+
+    def block(self, pick: np.ndarray) -> bytes:
+        """Some entries, ascending, as a block."""
+        row = self.row[pick]
+        first = np.flatnonzero(np.diff(row, prepend=-1))
+        who = row[first]
+        of = self.of[who]
+        names, where = np.unique(of, return_inverse=True)
+        count = np.diff(np.append(first, len(row)))
+        step = self.pos[pick]
+        step[1:] -= np.where(np.diff(row) == 0, step[:-1], np.uint32(0))
+        body = K.pack(K.deltas(where), self.at[who], K.deltas(self.ids[who]), self.null[who].astype(np.uint8), count.astype(np.uint32), step)
+        return b"E" + len(names).to_bytes(8, "little") + len(body).to_bytes(8, "little") + b"".join(self.chunks[k] for k in names.tolist()) + body + self.h[pick].tobytes() + self.g[pick].tobytes()
+
+    def answers(self, pick: np.ndarray) -> Iterator[tuple[bytes, bytes]]:
+        """(chunk, packed rows and positions) for some entries, ascending."""
+        row, pos = self.row[pick], self.pos[pick]
+        of = self.of[row]
+        edge = np.flatnonzero(np.diff(of, prepend=-1))
+        for a, b in zip(edge.tolist(), [*edge[1:].tolist(), len(of)]):
+            yield self.chunks[of[a]], K.pack(self.at[row[a:b]], pos[a:b])
+
+
+def _known(answer: tuple[bytes, bytes]) -> bytes:
+    return b"D" + answer[0] + answer[1]
+
+
+def _parted(g: Gather, keep: np.ndarray, hit: np.ndarray, shift: int, bits: int, base: int) -> pa.RecordBatch | None:
+    """Blocks of the kept entries by the hash bits below ``shift``, and what is settled already."""
+    out_b, out_p = [], []
+    for answer in g.answers(np.flatnonzero(hit)):  # passes through any bucket
+        out_b.append(base + zlib.crc32(answer[0]) % (1 << bits))
+        out_p.append(_known(answer))
+    pick = np.flatnonzero(keep)
+    if len(pick):
+        to = ((g.h[pick] >> np.uint64(shift)) & np.uint64((1 << bits) - 1)).astype(np.uint16)
+        order = np.argsort(to, kind="stable")
+        to, pick = to[order], pick[order]
+        edge = np.flatnonzero(np.diff(to.astype(np.int64), prepend=-1))
+        for a, b in zip(edge.tolist(), [*edge[1:].tolist(), len(to)]):
+            out_b.append(base + int(to[a]))
+            out_p.append(g.block(pick[a:b]))
+    return pa.RecordBatch.from_arrays([pa.array(out_b, pa.int32()), pa.array(out_p, pa.binary())], schema=_BLOCK) if out_b else None
+
+
+def _emit(entries: Entries, settle: Settle, bits: int):
+    def run(batches):
         for batch in batches:
-            raw, off = K.string_buffers(batch.column("text"))
-            for i, j in K.slices(off, 8 * K.SEGMENT):
-                part, cut = raw[off[i] : off[j]], off[i : j + 1] - off[i]
-                row, pos, h, second = entries(part, cut)
-                if not len(h):
-                    continue
-                keys, ties = row_keys(batch.column("doc_id").slice(i, j - i), part, cut)
-                keep, hit, flag = settle(h, second, keys[row])
-                out_b, out_p = [], []
-                if hit.any():  # already known; passes through any bucket
-                    r, p = row[hit], pos[hit]
-                    out_b.append(int(cut[-1] % buckets))
-                    out_p.append(b"D" + _doc_block(keys, ties, r, p))
-                row, pos, h, flag = row[keep], pos[keep], h[keep], flag[keep]
-                second = None if second is None else second[keep]
-                to = (h >> shift).astype(np.int64) if buckets > 1 else np.zeros(len(h), np.int64)
-                order = np.argsort(to, kind="stable")
-                edge = np.searchsorted(to[order], np.arange(buckets + 1)) if buckets <= 4 * len(h) else None
-                present = range(buckets) if edge is not None else np.unique(to).tolist()
-                for b in present:
-                    lo, hi = (edge[b], edge[b + 1]) if edge is not None else np.searchsorted(to[order], [b, b + 1])
-                    if lo == hi:
+            for k in range(len(batch)):
+                c, name = Chunk.open(batch, k), batch.column("chunk")[k].as_py()
+                n = len(c.ids)
+                for row, pos, h, check in entries(c.raw, c.off):
+                    if not len(h):
                         continue
-                    pick = order[lo:hi]
-                    body = _doc_block(keys, ties, row[pick], pos[pick], flag[pick])
-                    tail = h[pick].tobytes() + (b"" if second is None else second[pick].tobytes())
-                    out_b.append(int(b))
-                    out_p.append(b"E" + len(body).to_bytes(8, "little") + body + tail)
-                if out_b:
-                    yield pa.RecordBatch.from_arrays([pa.array(out_b, pa.int32()), pa.array(out_p, pa.binary())], schema=_BLOCK)
+                    g = Gather()
+                    g.add([name], np.zeros(n, np.int32), np.arange(n, dtype=np.uint32), c.ids, c.null, row.astype(np.int32), pos.astype(np.uint32), h, check)
+                    g.close()
+                    out = _parted(g, *settle(g.h, g.g, g.rank[g.row]), 64 - bits, bits, 0)
+                    if out is not None:
+                        yield out
 
     return run
 
 
-def _doc_block(keys, ties, row, pos, flag=None) -> bytes:
-    first = np.flatnonzero(np.diff(row, prepend=-1))
-    who = row[first]
-    count = np.diff(np.append(first, len(row)))
-    step = pos.astype(np.int64).copy()
-    step[1:] -= np.where(np.diff(row) == 0, pos[:-1], 0)
-    return K.pack(K.deltas(keys[who]), ties[who].astype(np.uint16), count.astype(np.uint32), step.astype(np.uint32), np.zeros(0, np.uint8) if flag is None else flag.astype(np.uint8))
-
-
-def _read_docs(block: bytes):
-    keys, ties, count, step, flag = K.unpack(block)
-    keys = np.cumsum(keys)
-    row = np.repeat(np.arange(len(keys)), count)
-    total = np.cumsum(step.astype(np.int64))
-    first = np.cumsum(count.astype(np.int64)) - count
-    base = np.where(first > 0, total[np.maximum(first - 1, 0)], 0)
-    return keys, ties.astype(np.int32), row, total - base[row], flag
-
-
-def _judge(decide: Decide, paired: bool):
-    def run(table: pa.Table) -> pa.Table:
-        keys, ties, rows, at, flags, hashes, seconds, known = [], [], [], [], [], [], [], []
-        base = 0
-        for block in table.column("block").to_pylist():
-            if block[:1] == b"D":
-                known.append(_answer(*_read_docs(block[1:])[:4]))
-                continue
-            n = int.from_bytes(block[1:9], "little")
-            k, t, r, p, f = _read_docs(block[9 : 9 + n])
-            m = len(r)
-            keys.append(k)
-            ties.append(t)
-            rows.append((r + base).astype(np.int32 if base + len(k) < 2**31 else np.int64))
-            at.append(p.astype(np.uint32))
-            flags.append(f)
-            hashes.append(np.frombuffer(block, np.uint64, m, 9 + n))
-            if paired:
-                seconds.append(np.frombuffer(block, np.uint64, m, 9 + n + 8 * m))
-            base += len(k)
-        out = [x for x in known if x is not None]
-        if keys:
-            keys, ties, rows = np.concatenate(keys), np.concatenate(ties), np.concatenate(rows)
-            at, flags, hashes = np.concatenate(at), np.concatenate(flags), np.concatenate(hashes)
-            seconds = np.concatenate(seconds) if paired else None
-            # equal hashes fall into the same turn, so the turns can be judged one by one
-            hit = np.zeros(len(hashes), bool)
-            turn = ((hashes >> np.uint64(8)) % np.uint64(TURNS)).astype(np.uint8)
-            for k in range(TURNS):
-                mine = np.flatnonzero(turn == k)
-                if len(mine):
-                    hit[mine] = decide(hashes[mine], seconds[mine] if paired else None, keys[rows[mine]], flags[mine])
-            got = _answer(keys, ties, rows[hit], at[hit])
-            if got is not None:
-                out.append(got)
-        return pa.Table.from_batches(out, schema=_VERDICT)
+def _finer(settle: Settle, shift: int, bits: int):
+    """Coarse buckets: the blocks of many chunks, settled together and cut by the next bits of their hashes."""
+
+    def cut(g: Gather, base: int) -> pa.RecordBatch | None:
+        g.close()
+        return _parted(g, *settle(g.h, g.g, g.rank[g.row]), shift, bits, base << bits)
+
+    def run(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        base, g = key[0].as_py(), Gather()
+        for batch in batches:
+            for block in batch.column("block"):
+                data = block.as_buffer()
+                if data[:1].to_pybytes() == b"D":
+                    yield pa.RecordBatch.from_arrays([pa.array([base << bits], pa.int32()), pa.array([data.to_pybytes()], pa.binary())], schema=_BLOCK)
+                    continue
+                g.read(data)
+                if g.n >= GATHER:
+                    out = cut(g, base)
+                    g = Gather()
+                    if out is not None:
+                        yield out
+        if g.n:
+            out = cut(g, base)
+            if out is not None:
+                yield out
 
     return run
 
 
-def exchange(docs: DataFrame, entries: Entries, settle: Settle, decide: Decide, paired: bool, buckets: int) -> DataFrame:
-    """(doc_key, tie, at): for each document row, packed positions of the entries that ``decide`` or ``settle`` hit."""
-    sent = docs.select("doc_id", "text").mapInArrow(_emit(entries, settle, buckets), BLOCK)
-    heard = sent.groupBy("bucket").applyInArrow(_judge(decide, paired), VERDICT)
-    return heard.groupBy("doc_key", "tie").agg(F.collect_list("at").alias("at"))
+def _answered(answers: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([a for a, _ in answers], pa.binary()), pa.array([b for _, b in answers], pa.binary())], schema=_VERDICT)
+
 
+def _judge(decide: Decide):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        g, known = Gather(), []
+        for batch in batches:
+            for block in batch.column("block"):
+                data = block.as_buffer()
+                if data[:1].to_pybytes() == b"D":
+                    body = data.to_pybytes()
+                    known.append((body[1:17], body[17:]))
+                    if len(known) >= 256:
+                        yield _answered(known)
+                        known = []
+                else:
+                    g.read(data)
+        if known:
+            yield _answered(known)
+        if not g.n:
+            return
+        g.close()
+        # equal hashes fall into the same turn, so the turns can be judged one by one
+        hit = np.zeros(g.n, bool)
+        turn = ((g.h >> np.uint64(8)) % np.uint64(TURNS)).astype(np.uint8)
+        for k in range(TURNS):
+            mine = np.flatnonzero(turn == k)
+            if len(mine):
+                hit[mine] = decide(g.h[mine], g.g[mine], g.rank[g.row[mine]])
+        answers = list(g.answers(np.flatnonzero(hit)))
+        if answers:
+            yield _answered(answers)
+
+    return run
 
-def positions(at: list[bytes] | None) -> np.ndarray:
-    """All positions of one document, ascending."""
+
+def exchange(chunks: DataFrame, entries: Entries, settle: Settle, decide: Decide, buckets: int) -> DataFrame:
+    """(chunk, at): packed rows and positions of the entries that ``decide`` or ``settle`` hit."""
+    bits = max(1, (buckets - 1).bit_length())
+    step = bits if 1 << bits <= FAN else (bits + 1) // 2
+    sent = chunks.mapInArrow(_emit(entries, settle, step), BLOCK)
+    if step < bits:
+        sent = sent.groupBy("bucket").applyInArrow(_finer(settle, 64 - bits, bits - step), BLOCK)
+    heard = sent.groupBy("bucket").applyInArrow(_judge(decide), VERDICT)
+    return heard.groupBy("chunk").agg(F.collect_list("at").alias("at"))
+
+
+def hits(at: list[bytes] | None) -> tuple[np.ndarray, np.ndarray]:
+    """(rows, positions) of all hits of one chunk, ascending."""
     if not at:
-        return np.zeros(0, np.int64)
-    return np.sort(np.concatenate([np.cumsum(K.unpack(x)[0].astype(np.int64)) for x in at]))
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    rows, places = (np.concatenate(x).astype(np.int64) for x in zip(*map(K.unpack, at)))
+    order = np.lexsort((places, rows))
+    return rows[order], places[order]
+
 
+# --- texts on their own way ----------------------------------------------------------
 
-_PACKED = pa.schema([("doc_id", pa.int64()), ("doc_key", pa.int64()), ("tie", pa.int32()), ("packed", pa.binary()), ("n_raw", pa.int64())])
+_PACKED = pa.schema([("doc_id", pa.int64()), ("packed", pa.binary()), ("n_raw", pa.int64())])
 
 
 def pack_texts(docs: DataFrame) -> DataFrame:
-    """(doc_id, doc_key, tie, packed, n_raw): texts compressed before they are shuffled; null packed for a null text."""
+    """(doc_id, packed, n_raw): texts compressed before they are shuffled; null packed for a null text."""
 
     def run(batches):
         for batch in batches:
             col = batch.column("text")
             raw, off = K.string_buffers(col)
-            keys, ties = row_keys(batch.column("doc_id"), raw, off)
             there = col.is_valid().to_numpy(zero_copy_only=False)
             size = np.diff(off)
             packed = [pa.compress(raw[a:b].tobytes(), codec="zstd", asbytes=True) if ok and b > a else (b"" if ok else None) for a, b, ok in zip(off[:-1].tolist(), off[1:].tolist(), there.tolist())]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(keys, pa.int64()), pa.array(ties, pa.int32()), pa.array(packed, pa.binary()), pa.array(size, pa.int64())], schema=_PACKED)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(packed, pa.binary()), pa.array(size, pa.int64())], schema=_PACKED)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, doc_key long, tie int, packed binary, n_raw long")
+    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, packed binary, n_raw long")
 
 
 def small_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -201,10 +336,8 @@ def unpack_text(packed: bytes | None, n_raw: int) -> bytes:
     return pa.decompress(packed, n_raw, codec="zstd", asbytes=True) if packed else b""
 
 
-def answered(docs: DataFrame, verdicts: DataFrame) -> DataFrame:
-    """Every document row (compressed text) with its verdicts, or null."""
-    return pack_texts(docs).join(verdicts, ["doc_key", "tie"], "left")
-
-
 def sha256_hex(data: bytes) -> str:
     return hashlib.sha256(data).hexdigest()
+
+
+__all__ = ["Chunk", "Gather", "chunked", "cut_chunks", "doc_ids", "exchange", "hits", "pack_texts", "ranks", "sha256_hex", "small_batches", "unpack_text"]

@@ -1,14 +1,16 @@
 """Numpy kernels over the raw UTF-8 buffers of Arrow string batches.
 
-Words are maximal runs of bytes outside 0x20 and 0x09-0x0D.  A word's hash is a
-polynomial over its bytes taken from a prefix sum modulo 2**64, so a batch costs
-a handful of vector operations and no Python object per word.  Work proceeds in
-segments of a quarter megabyte: memory does not depend on the batch or on the
-length of one text.
+Words are maximal runs of bytes outside 0x20 and 0x09-0x0D.  A span's hash chains
+its bytes, eight at a time, through a bijective finaliser, so a batch costs a
+handful of vector operations and no Python object per word, and spans of at most
+eight bytes and one length never collide.  Windows of words are Rabin-Karp polynomials
+over word hashes, modulo 2**64 and, as a second opinion, modulo a prime.  Work proceeds in
+segments: memory does not depend on the batch or on the length of one text.
 """
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,11 +20,11 @@ SEGMENT = 1 << 18
 _U = np.uint64
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
-_LOWER = np.arange(256, dtype=np.uint8)
-_LOWER[65:91] += 32
-_BYTE = np.random.default_rng(20_011).integers(1, 2**63, 256, dtype=np.uint64) * _U(2) + _U(1)
-_BASE = 0x9E3779B97F4A7C13
+#: Bytes of the longest span that is hashed in place; longer ones are few per byte and go to hashlib one by one.
+IN_PLACE = 512
+_MASK = np.array([(1 << (8 * k)) - 1 for k in range(9)], np.uint64)
 _WORD_BASE = 0xD1342543DE82EF9B
+_PRIME, _PRIME_BASE = 2**31 - 1, 1_220_703_125
 _tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
@@ -67,15 +69,15 @@ def string_buffers(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Words:
-    """Word hashes of a run of texts: ``hash[bound[i]:bound[i+1]]`` are text i's."""
+    """Word hashes of a run of texts: ``hash[bound[i]:bound[i+1]]`` are text i's; ``check`` has second ones where asked for."""
 
-    __slots__ = ("bound", "end", "hash", "start")
+    __slots__ = ("bound", "check", "end", "hash", "start")
 
-    def __init__(self, hashes, start, end, bound):
-        self.hash, self.start, self.end, self.bound = hashes, start, end, bound
+    def __init__(self, hashes, start, end, bound, check=None):
+        self.hash, self.start, self.end, self.bound, self.check = hashes, start, end, bound, check
 
 
-def words(raw: np.ndarray, off: np.ndarray, lower: bool = False, space: np.ndarray = _SPACE) -> Words:
+def words(raw: np.ndarray, off: np.ndarray, lower: bool = False, space: np.ndarray = _SPACE, twice: bool = False) -> Words:
     """Hash every word; ``start``/``end`` are byte positions in ``raw``."""
     n = len(raw)
     edge = np.zeros(n + 1, bool)
@@ -92,35 +94,51 @@ def words(raw: np.ndarray, off: np.ndarray, lower: bool = False, space: np.ndarr
     start = np.flatnonzero(ink & after)
     end = np.flatnonzero(ink & before) + 1
     out = span_hashes(raw, start, end, lower)
-    return Words(out, start, end, np.searchsorted(start, off))
+    return Words(out, start, end, np.searchsorted(start, off), span_hashes(raw, start, end, lower, 1) if twice else None)
+
+
+def _lower8(w: np.ndarray) -> np.ndarray:
+    """A-Z lower-cased in each of the eight bytes."""
+    low = w & _U(0x7F7F7F7F7F7F7F7F)
+    upper = ((low + _U(0x3F3F3F3F3F3F3F3F)) ^ (low + _U(0x2525252525252525))) & ~w & _U(0x8080808080808080)
+    return w | (upper >> _U(2))
 
 
 def span_hashes(raw: np.ndarray, start: np.ndarray, end: np.ndarray, lower: bool = False, salt: int = 0) -> np.ndarray:
-    """Hashes of ascending, non-overlapping byte spans; a span of any length needs one segment's memory."""
-    table = mix(_BYTE + _U(salt)) if salt else _BYTE
-    table = table[_LOWER] if lower else table
+    """Hashes of byte spans; other salts give independent hashes."""
     out = np.empty(len(start), np.uint64)
-    i = 0
-    while i < len(start):
-        lo = int(start[i])
-        j = max(int(np.searchsorted(end, lo + SEGMENT, "right")), i + 1)
-        hi = int(end[j - 1])
-        if hi - lo > SEGMENT:  # one long span, piece by piece
-            total = 0
-            for at in range(lo, hi, SEGMENT):
-                part = raw[at : min(hi, at + SEGMENT)]
-                up, _ = powers(_BASE, len(part))
-                got = int((table[part] * up).sum(dtype=np.uint64))
-                total = (total + got * pow(_BASE, at - lo, 1 << 64)) & (2**64 - 1)
-            out[i] = total
-        else:
-            part = raw[lo:hi]
-            up, down = powers(_BASE, len(part) + 1)
-            sums = np.zeros(len(part) + 1, np.uint64)
-            np.cumsum(table[part] * up[:-1], out=sums[1:])
-            out[i:j] = (sums[end[i:j] - lo] - sums[start[i:j] - lo]) * down[start[i:j] - lo]
-        i = j
-    return mix(out)
+    if not len(start):
+        return out
+    seed = _U(((salt + 1) * 0x9E3779B97F4A7C15) & (2**64 - 1))
+    raw = np.ascontiguousarray(raw) if len(raw) >= 8 else np.concatenate([raw, np.zeros(8 - len(raw), np.uint8)])
+    eight = np.ndarray((len(raw) - 7,), "<u8", raw, 0, (1,))  # the eight bytes from every place on
+    top = len(raw) - 8
+    for a in range(0, len(start), SEGMENT // 4):
+        s, e = start[a : a + SEGMENT // 4], end[a : a + SEGMENT // 4]
+        size = e - s
+        h = mix(size.astype(np.uint64) * _U(0xD6E8FEB86659FD93) + seed)
+        open_ = None  # all
+        for k in range(0, min(int(size.max()), IN_PLACE), 8):
+            if k:
+                open_ = np.flatnonzero((size > k) & (size <= IN_PLACE))
+                if not len(open_):
+                    break
+            at = (s if open_ is None else s[open_]) + k
+            left = np.minimum((size if open_ is None else size[open_]) - k, 8)
+            here = np.minimum(at, top)
+            w = (eight[here] >> ((at - here) * 8).astype(np.uint64)) & _MASK[left]
+            if lower:
+                w = _lower8(w)
+            if open_ is None:
+                h = mix(h ^ w)
+            else:
+                h[open_] = mix(h[open_] ^ w)
+        for k in np.flatnonzero(size > IN_PLACE).tolist():
+            body = raw[s[k] : e[k]].tobytes()
+            body = body.lower() if lower else body  # of bytes: A-Z alone
+            h[k] = int.from_bytes(hashlib.blake2b(body, digest_size=8, salt=salt.to_bytes(8, "little")).digest(), "little")
+        out[a : a + SEGMENT // 4] = h
+    return out
 
 
 def window_hashes(h: np.ndarray, width: int) -> np.ndarray:
@@ -140,6 +158,37 @@ def window_hashes(h: np.ndarray, width: int) -> np.ndarray:
     return out
 
 
+def window_checks(h: np.ndarray, width: int) -> np.ndarray:
+    """Second Rabin-Karp hashes of the same windows, modulo a prime of 31 bits, from other word hashes."""
+    n = len(h) - width + 1
+    if n <= 0:
+        return np.zeros(0, np.uint32)
+    out = np.empty(n, np.uint32)
+    prime = _U(_PRIME)
+    for a in range(0, n, SEGMENT):
+        b = min(n, a + SEGMENT)
+        part = (h[a : b + width - 1] >> _U(33)) % prime
+        up, down = prime_powers(len(part) + 1)
+        total = np.zeros(len(part) + 1, np.uint64)
+        np.cumsum(part * up[:-1] % prime, out=total[1:])
+        out[a:b] = (total[width:] - total[:-width]) % prime * down[: b - a] % prime
+    return out
+
+
+def prime_powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of the prime field's base and of its inverse."""
+    have = _tables.get(_PRIME)
+    if have is None or len(have[0]) < n:
+        both = []
+        for base in (_PRIME_BASE, pow(_PRIME_BASE, -1, _PRIME)):
+            p = np.ones(1, np.uint64)
+            while len(p) < n:  # doubling: the next half is the first, times base ** len
+                p = np.concatenate([p, p * _U(pow(base, len(p), _PRIME)) % _U(_PRIME)])
+            both.append(p)
+        have = _tables[_PRIME] = (both[0], both[1])
+    return have[0][:n], have[1][:n]
+
+
 def sequence_hash(h: np.ndarray) -> int:
     """One hash for a whole word sequence of any length."""
     up, _ = powers(_WORD_BASE, len(h) + 1)
@@ -179,11 +228,12 @@ def pack(*arrays: np.ndarray) -> bytes:
     return lead + (pa.compress(flat, codec="zstd", asbytes=True) if flat else b"")
 
 
-def unpack(block: bytes) -> list[np.ndarray]:
+def unpack(block: bytes | memoryview | pa.Buffer) -> list[np.ndarray]:
+    block = memoryview(block)
     n = int(np.frombuffer(block, np.int64, 1)[0])
     head = np.frombuffer(block, np.int64, 2 * n + 2)
     size = int(head[-1])
-    flat = pa.decompress(block[8 * len(head) :], size, codec="zstd", asbytes=True) if size else b""
+    flat = pa.decompress(pa.py_buffer(block[8 * len(head) :]), size, codec="zstd") if size else b""
     out, at = [], 0
     for k in range(n):
         kind, length = np.dtype(chr(int(head[1 + 2 * k]))), int(head[2 + 2 * k])

@@ -450,7 +450,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, groups:
     wanted = Stored(spark, wanted.join(blocks, "cluster").select("rep", "s1", "s2", "cluster", "blocks"), "wanted")
     texts = X.pack_texts(docs).where("packed IS NOT NULL")
     # one plan at every size: a broadcast of few ids now would hide the shuffle of many later
-    asked = texts.join(wanted.df.hint("merge"), F.col("doc_key") == F.col("rep")).select("rep", "s1", "s2", "cluster", "blocks", "packed", "n_raw")
+    asked = texts.join(wanted.df.hint("merge"), F.col("doc_id") == F.col("rep")).select("rep", "s1", "s2", "cluster", "blocks", "packed", "n_raw")
     placed = asked.mapInArrow(_place(width), "cluster long, b1 int, b2 int, rep long, items binary")
     links = placed.groupBy("cluster", "b1", "b2").applyInArrow(_settle_block(percent), _PAIR)
     comp = components(links, spark)

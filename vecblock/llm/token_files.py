@@ -7,9 +7,10 @@ doc_id order; a block has its documents' ids and token counts, its bits, and the
 bit offset of every ``STRIDE``-th token.  The decoder looks ``LIMIT`` bits up in one
 table and advances all stretches of a block at once.
 
-Layout under ``path``: ``blocks`` (part, first, tie, uid, n_tokens, head, marks,
-bits) and ``codebook`` (id, length), both Parquet so that any store serves.
-Parts are ranges of doc_id; part p's ids all precede part p+1's.
+Layout under ``path``: ``blocks`` (part, first, n_tokens, head, marks, bits) and
+``codebook`` (id, length), both Parquet so that any store serves.  Parts are ranges
+of doc_id; part p's ids all precede part p+1's.  A doc_id that more rows share than a part
+should hold, and the rows without one, are dealt over several parts by their texts.
 
 Defined results: a null text counts as empty; every document ends with
 ``end_id``; rows that share a doc_id follow each other in a fixed order; rows
@@ -100,7 +101,10 @@ def split_classes(raw: np.ndarray, s: np.ndarray, e: np.ndarray) -> tuple[np.nda
 
 
 class PieceTable:
-    """Hash table from 64-bit piece hashes to runs of ids, probed for whole arrays."""
+    """Hash table from piece hashes to runs of ids, probed for whole arrays.
+
+    Pieces are told apart by a hash of 64 bits, which is exact for eight bytes and less of one length, and a check of 32 bits.
+    """
 
     def __init__(self, kind, slots: int = SLOTS):
         self.kind, self.least = kind, slots
@@ -110,26 +114,27 @@ class PieceTable:
         """Empty, with room for ``n`` pieces at least."""
         self.slots = max(self.least, 1 << (2 * n).bit_length())
         self.key = np.zeros(self.slots, np.uint64)
+        self.check = np.zeros(self.slots, np.uint32)
         self.at = np.zeros(self.slots, np.int32)
         self.size = np.zeros(self.slots, np.uint16)
         self.ids = np.zeros(1 << 20, self.kind)
         self.used = self.n = 0
 
-    def find(self, h: np.ndarray) -> np.ndarray:
-        """Slot of each hash, or -1."""
+    def find(self, h: np.ndarray, check: np.ndarray) -> np.ndarray:
+        """Slot of each piece, or -1."""
         out = np.full(len(h), -1, np.int64)
         open_ = np.arange(len(h))
         slot = (h & np.uint64(self.slots - 1)).astype(np.int64)
         while len(open_):
             key = self.key[slot]
-            hit = key == h[open_]
+            hit = (key == h[open_]) & (self.check[slot] == check[open_])
             out[open_[hit]] = slot[hit]
             go = ~hit & (key != 0)
             open_, slot = open_[go], (slot[go] + 1) & (self.slots - 1)
         return out
 
-    def add(self, h: np.ndarray, runs: list[bytes]) -> None:
-        """New distinct hashes with their ids."""
+    def add(self, h: np.ndarray, check: np.ndarray, runs: list[bytes]) -> None:
+        """New distinct pieces with their ids."""
         w = np.dtype(self.kind).itemsize
         size = np.fromiter(map(len, runs), np.int64, len(runs)) // w
         if size.max(initial=0) > 0xFFFF:
@@ -147,7 +152,7 @@ class PieceTable:
             free = self.key[slot[todo]] == 0
             _, one = np.unique(slot[todo[free]], return_index=True)
             put = todo[free][one]
-            self.key[slot[put]], self.at[slot[put]], self.size[slot[put]] = h[put], at[put], size[put]
+            self.key[slot[put]], self.check[slot[put]], self.at[slot[put]], self.size[slot[put]] = h[put], check[put], at[put], size[put]
             done = np.zeros(len(h), bool)
             done[put] = True
             todo = todo[~done[todo]]
@@ -158,6 +163,12 @@ class PieceTable:
         return self.ids[K.ragged(self.at[slot].astype(np.int64), size)], size
 
 
+def _distinct(h: np.ndarray, check: np.ndarray, some: np.ndarray) -> np.ndarray:
+    """One of ``some`` for each distinct pair."""
+    order = some[np.lexsort((check[some], h[some]))]
+    return order[np.append(True, (h[order][1:] != h[order][:-1]) | (check[order][1:] != check[order][:-1]))]
+
+
 class Encoder:
     """Ids of whole texts by the library, which sees a distinct blank-separated piece once.
 
@@ -209,17 +220,17 @@ class Encoder:
     def _looked_up(self, raw: np.ndarray, s: np.ndarray, e: np.ndarray, unsettled: np.ndarray, words) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all spans, ids of each) by the table, which learns what it lacks."""
         h = np.maximum(K.span_hashes(raw, s, e), np.uint64(1))
-        slot = self.table.find(h)
+        check = (K.span_hashes(raw, s, e, salt=1) >> np.uint64(32)).astype(np.uint32)
+        slot = self.table.find(h, check)
         miss = np.flatnonzero(slot < 0)
         if len(miss):
-            new, where = np.unique(h[miss], return_index=True)
+            new = _distinct(h, check, miss)
             if self.table.n + len(new) > self.table.slots // 2:
-                new, where = np.unique(h, return_index=True)
                 miss = np.arange(len(h))
+                new = _distinct(h, check, miss)
                 self.table.clear(len(new))
-            at = miss[where]
-            self.table.add(new, self._learn(words(s[at], e[at]), unsettled[at]))
-            slot[miss] = self.table.find(h[miss])
+            self.table.add(h[new], check[new], self._learn(words(s[new], e[new]), unsettled[new]))
+            slot[miss] = self.table.find(h[miss], check[miss])
         out = self.table(slot)
         if self.table.slots > self.table.least:
             self.table.clear()
@@ -326,15 +337,35 @@ class Codebook:
         return out.T.ravel()[:n]
 
 
-_IDS = pa.schema([("part", pa.int32()), ("doc_key", pa.int64()), ("tie", pa.int32()), ("ids", pa.binary())])
-_BLOCKS = pa.schema([("part", pa.int32()), ("first", pa.int64()), ("tie", pa.int32()), ("uid", pa.int64()), ("n_tokens", pa.int64()), ("head", pa.binary()), ("marks", pa.binary()), ("bits", pa.binary())])
-_BLOCKS_DDL = "part int, first long, tie int, uid long, n_tokens long, head binary, marks binary, bits binary"
+_DEALT = pa.schema([("part", pa.int32()), ("doc_id", pa.int64()), ("tie", pa.int64()), ("n_raw", pa.int64()), ("packed", pa.binary())])
+_IDS = pa.schema([("part", pa.int32()), ("seq", pa.int64()), ("doc_id", pa.int64()), ("ids", pa.binary())])
+_BLOCKS = pa.schema([("part", pa.int32()), ("first", pa.int64()), ("n_tokens", pa.int64()), ("head", pa.binary()), ("marks", pa.binary()), ("bits", pa.binary())])
+_BLOCKS_DDL = "part int, first long, n_tokens long, head binary, marks binary, bits binary"
+
+
+def _deal(bounds: np.ndarray, null_parts: int):
+    """Compressed texts with the part they belong to; a doc_id that is a bound may lie on both its sides."""
+
+    def run(batches):
+        for batch in batches:
+            raw, off = K.string_buffers(batch.column("text"))
+            ids, null = X.doc_ids(batch)
+            cut = list(zip(off[:-1].tolist(), off[1:].tolist()))
+            view = memoryview(np.ascontiguousarray(raw))
+            tie = np.fromiter((zlib.crc32(view[a:b]) for a, b in cut), np.int64, len(cut))
+            low, high = np.searchsorted(bounds, ids, "left"), np.searchsorted(bounds, ids, "right")
+            part = np.where(null, len(bounds) + 1 + tie % null_parts, low + tie % (high - low + 1)).astype(np.int32)
+            packed = [pa.compress(view[a:b], codec="zstd", asbytes=True) if b > a else b"" for a, b in cut]
+            yield pa.RecordBatch.from_arrays([pa.array(part), batch.column("doc_id").cast(pa.int64()), pa.array(tie), pa.array(np.diff(off), pa.int64()), pa.array(packed, pa.binary())], schema=_DEALT)
+
+    return run
 
 
 def _tokenise(path: str, end_id: int):
     def run(batches):
         enc = encoder(path)
         end = np.array([end_id], enc.type).tobytes()
+        seq = 0  # rows come by part and doc_id; the numbers only have to ascend
         for batch in batches:
             sizes = batch.column("n_raw").to_numpy()
             packed = batch.column("packed")
@@ -342,7 +373,8 @@ def _tokenise(path: str, end_id: int):
             for i, j in K.slices(off, 4 * K.SEGMENT):
                 texts = [X.unpack_text(packed[k].as_py(), int(sizes[k])) for k in range(i, j)]
                 ids = [x + end for x in enc.encode(texts)]
-                yield pa.RecordBatch.from_arrays([batch.column(c).slice(i, j - i) for c in ("part", "doc_key", "tie")] + [pa.array(ids, pa.binary())], schema=_IDS)
+                yield pa.RecordBatch.from_arrays([batch.column("part").slice(i, j - i), pa.array(np.arange(seq, seq + j - i)), batch.column("doc_id").slice(i, j - i), pa.array(ids, pa.binary())], schema=_IDS)
+                seq += j - i
 
     return run
 
@@ -376,8 +408,8 @@ def _blocks(lengths: np.ndarray, kind):
         book = Codebook(lengths)
         for batch in batches:
             ids, bound = _flat(batch, kind)
-            part = batch.column("part").to_numpy()
-            key, tie = batch.column("doc_key").to_numpy(), batch.column("tie").to_numpy()
+            part, seq = batch.column("part").to_numpy(), batch.column("seq").to_numpy()
+            docs, null = X.doc_ids(batch)
             i = 0
             while i < len(part):
                 j = i + 1
@@ -385,9 +417,8 @@ def _blocks(lengths: np.ndarray, kind):
                     j += 1
                 own = ids[bound[i] : bound[j]].astype(np.int64)
                 bits, marks = book.encode(own)
-                head = K.pack(K.deltas(key[i:j]), np.diff(bound[i : j + 1]).astype(np.uint32))
-                uid = zlib.crc32(bits, zlib.crc32(head))
-                cols = [[int(part[i])], [int(key[i])], [int(tie[i])], [uid], [len(own)], [head], [K.pack(K.deltas(marks).astype(np.uint32))], [bits]]
+                head = K.pack(K.deltas(docs[i:j]), null[i:j].astype(np.uint8), np.diff(bound[i : j + 1]).astype(np.uint32))
+                cols = [[int(part[i])], [int(seq[i])], [len(own)], [head], [K.pack(K.deltas(marks).astype(np.uint32))], [bits]]
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, _BLOCKS)], schema=_BLOCKS)
                 i = j
 
@@ -398,14 +429,15 @@ def write_token_file(docs: DataFrame, vocabulary: str, path: str, end_id: int =
     """Tokenise ``docs`` (doc_id, text) and write them under ``path`` in ascending doc_id order."""
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
-    parts = parts or bucket_count(docs, 4 << 20, least=16, most=1 << 14)
+    parts = parts or bucket_count(docs, 4 << 20, least=16, most=1 << 15)
     cuts = docs.select(F.col("doc_id").cast("double").alias("d")).where("d IS NOT NULL").approxQuantile("d", [k / parts for k in range(1, parts)], 0.2 / parts) if parts > 1 else []
-    bounds = np.unique(np.array(cuts, np.float64))
-    packed = X.pack_texts(docs)
-    packed = packed.withColumn("part", _part_of(bounds)("doc_key"))
+    bounds = np.sort(np.array([max(-(2**63), min(2**63 - 1, int(c))) for c in cuts], np.int64))
+    n = docs.agg(F.count("*").alias("all"), F.count("doc_id").alias("named")).first()
+    null_parts = max(1, -(-parts * (n.all - n.named) // max(1, n.all)))
     kind = Encoder(vocabulary).type
-    sorted_ = packed.select("part", "doc_key", "tie", "n_raw", "packed").repartition("part").sortWithinPartitions("part", "doc_key", "tie", "n_raw", "packed")
-    ids = Stored(spark, sorted_.mapInArrow(_tokenise(vocabulary, end_id), "part int, doc_key long, tie int, ids binary"), "ids", compression="zstd")
+    dealt = docs.mapInArrow(_deal(bounds, null_parts), "part int, doc_id long, tie long, n_raw long, packed binary")
+    sorted_ = dealt.repartition("part").sortWithinPartitions("part", F.asc_nulls_last("doc_id"), "tie", "n_raw", "packed")
+    ids = Stored(spark, sorted_.mapInArrow(_tokenise(vocabulary, end_id), "part int, seq long, doc_id long, ids binary"), "ids", compression="zstd")
     counted = ids.df.select("ids").mapInArrow(_histogram(kind), "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).collect()  # at most the vocabulary
     counts = np.zeros(1 + max((r.id for r in counted), default=end_id), np.int64)
     for r in counted:
@@ -417,23 +449,6 @@ def write_token_file(docs: DataFrame, vocabulary: str, path: str, end_id: int =
     ids.drop()
 
 
-def _part_of(bounds: np.ndarray):
-    """The range of a doc_id, as a column: how many bounds lie at or below it (a balanced tree of comparisons)."""
-
-    def tree(name: str, lo: int, hi: int):
-        if lo == hi:
-            return F.lit(lo).cast("int")
-        mid = (lo + hi) // 2
-        return F.when(F.col(name) < F.lit(int(bounds[mid])), tree(name, lo, mid)).otherwise(tree(name, mid + 1, hi))
-
-    def flat(name: str):
-        # many bounds: one sorted literal array instead of a large expression
-        values = ",".join(f"{int(b)}L" for b in bounds)
-        return F.expr(f"cast(size(filter(array({values}), x -> x <= {name})) as int)")
-
-    return lambda name: tree(name, 0, len(bounds)) if len(bounds) <= 4096 else flat(name)
-
-
 def load_codebook(spark: SparkSession, path: str) -> Codebook:
     rows = spark.read.schema("id long, length int").parquet(f"{path}/codebook").collect()  # at most the vocabulary
     lengths = np.zeros(1 + max((r.id for r in rows), default=0), np.int64)
@@ -446,7 +461,7 @@ def _per_doc(book: Codebook, with_ids: bool):
     def run(batches):
         for batch in batches:
             for row in batch.to_pylist():
-                key, count = K.unpack(row["head"])
+                key, null, count = K.unpack(row["head"])
                 key, count = np.cumsum(key), count.astype(np.int64)
                 marks = np.cumsum(K.unpack(row["marks"])[0].astype(np.int64))
                 ids = np.ascontiguousarray(book.decode(row["bits"], marks, row["n_tokens"]).astype("<u4"))
@@ -456,10 +471,10 @@ def _per_doc(book: Codebook, with_ids: bool):
                 edge = list(zip((4 * (end - count)).tolist(), (4 * end).tolist()))
                 crc = [zlib.crc32(view[a:b]) for a, b in edge]
                 cols = [
-                    pa.array(np.full(m, row["part"], np.int32)), pa.array(np.full(m, row["first"])), pa.array(np.full(m, row["tie"], np.int32)), pa.array(np.full(m, row["uid"])),
-                    pa.array([None if k == X.NO_ID else k for k in key.tolist()], pa.int64()), pa.array(end - count), pa.array(count), pa.array(crc, pa.int64()),
+                    pa.array(np.full(m, row["part"], np.int32)), pa.array(np.full(m, row["first"])), pa.array(key, pa.int64(), mask=null > 0),
+                    pa.array(end - count), pa.array(count), pa.array(crc, pa.int64()),
                 ]
-                names = ["part", "first", "tie", "uid", "doc_id", "before", "n_tokens", "ids_crc32"]
+                names = ["part", "first", "doc_id", "before", "n_tokens", "ids_crc32"]
                 if with_ids:
                     cols.append(pa.array([bytes(view[a:b]) for a, b in edge], pa.binary()))
                     names.append("ids")
@@ -472,10 +487,10 @@ def read_token_file(spark: SparkSession, path: str, with_ids: bool = False) -> D
     """(doc_id, start, n_tokens, ids_crc32[, ids]) decoded from the file; ids as little-endian unsigned 32-bit."""
     book = load_codebook(spark, path)
     blocks = spark.read.schema(_BLOCKS_DDL).parquet(f"{path}/blocks")
-    name = ["part", "first", "tie", "uid"]
-    docs = blocks.mapInArrow(_per_doc(book, with_ids), "part int, first long, tie int, uid long, doc_id long, before long, n_tokens long, ids_crc32 long" + (", ids binary" if with_ids else ""))
+    name = ["part", "first"]
+    docs = blocks.mapInArrow(_per_doc(book, with_ids), "part int, first long, doc_id long, before long, n_tokens long, ids_crc32 long" + (", ids binary" if with_ids else ""))
     size = blocks.select(*name, F.col("n_tokens").alias("k"))
-    inside = size.select(*name, (F.sum("k").over(Window.partitionBy("part").orderBy("first", "tie", "uid")) - F.col("k")).alias("inside"))
+    inside = size.select(*name, (F.sum("k").over(Window.partitionBy("part").orderBy("first")) - F.col("k")).alias("inside"))
     of_part = size.groupBy("part").agg(F.sum("k").alias("k"))
     before = of_part.select("part", (F.sum("k").over(Window.orderBy("part")) - F.col("k")).alias("ahead"))  # a row per part
     start = inside.join(before, "part")
