@@ -7,8 +7,8 @@ lose all their lines except in the largest doc_id that holds them.
 Documents are written once in chunks, each with the distinct hashes of its keys and
 a map from lines to them.  Shards of the hash space count the documents of every key and
 store an index of the repeated ones: a minimal perfect hash (levels of bit
-arrays with rank counts) into compact arrays, a 64-bit fingerprint, a document count (saturated)
-and the keeper's doc_id.  Chunks probe the shards' arrays with their distinct hashes and get
+arrays with rank counts) into compact arrays, a 64-bit fingerprint, a document count (a lower
+bound from ``min_docs`` on) and the keeper's doc_id.  Chunks probe the shards' arrays with their distinct hashes and get
 the keepers back.  A key that every document holds costs one hash per chunk;
 no line text is joined or moved.
 
