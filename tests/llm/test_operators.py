@@ -135,7 +135,11 @@ def test_linked_is_exact():
 def test_blocks_of_a_large_cluster(spark, docs, monkeypatch):
     want = sorted(map(tuple, minhash_dedup.near_duplicates(docs, 4).collect()))
     monkeypatch.setattr(minhash_dedup, "BLOCK", 150)
-    assert sorted(map(tuple, minhash_dedup.near_duplicates(docs, 4).collect())) == want
+    monkeypatch.setattr(minhash_dedup, "BLOCK_SETS", 1)
+    monkeypatch.setattr(minhash_dedup, "PARTY", 2)
+    for heads in (16, 1):
+        monkeypatch.setattr(minhash_dedup, "HEADS", heads)
+        assert sorted(map(tuple, minhash_dedup.near_duplicates(docs, 4).collect())) == want
 
 
 def test_substrings(spark, docs):

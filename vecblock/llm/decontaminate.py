@@ -8,16 +8,18 @@ reordered still add up.  A document is contaminated if tiles cover at least
 ``coverage`` of some item.
 
 The benchmark is indexed in blocks of a bounded size, each broadcast to a pass
-over the documents; one block serves any usual benchmark.
+over the documents; one block serves any usual benchmark.  With more blocks the passes
+follow each other, each written to the shared folder, and one index is held at a time.
 
-Defined results: null or empty texts contain nothing; items without tokens are
-ignored; an item with fewer tokens than a seed matches as a whole; rows that
-share a doc_id are judged each; equal coverages report the smaller item; an empty
+Defined results: null or empty texts contain nothing; items of fewer than
+``least_tokens`` tokens are ignored, as any document would hold them; an item with fewer
+tokens than a seed matches as a whole; rows that share a doc_id are judged each; equal coverages report the smaller item; an empty
 benchmark contaminates nothing; other columns are kept by ``clean_documents``.
 """
 
 from __future__ import annotations
 
+import heapq
 from dataclasses import dataclass
 
 import numpy as np
@@ -28,8 +30,11 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, DoubleType, LongType, StructField, StructType
 
 from vecblock.llm import kernels as K
+from vecblock.llm.shared import Stored, free_name
 
-SEED, COVERAGE, BLOCK_CHARS = 5, 0.7, 16 << 20
+SEED, COVERAGE, BLOCK_CHARS, LEAST = 5, 0.7, 16 << 20, 3
+#: Pairs of equal seeds that are looked at together.
+PAIRS = 1 << 20
 _GAP = np.ones(256, bool)
 _GAP[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = False
 
@@ -55,13 +60,13 @@ class Index:
     size: np.ndarray
 
     @classmethod
-    def build(cls, ids: list[int], texts: list[str], seed: int) -> list[Index]:
+    def build(cls, ids: list[int], texts: list[str], seed: int, least: int = LEAST) -> list[Index]:
         """One index per seed length: ``seed``, and each shorter length that short items have."""
         w, _ = tokens(pa.array(texts, pa.string()))
         size = np.diff(w.bound)
         out = []
-        for width in range(1, seed + 1):
-            rows = np.flatnonzero(size >= seed if width == seed else size == width)
+        for width in range(min(least, seed), seed + 1):
+            rows = np.flatnonzero(size >= max(seed, least) if width == seed else size == width)
             if not len(rows):
                 continue
             h = K.window_hashes(w.hash, width)
@@ -74,21 +79,13 @@ class Index:
         return out
 
 
-def tile(in_doc: np.ndarray, in_item: np.ndarray, seed: int) -> int:
-    """Tokens of one item that greedy tiles cover, from its seed places in a document and in the item."""
-    order = np.lexsort((in_item, in_doc - in_item))
-    d, i = in_doc[order], in_item[order]
-    new = np.append(True, (np.diff(d - i) != 0) | (np.diff(i) != 1))
-    first = np.flatnonzero(new)
-    length = np.diff(np.append(first, len(d))) + seed - 1
-    heap = sorted(zip((-length).tolist(), i[first].tolist(), d[first].tolist()))
+def tile_matches(in_doc: np.ndarray, in_item: np.ndarray, length: np.ndarray, size: int, seed: int) -> int:
+    """Tokens of an item of ``size`` that greedy tiles cover, from its maximal matches with a document."""
+    heap = sorted(zip((-length).tolist(), in_item.tolist(), in_doc.tolist()))
     used_d: set[int] = set()
     used_i: set[int] = set()
-    import heapq
-
-    heapq.heapify(heap)
     total = 0
-    while heap:
+    while heap and size - total >= seed:
         neg, a, b = heapq.heappop(heap)
         free, start = [], None
         for k in range(-neg):
@@ -109,6 +106,23 @@ def tile(in_doc: np.ndarray, in_item: np.ndarray, seed: int) -> int:
     return total
 
 
+def _runs(row: np.ndarray, item: np.ndarray, diagonal: np.ndarray, place: np.ndarray, length: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Matches that continue each other on a diagonal as one, ordered by row, item, diagonal and place."""
+    order = np.lexsort((place, diagonal, item, row))
+    row, item, diagonal, place, length = (x[order] for x in (row, item, diagonal, place, length))
+    new = np.ones(len(row), bool)
+    new[1:] = (np.diff(row) != 0) | (np.diff(item) != 0) | (np.diff(diagonal) != 0) | (place[1:] != place[:-1] + length[:-1])
+    first = np.flatnonzero(new)
+    return row[first], item[first], diagonal[first], place[first], np.add.reduceat(length, first) if len(first) else length
+
+
+def tile(in_doc: np.ndarray, in_item: np.ndarray, seed: int) -> int:
+    """The same from the places of single seeds."""
+    z = np.zeros(len(in_doc), np.int64)
+    _, _, diagonal, place, length = _runs(z, z, in_doc - in_item, in_item, z + 1)
+    return tile_matches(place + diagonal, place, length + seed - 1, int(in_item.max(initial=-1)) + seed, seed)
+
+
 def judge(indexes: list[Index], w: K.Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(best item or -1, its coverage, items touched) for each text."""
     n = len(w.bound) - 1
@@ -127,15 +141,20 @@ def judge(indexes: list[Index], w: K.Words) -> tuple[np.ndarray, np.ndarray, np.
             continue
         lo = lo[at]
         count = np.searchsorted(index.hash, h[at], "right") - lo
-        seeds = K.ragged(lo, count)
-        at, row = np.repeat(at, count), np.repeat(row, count)
-        item, place = index.item[seeds], index.place[seeds]
-        order = np.lexsort((item, row))
-        at, row, item, place = at[order], row[order], item[order], place[order]
+        edge = np.concatenate([[0], np.cumsum(count)])
+        parts, i = [], 0
+        while i < len(at):  # a repeated token pairs with each of its places in an item: a bounded number of pairs at once
+            j = max(i + 1, int(np.searchsorted(edge, edge[i] + PAIRS, "right")) - 1)
+            seeds = K.ragged(lo[i:j], count[i:j])
+            r, d = np.repeat(row[i:j], count[i:j]), np.repeat(at[i:j] - w.bound[row[i:j]], count[i:j])
+            parts.append(_runs(r, index.item[seeds], d - index.place[seeds], index.place[seeds], np.ones(len(seeds), np.int64)))
+            i = j
+        row, item, diagonal, place, length = _runs(*(np.concatenate(x) for x in zip(*parts)))
+        length = length + index.seed - 1
         first = np.flatnonzero(np.append(True, (np.diff(row) != 0) | (np.diff(item) != 0)))
-        for a, b in zip(first.tolist(), [*first[1:].tolist(), len(at)]):
+        for a, b in zip(first.tolist(), [*first[1:].tolist(), len(row)]):
             r, k = int(row[a]), int(item[a])
-            share = tile(at[a:b] - w.bound[r], place[a:b], index.seed) / index.size[k]
+            share = tile_matches(place[a:b] + diagonal[a:b], place[a:b], length[a:b], int(index.size[k]), index.seed) / index.size[k]
             touched[r] += 1
             name = int(index.ids[k])
             if share > cover[r] or (share == cover[r] and (best[r] < 0 or name < best[r])):
@@ -170,13 +189,21 @@ def _blocks(benchmark: DataFrame, limit: int):
         yield now
 
 
-def judged(docs: DataFrame, benchmark: DataFrame, seed: int = SEED, coverage: float = COVERAGE, block_chars: int = BLOCK_CHARS) -> DataFrame:
-    """``docs`` with best_item, covered, n_items and contaminated (those names must be free)."""
+def judged(docs: DataFrame, benchmark: DataFrame, seed: int = SEED, coverage: float = COVERAGE, block_chars: int = BLOCK_CHARS, least_tokens: int = LEAST) -> DataFrame:
+    """``docs`` with best_item, covered, n_items and contaminated, which replace columns of these names."""
     spark = docs.sparkSession
     out = docs.withColumns({"best_item": F.lit(None).cast("long"), "covered": F.lit(0.0), "n_items": F.lit(0).cast("long")})
+    names = [free_name(out, x) for x in ("b_item", "b_covered", "b_items")]
+    held: list = []
     for items in _blocks(benchmark, block_chars):
-        index = spark.sparkContext.broadcast(Index.build([i for i, _ in items], [t for _, t in items], seed))  # at most ``block_chars``
-        names = ["_b_item", "_b_covered", "_b_items"]
+        if held:  # one block at a time: what the last one found is written before the next is sent
+            step = Stored(spark, out, "judged")
+            held[0].destroy()
+            if held[1] is not None:
+                held[1].drop()
+            out, held = step.df, [None, step]
+        index = spark.sparkContext.broadcast(Index.build([i for i, _ in items], [t for _, t in items], seed, least_tokens))  # at most ``block_chars``
+        held = [index, held[1] if held else None]
         schema = StructType([*out.schema.fields, StructField(names[0], LongType()), StructField(names[1], DoubleType()), StructField(names[2], LongType())])
         out = out.mapInArrow(_pass(index, names, "text"), schema)
         better = (F.col(names[1]) > F.col("covered")) | ((F.col(names[1]) == F.col("covered")) & F.col("best_item").isNull())

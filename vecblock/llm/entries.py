@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecblock.llm import decontaminate, line_dedup, minhash_dedup, mixing, quality_classifier, quality_rules, substring_dedup, token_counts, token_files, toxicity
-from vecblock.llm.shared import shared_root
+from vecblock.llm.shared import drop_at_exit, shared_root
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -47,7 +47,7 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "source", "lang")
-    return quality_classifier.score(docs, _table(spark, sf_dir, "labels")).select("doc_id", "doc_score", "host_rate", "path_rate", "posterior", F.col("good").alias("kept"))
+    return quality_classifier.score(docs, _table(spark, sf_dir, "labels"), columns=["doc_id"]).select("doc_id", "doc_score", "host_rate", "path_rate", "posterior", F.col("good").alias("kept"))
 
 
 def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -57,6 +57,7 @@ def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 def token_file_rows(spark: SparkSession, docs: DataFrame) -> DataFrame:
     path = f"{shared_root(spark)}/token-file-{uuid.uuid4().hex}"
     token_files.write_token_file(docs, vocabulary("byte_bpe_50k.json"), path, end_id=0)
+    drop_at_exit(spark, path)
     return token_files.read_token_file(spark, path)
 
 
@@ -107,6 +108,15 @@ many AS (SELECT key, max(doc_id) AS keeper FROM k WHERE length(key) >= 20 GROUP
 j AS (SELECT k.*, many.keeper IS NOT NULL AND many.keeper <> k.doc_id AS gone FROM k LEFT JOIN many USING (key))
 SELECT doc_id, count(*) AS n_lines, count(*) FILTER (gone) AS n_dropped, sha256(coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (NOT gone), '')) AS kept_sha256 FROM j GROUP BY doc_id"""
 
+_MIX = f"""WITH s AS (SELECT doc_id, source, CAST(len({_WORDS.format("coalesce(text, '')")}) AS BIGINT) AS size FROM documents),
+b AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, CASE (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 WHEN 0 THEN 5.0::DOUBLE WHEN 1 THEN 2.0 ELSE 1.0 END AS w FROM s GROUP BY source),
+f AS (SELECT *, CAST(3 * source_size AS DOUBLE) AS most, CAST(sum(source_size) OVER () AS DOUBLE) AS total FROM b),
+o AS (SELECT *, (total - coalesce(sum(most) OVER (ORDER BY most / w, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0.0)) / sum(w) OVER (ORDER BY most / w, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM f),
+t AS (SELECT source, source_size, least(most, coalesce(w * max(level) FILTER (w * level <= most) OVER (), most)) AS target FROM o),
+d AS (SELECT doc_id, size, source_size, target, floor(target + 0.5) AS budget, greatest(source_size, 1) AS whole, CAST('0x' || substr(md5(concat_ws('|', '17', CAST(doc_id AS VARCHAR), CAST(size AS VARCHAR))), 1, 15) AS BIGINT) AS draw, s.source FROM s JOIN t ON s.source IS NOT DISTINCT FROM t.source),
+e AS (SELECT *, least(floor(budget / whole), 3) AS epochs, sum(size) OVER (PARTITION BY source ORDER BY draw, doc_id, size ROWS UNBOUNDED PRECEDING) - size AS start FROM d)
+SELECT doc_id, size, source_size, target, CAST(epochs * size + greatest(0, least(size, CASE WHEN epochs < 3 THEN budget - epochs * whole ELSE 0 END - start)) AS BIGINT) AS taken FROM e"""
+
 _RULES = f"""WITH w AS (SELECT doc_id, coalesce(text, '') AS t, {_WORDS.format("coalesce(text, '')")} AS w FROM documents),
 l AS (SELECT doc_id, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS x FROM w),
 g AS (SELECT doc_id, i, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] AS g FROM (SELECT doc_id, w, unnest(generate_series(1, len(w) - 2)) AS i FROM w WHERE len(w) > 2)),
@@ -116,4 +126,4 @@ m AS (SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(length(array_to_str
 f AS (SELECT *, CAST((n_words < 50)::INT + 2 * (100 * n_repeat_words > 50 * n_words)::INT + 4 * (100 * n_symbols > 40 * n_words)::INT + 8 * (100 * n_dup_lines > 60 * n_lines)::INT + 16 * (word_chars > 20 * n_words)::INT + 32 * (word_chars < 2 * n_words)::INT AS BIGINT) AS failed FROM m)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, failed & 3 <> 0 AS base_failed, failed = 0 AS kept, failed FROM f"""
 
-ORACLE_SQL: dict[str, str] = {"op1_minhash_dedup": _SHINGLES, "op4_substring_dedup": _SUBSTRINGS, "op5_line_dedup": _LINES, "op8_quality_rules": _RULES}
+ORACLE_SQL: dict[str, str] = {"op1_minhash_dedup": _SHINGLES, "op2_source_mixing": _MIX, "op4_substring_dedup": _SUBSTRINGS, "op5_line_dedup": _LINES, "op8_quality_rules": _RULES}

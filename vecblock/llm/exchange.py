@@ -1,17 +1,17 @@
-"""A compact keyed exchange: hashed entries of documents meet in buckets, verdicts return to their chunk.
+"""A compact keyed exchange: hashed entries of documents meet in buckets, verdicts return per row.
 
-Documents are written once to the shared folder in chunks of a few megabytes of
-compressed text; a chunk has a random name, and a row is known by its chunk and
-its place there, so rows that share a doc_id, or have none, are never mixed up.
+A row is known by the file it is read from and its place there (64 bits each), so rows
+that share a doc_id, or have none, are never mixed up; rows that do not come
+straight from files are written to the shared folder first.
 
-A chunk emits entries (hash, check, position).  Entries for one hash bucket travel
+Tasks emit entries (hash, check, position).  Entries for one hash bucket travel
 as one packed block, so that a shuffled row stands for thousands of entries; in
 Spark's row format a row per entry would alone shuffle several times the
-input.  What a chunk can settle itself is settled before the shuffle, hence a
-hash that every document holds reaches its bucket once per chunk and not once per
+input.  What a slice of texts can settle itself is settled before the shuffle, hence a
+hash that every document holds reaches its bucket once per slice and not once per
 document.  With more than FAN buckets, entries go in two steps: coarse buckets
-gather the blocks of many chunks, settle them once more and cut them finer.  Buckets
-answer with the positions concerned, packed per chunk.
+gather the blocks of many slices, settle them once more and cut them finer.  Buckets
+answer with the positions concerned, packed per row.
 
 Documents are compared by doc_id; a null doc_id comes after all others.
 """
@@ -20,17 +20,19 @@ from __future__ import annotations
 
 import hashlib
 import uuid
-import zlib
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, LongType, StructField, StructType
 
 from vecblock.llm import kernels as K
 from vecblock.llm.shared import Stored
 
+#: Texts that are hashed together.
 CHUNK_BYTES = 2 << 20
 #: Most buckets of one step.
 FAN = 4096
@@ -38,12 +40,14 @@ FAN = 4096
 GATHER = 4 << 20
 #: A bucket is judged in so many turns, to bound the memory of sorting it.
 TURNS = 4
+#: Bytes of an entry's check that travel.
+CHECK = 3
 CHUNK = "chunk binary, n_raw long, head binary, body binary"
 BLOCK = "bucket int, block binary"
-VERDICT = "chunk binary, at binary"
+VERDICT = "src long, nth long, at binary"
 _CHUNK = pa.schema([("chunk", pa.binary()), ("n_raw", pa.int64()), ("head", pa.binary()), ("body", pa.binary())])
 _BLOCK = pa.schema([("bucket", pa.int32()), ("block", pa.binary())])
-_VERDICT = pa.schema([("chunk", pa.binary()), ("at", pa.binary())])
+_VERDICT = pa.schema([("src", pa.int64()), ("nth", pa.int64()), ("at", pa.binary())])
 
 #: entries(raw, off) -> parts of (row, position, hash, check)
 Entries = Callable[[np.ndarray, np.ndarray], Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]]
@@ -60,6 +64,24 @@ def ranks(ids: np.ndarray, null: np.ndarray) -> np.ndarray:
     return np.where(null, len(known), np.searchsorted(known, ids)).astype(np.int64)
 
 
+def named_rows(docs: DataFrame) -> DataFrame:
+    """(doc_id, text, src, nth): rows of files by the file's hash and their place in it; other rows are written to files first."""
+    plan, kinds = docs._jdf.queryExecution().analyzed(), set()
+    while True:
+        kinds.add(plan.nodeName())
+        if plan.children().size() != 1:
+            break
+        plan = plan.children().head()
+    try:
+        if not kinds <= {"Project", "Filter", "SubqueryAlias", "LogicalRelation"}:
+            raise AnalysisException("rows of files only")
+        file = docs.metadataColumn("_metadata")
+        return docs.select("doc_id", "text", F.xxhash64(file["file_path"]).alias("src"), file["row_index"].alias("nth"))
+    except AnalysisException:  # no file, or a format that does not number its rows
+        file = (df := Stored(docs.sparkSession, docs.select("doc_id", "text"), "rows").df).metadataColumn("_metadata")
+        return df.select("doc_id", "text", F.xxhash64(file["file_path"]).alias("src"), file["row_index"].alias("nth"))
+
+
 # --- chunks ----------------------------------------------------------------------
 
 
@@ -106,87 +128,72 @@ def cut_chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, Chunk]
             yield [uuid.uuid4().bytes, len(c.raw), head, body], c
 
 
-def chunked(docs: DataFrame) -> Stored:
-    """CHUNK rows of (doc_id, text), written to the shared folder: from here on a row's name is fixed."""
-
-    def run(batches):
-        for row, _ in cut_chunks(batches):
-            yield pa.RecordBatch.from_arrays([pa.array([v], f.type) for v, f in zip(row, _CHUNK)], schema=_CHUNK)
-
-    return Stored(docs.sparkSession, docs.select("doc_id", "text").mapInArrow(run, CHUNK), "chunks", compression="none")
-
-
 # --- blocks -----------------------------------------------------------------------
 
 
 class Gather:
-    """Entries of many blocks: a table of chunks, one of rows, and the entries."""
+    """Entries of many blocks: a table of rows, and the entries."""
 
     def __init__(self):
-        self.chunks: list[bytes] = []
         self.parts: list[tuple] = []
         self.rows = self.n = 0
 
-    def add(self, chunks: list[bytes], of: np.ndarray, at: np.ndarray, ids: np.ndarray, null: np.ndarray, row: np.ndarray, pos: np.ndarray, h: np.ndarray, g: np.ndarray) -> None:
-        self.parts.append((of + len(self.chunks), at, ids, null, row + self.rows, pos, h, g))
-        self.chunks += chunks
-        self.rows += len(at)
+    def add(self, src: np.ndarray, nth: np.ndarray, ids: np.ndarray, null: np.ndarray, row: np.ndarray, pos: np.ndarray, h: np.ndarray, g: np.ndarray) -> None:
+        self.parts.append((src, nth, ids, null, row + self.rows, pos, h, g))
+        self.rows += len(src)
         self.n += len(h)
 
     def read(self, block: pa.Buffer) -> None:
         data = memoryview(block)
-        n, m = int.from_bytes(data[1:9], "little"), int.from_bytes(data[9:17], "little")
-        chunks = [bytes(data[17 + 16 * k : 33 + 16 * k]) for k in range(n)]
-        start = 17 + 16 * n
-        of, at, ids, null, count, step = K.unpack(data[start : start + m])
-        row = np.repeat(np.arange(len(at), dtype=np.int32), count)
-        total = np.cumsum(step, dtype=np.uint32)  # steps begin anew with each row
-        first = np.cumsum(count.astype(np.int64)) - count
-        base = np.where(first > 0, total[np.maximum(first - 1, 0)], np.uint32(0)) if len(total) else total
-        pos = total - base[row]
-        h = np.frombuffer(data, np.uint64, len(pos), start + m)
-        g = np.frombuffer(data, np.uint32, len(pos), start + m + 8 * len(pos))
-        self.add(chunks, np.cumsum(of).astype(np.int32), at, np.cumsum(ids), null > 0, row, pos, h, g)
+        start = 9 + int.from_bytes(data[1:9], "little")
+        src, nth, ids, null, count, step = K.unpack(data[9:start])
+        n = len(step)
+        g = np.zeros((n, 4), np.uint8)
+        g[:, :CHECK] = np.frombuffer(data, np.uint8, CHECK * n, start + 8 * n).reshape(n, CHECK)
+        self.add(np.cumsum(src), np.cumsum(nth), np.cumsum(ids), null > 0, *_places(count, step), np.frombuffer(data, np.uint64, n, start), g.view("<u4").ravel())
 
     def close(self) -> None:
         """One array of each kind; ``rank`` orders the rows' documents."""
-        of, at, ids, null, self.row, self.pos, self.h, self.g = (np.concatenate(x) for x in zip(*self.parts))
+        self.src, self.nth, self.ids, self.null, self.row, self.pos, self.h, self.g = (np.concatenate(x) for x in zip(*self.parts))
         self.parts = []
-        self.of, self.at, self.ids, self.null = of, at, ids, null
-        self.rank = ranks(ids, null).astype(np.int32)
+        self.rank = ranks(self.ids, self.null).astype(np.int32)
 
     def block(self, pick: np.ndarray) -> bytes:
         """Some entries, ascending, as a block."""
-        row = self.row[pick]
-        first = np.flatnonzero(np.diff(row, prepend=-1))
-        who = row[first]
-        of = self.of[who]
-        names, where = np.unique(of, return_inverse=True)
-        count = np.diff(np.append(first, len(row)))
-        step = self.pos[pick]
-        step[1:] -= np.where(np.diff(row) == 0, step[:-1], np.uint32(0))
-        body = K.pack(K.deltas(where), self.at[who], K.deltas(self.ids[who]), self.null[who].astype(np.uint8), count.astype(np.uint32), step)
-        return b"E" + len(names).to_bytes(8, "little") + len(body).to_bytes(8, "little") + b"".join(self.chunks[k] for k in names.tolist()) + body + self.h[pick].tobytes() + self.g[pick].tobytes()
-
-    def answers(self, pick: np.ndarray) -> Iterator[tuple[bytes, bytes]]:
-        """(chunk, packed rows and positions) for some entries, ascending."""
-        row, pos = self.row[pick], self.pos[pick]
-        of = self.of[row]
-        edge = np.flatnonzero(np.diff(of, prepend=-1))
-        for a, b in zip(edge.tolist(), [*edge[1:].tolist(), len(of)]):
-            yield self.chunks[of[a]], K.pack(self.at[row[a:b]], pos[a:b])
-
-
-def _known(answer: tuple[bytes, bytes]) -> bytes:
-    return b"D" + answer[0] + answer[1]
+        who, count, step = _steps(self.row[pick], self.pos[pick])
+        body = K.pack(K.deltas(self.src[who]), K.deltas(self.nth[who]), K.deltas(self.ids[who]), self.null[who].astype(np.uint8), count, step)
+        return b"E" + len(body).to_bytes(8, "little") + body + self.h[pick].tobytes() + self.g[pick].astype("<u4").view(np.uint8).reshape(-1, 4)[:, :CHECK].tobytes()
+
+    def answers(self, pick: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(src, nth, count, step) of the rows that some entries, ascending, belong to."""
+        who, count, step = _steps(self.row[pick], self.pos[pick])
+        return self.src[who], self.nth[who], count, step
+
+
+def _steps(row: np.ndarray, pos: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(rows, entries of each, steps from position to position, anew in each row)."""
+    first = np.flatnonzero(np.diff(row, prepend=-1))
+    step = pos.copy()
+    step[1:] -= np.where(np.diff(row) == 0, pos[:-1], np.uint32(0))
+    return row[first], np.diff(np.append(first, len(row))).astype(np.uint32), step
+
+
+def _places(count: np.ndarray, step: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(row number, position) of entries from ``_steps``."""
+    row = np.repeat(np.arange(len(count), dtype=np.int32), count)
+    total = np.cumsum(step, dtype=np.uint32)
+    first = np.cumsum(count.astype(np.int64)) - count
+    base = np.where(first > 0, total[np.maximum(first - 1, 0)], np.uint32(0)) if len(total) else total
+    return row, total - base[row]
 
 
 def _parted(g: Gather, keep: np.ndarray, hit: np.ndarray, shift: int, bits: int, base: int) -> pa.RecordBatch | None:
     """Blocks of the kept entries by the hash bits below ``shift``, and what is settled already."""
     out_b, out_p = [], []
-    for answer in g.answers(np.flatnonzero(hit)):  # passes through any bucket
-        out_b.append(base + zlib.crc32(answer[0]) % (1 << bits))
-        out_p.append(_known(answer))
+    if hit.any():  # passes through any bucket
+        src, nth, count, step = g.answers(np.flatnonzero(hit))
+        out_b.append(base + int(nth[0]) % (1 << bits))
+        out_p.append(b"D" + K.pack(K.deltas(src), K.deltas(nth), count, step))
     pick = np.flatnonzero(keep)
     if len(pick):
         to = ((g.h[pick] >> np.uint64(shift)) & np.uint64((1 << bits) - 1)).astype(np.uint16)
@@ -202,14 +209,15 @@ def _parted(g: Gather, keep: np.ndarray, hit: np.ndarray, shift: int, bits: int,
 def _emit(entries: Entries, settle: Settle, bits: int):
     def run(batches):
         for batch in batches:
-            for k in range(len(batch)):
-                c, name = Chunk.open(batch, k), batch.column("chunk")[k].as_py()
-                n = len(c.ids)
-                for row, pos, h, check in entries(c.raw, c.off):
+            raw, off = K.string_buffers(batch.column("text"))
+            ids, null = doc_ids(batch)
+            src, nth = batch.column("src").to_numpy(), batch.column("nth").to_numpy()
+            for i, j in K.slices(off, CHUNK_BYTES):
+                for row, pos, h, check in entries(raw[off[i] : off[j]], off[i : j + 1] - off[i]):
                     if not len(h):
                         continue
                     g = Gather()
-                    g.add([name], np.zeros(n, np.int32), np.arange(n, dtype=np.uint32), c.ids, c.null, row.astype(np.int32), pos.astype(np.uint32), h, check)
+                    g.add(src[i:j], nth[i:j], ids[i:j], null[i:j], row.astype(np.int32), pos.astype(np.uint32), h, check.astype(np.uint32) & np.uint32((1 << 8 * CHECK) - 1))
                     g.close()
                     out = _parted(g, *settle(g.h, g.g, g.rank[g.row]), 64 - bits, bits, 0)
                     if out is not None:
@@ -219,7 +227,7 @@ def _emit(entries: Entries, settle: Settle, bits: int):
 
 
 def _finer(settle: Settle, shift: int, bits: int):
-    """Coarse buckets: the blocks of many chunks, settled together and cut by the next bits of their hashes."""
+    """Coarse buckets: the blocks of many slices, settled together and cut by the next bits of their hashes."""
 
     def cut(g: Gather, base: int) -> pa.RecordBatch | None:
         g.close()
@@ -247,26 +255,24 @@ def _finer(settle: Settle, shift: int, bits: int):
     return run
 
 
-def _answered(answers: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array([a for a, _ in answers], pa.binary()), pa.array([b for _, b in answers], pa.binary())], schema=_VERDICT)
+def _answered(src: np.ndarray, nth: np.ndarray, count: np.ndarray, step: np.ndarray) -> pa.RecordBatch:
+    """One packed verdict for each row."""
+    end = np.cumsum(count.astype(np.int64))
+    at = [K.pack(step[a:b]) for a, b in zip((end - count).tolist(), end.tolist())]
+    return pa.RecordBatch.from_arrays([pa.array(src, pa.int64()), pa.array(nth, pa.int64()), pa.array(at, pa.binary())], schema=_VERDICT)
 
 
 def _judge(decide: Decide):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        g, known = Gather(), []
+        g = Gather()
         for batch in batches:
             for block in batch.column("block"):
                 data = block.as_buffer()
                 if data[:1].to_pybytes() == b"D":
-                    body = data.to_pybytes()
-                    known.append((body[1:17], body[17:]))
-                    if len(known) >= 256:
-                        yield _answered(known)
-                        known = []
+                    src, nth, count, step = K.unpack(data[1:])
+                    yield _answered(np.cumsum(src), np.cumsum(nth), count, step)
                 else:
                     g.read(data)
-        if known:
-            yield _answered(known)
         if not g.n:
             return
         g.close()
@@ -277,40 +283,37 @@ def _judge(decide: Decide):
             mine = np.flatnonzero(turn == k)
             if len(mine):
                 hit[mine] = decide(g.h[mine], g.g[mine], g.rank[g.row[mine]])
-        answers = list(g.answers(np.flatnonzero(hit)))
-        if answers:
-            yield _answered(answers)
+        if hit.any():
+            yield _answered(*g.answers(np.flatnonzero(hit)))
 
     return run
 
 
-def exchange(chunks: DataFrame, entries: Entries, settle: Settle, decide: Decide, buckets: int) -> DataFrame:
-    """(chunk, at): packed rows and positions of the entries that ``decide`` or ``settle`` hit."""
+def exchange(rows: DataFrame, entries: Entries, settle: Settle, decide: Decide, buckets: int) -> DataFrame:
+    """(src, nth, at): for each row (``named_rows``) the packed positions of the entries that ``decide`` or ``settle`` hit."""
     bits = max(1, (buckets - 1).bit_length())
     step = bits if 1 << bits <= FAN else (bits + 1) // 2
-    sent = chunks.mapInArrow(_emit(entries, settle, step), BLOCK)
+    sent = rows.mapInArrow(_emit(entries, settle, step), BLOCK)
     if step < bits:
         sent = sent.groupBy("bucket").applyInArrow(_finer(settle, 64 - bits, bits - step), BLOCK)
     heard = sent.groupBy("bucket").applyInArrow(_judge(decide), VERDICT)
-    return heard.groupBy("chunk").agg(F.collect_list("at").alias("at"))
+    return heard.groupBy("src", "nth").agg(F.collect_list("at").alias("at"))
 
 
-def hits(at: list[bytes] | None) -> tuple[np.ndarray, np.ndarray]:
-    """(rows, positions) of all hits of one chunk, ascending."""
+def positions(at: list[bytes] | None) -> np.ndarray:
+    """All positions of one row, ascending."""
     if not at:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    rows, places = (np.concatenate(x).astype(np.int64) for x in zip(*map(K.unpack, at)))
-    order = np.lexsort((places, rows))
-    return rows[order], places[order]
+        return np.zeros(0, np.int64)
+    return np.sort(np.concatenate([np.cumsum(K.unpack(x)[0].astype(np.int64)) for x in at]))
 
 
 # --- texts on their own way ----------------------------------------------------------
 
-_PACKED = pa.schema([("doc_id", pa.int64()), ("packed", pa.binary()), ("n_raw", pa.int64())])
-
 
 def pack_texts(docs: DataFrame) -> DataFrame:
-    """(doc_id, packed, n_raw): texts compressed before they are shuffled; null packed for a null text."""
+    """``docs`` with packed and n_raw for text: texts compressed before they are shuffled; null packed for a null text."""
+    others = [f for f in docs.schema.fields if f.name != "text"]
+    schema = StructType([*others, StructField("packed", BinaryType()), StructField("n_raw", LongType())])
 
     def run(batches):
         for batch in batches:
@@ -319,9 +322,9 @@ def pack_texts(docs: DataFrame) -> DataFrame:
             there = col.is_valid().to_numpy(zero_copy_only=False)
             size = np.diff(off)
             packed = [pa.compress(raw[a:b].tobytes(), codec="zstd", asbytes=True) if ok and b > a else (b"" if ok else None) for a, b, ok in zip(off[:-1].tolist(), off[1:].tolist(), there.tolist())]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(packed, pa.binary()), pa.array(size, pa.int64())], schema=_PACKED)
+            yield pa.RecordBatch.from_arrays([*[batch.column(f.name) for f in others], pa.array(packed, pa.binary()), pa.array(size, pa.int64())], names=schema.names)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, packed binary, n_raw long")
+    return docs.mapInArrow(run, schema)
 
 
 def small_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -340,4 +343,4 @@ def sha256_hex(data: bytes) -> str:
     return hashlib.sha256(data).hexdigest()
 
 
-__all__ = ["Chunk", "Gather", "chunked", "cut_chunks", "doc_ids", "exchange", "hits", "pack_texts", "ranks", "sha256_hex", "small_batches", "unpack_text"]
+__all__ = ["Chunk", "Gather", "cut_chunks", "doc_ids", "exchange", "named_rows", "pack_texts", "positions", "ranks", "sha256_hex", "small_batches", "unpack_text"]

@@ -17,12 +17,14 @@ linear in its members; the connected parts of all forests are clusters.  Crowds
 are thinned before the shuffle: members that agree with a local head almost
 everywhere send their link to it and let it stand for them in that meeting.  The head
 carries their least and largest size and the number of tuples in which one of them
-differs from it, and takes every candidate that any of them could have.  Full
-shingle sets travel to their cluster once, in blocks of bounded size, where every
-link is confirmed: a document outside the largest component found so far is
-counted against all others by an inverted index, so no link between
+differs from it, and takes every candidate that any of them could have.  Links are
+confirmed on full shingle sets.  A small cluster is one block: sets outside the largest
+component found so far are counted against all others by an inverted index.  A large
+cluster is many blocks: its HEADS best connected sets visit each of them, and then the sets
+that these left outside the cluster's largest component do.  No link between
 components is missed and no pair is ever written out.  Components come from
-alternating star contraction; neither links nor components visit the driver.
+alternating star contraction; neither links nor components visit the driver, and
+the rows of a hot node or cluster are not gathered in one task.
 
 Defined results: a text with fewer words than a shingle is its whole sequence as
 one shingle; a null or blank text has the empty set and is linked with nothing;
@@ -39,10 +41,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from vecblock.llm import exchange as X
 from vecblock.llm import kernels as K
-from vecblock.llm.shared import Stored, bucket_count
+from vecblock.llm.shared import Stored, bucket_count, free_name
 
 GROUPS, ROWS = 10, 2
 #: Tuples (of 2 * GROUPS) that a candidate pair shares at least; at s = 0.8 fewer have a chance of 1e-4.
@@ -55,8 +58,12 @@ HEADS = 16
 CROWD = 64
 #: Tuples (of 2 * GROUPS) shared with a head by a member that the head can stand for (similarity of about 0.92 and more).
 TIGHT = 17
-#: Shingles of one block of a cluster.
-BLOCK = 2_000_000
+#: Shingles and sets of one block of a cluster; the larger block counts.
+BLOCK, BLOCK_SETS = 1 << 14, 128
+#: Sets that visit the blocks of a cluster together.
+PARTY = 1024
+#: Keys of more rows than HOT and a HOT_KEYS-th of all rows are joined by broadcast: HOT_KEYS keys at most.
+HOT, HOT_KEYS = 200, 100_000
 _U = np.uint64
 _A = pa.list_(pa.int64())
 _SKETCH = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("s1", pa.int64()), ("s2", pa.int64()), ("left", _A), ("right", _A)])
@@ -122,23 +129,34 @@ def _sketch(width: int, groups: int, rows: int):
     return run
 
 
+def spread_join(left: DataFrame, right: DataFrame, key: str) -> DataFrame:
+    """Left join with the one row per key of ``right``; the left rows of a hot key stay where they are."""
+    n = left.count()
+    hot = left.groupBy(key).agg(F.count("*").alias("_n")).where((F.col("_n") > HOT) & (F.col("_n") > n // HOT_KEYS))
+    hot = hot.select(key, F.lit(True).alias("_hot")).join(right, key, "left")
+    marked = left.join(F.broadcast(hot), key, "left")  # at most HOT_KEYS rows
+    cold = marked.where("_hot IS NULL").select(*left.columns).join(right, key, "left")
+    return marked.where("_hot").drop("_hot").unionByName(cold)
+
+
 def components(edges: DataFrame, spark: SparkSession, rounds: int = 60) -> Stored:
     """(v, c): every node of the undirected ``edges`` (u, v) and the least node it reaches.
 
-    Alternating star contraction; each round is written to the shared folder.
+    Alternating star contraction over links (v, u) with u < v; each round is written to the shared folder.
     """
     now = Stored(spark, edges.select(F.greatest("u", "v").alias("v"), F.least("u", "v").alias("u")).where("u <> v").distinct(), "links")
     seen = None
     for _ in range(rounds):
-        both = now.df.select(F.col("u").alias("x"), F.col("v").alias("y")).union(now.df.select(F.col("v").alias("x"), F.col("u").alias("y")))
-        low = both.groupBy("x").agg(F.least(F.col("x"), F.min("y")).alias("m"))
-        large = both.where("y > x").join(low, "x").select(F.col("y").alias("v"), F.col("m").alias("u")).where("u <> v").distinct()
+        # larger neighbours of u go to u's least neighbour; only nodes with a smaller neighbour have another than themselves
+        least = now.df.groupBy(F.col("v").alias("u")).agg(F.min("u").alias("m"))
+        large = Stored(spark, spread_join(now.df, least, "u").select("v", F.coalesce("m", "u").alias("u")).distinct(), "links")
         # now every node hangs on smaller ones: bring them under the least of these
-        least = large.groupBy("v").agg(F.min("u").alias("m"))
-        small = large.join(least, "v").select(F.when(F.col("u") == F.col("m"), F.col("v")).otherwise(F.col("u")).alias("v"), F.col("m").alias("u")).where("u <> v").distinct()
+        least = large.df.groupBy("v").agg(F.min("u").alias("m"))
+        small = spread_join(large.df, least, "v").select(F.when(F.col("u") == F.col("m"), F.col("v")).otherwise(F.col("u")).alias("v"), F.col("m").alias("u")).where("u <> v").distinct()
         nxt = Stored(spark, small, "links")
         state = nxt.df.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         now.drop()
+        large.drop()
         now = nxt
         if state == seen:
             break
@@ -155,7 +173,7 @@ _PAIR = "u long, v long"
 _NO_PAIRS = pa.table({"u": pa.array([], pa.int64()), "v": pa.array([], pa.int64())})
 
 
-def _deal(buckets: int):
+def _deal(buckets: int, percent: int = 80):
     """Send each representative's sketch to the bucket of each of its first-collection tuples."""
 
     def run(batches):
@@ -167,7 +185,7 @@ def _deal(buckets: int):
             sides = [np.asarray(batch.column(c).values.to_numpy())[batch.column(c).offsets[0].as_py() : batch.column(c).offsets[-1].as_py()].reshape(m, -1) for c in ("left", "right")]
             to = (sides[0].view(np.uint64) % _U(buckets)).astype(np.int64)
             small = np.hstack(sides).view(np.uint64).astype(np.uint32)
-            apart, least, most, loose, pairs = _thin(rep, n.astype(np.int64), small)
+            apart, least, most, loose, pairs = _thin(rep, n.astype(np.int64), small, percent)
             outs, blocks = [], []
             if len(pairs):
                 outs.append(int(len(pairs) % buckets))
@@ -181,7 +199,7 @@ def _deal(buckets: int):
     return run
 
 
-def _thin(rep: np.ndarray, n: np.ndarray, sketch: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def _thin(rep: np.ndarray, n: np.ndarray, sketch: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Crowds of one batch leave their heads and the loosely tied.
 
     By row and meeting: whether it still goes there, the least and the largest size it stands for,
@@ -204,7 +222,7 @@ def _thin(rep: np.ndarray, n: np.ndarray, sketch: np.ndarray) -> tuple[np.ndarra
                     break
                 head, rest = open_[0], open_[1:]
                 same = (sketch[rest] == sketch[head]).sum(1)
-                near = (same >= TIGHT) & _fit_sizes(n[rest], n[head], 80)
+                near = (same >= TIGHT) & _fit_sizes(n[rest], n[head], percent)
                 apart[rest[near], i] = False
                 least[head, i] = n[rest[near]].min(initial=n[head])
                 most[head, i] = n[rest[near]].max(initial=n[head])
@@ -393,37 +411,44 @@ def linked(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
     return forest.edges
 
 
-_PLACED = pa.schema([("cluster", pa.int64()), ("b1", pa.int32()), ("b2", pa.int32()), ("rep", pa.int64()), ("items", pa.binary())])
+_PLACED_DDL = "cluster long, block int, rep long, head boolean, items binary"
+_PLACED = pa.schema([("cluster", pa.int64()), ("block", pa.int32()), ("rep", pa.int64()), ("head", pa.bool_()), ("items", pa.binary())])
 
 
 def _place(width: int):
-    """A compressed text becomes its set, once for every pair of blocks that its own block belongs to."""
+    """A compressed text becomes its set, in the block of its cluster that its id falls into."""
 
     def run(batches):
         for batch in X.small_batches(batches):
             out: list[list] = [[] for _ in range(5)]
-            cols = [batch.column(c).to_pylist() for c in ("rep", "s1", "s2", "cluster", "blocks", "n_raw")]
-            for k, (rep, s1, s2, cluster, blocks, size) in enumerate(zip(*cols)):
+            cols = [batch.column(c).to_pylist() for c in ("rep", "s1", "s2", "cluster", "blocks", "head", "n_raw")]
+            for k, (rep, s1, s2, cluster, blocks, head, size) in enumerate(zip(*cols)):
                 raw = np.frombuffer(X.unpack_text(batch.column("packed")[k].as_py(), size), np.uint8)
                 one = next(shingle_sets(raw, np.array([0, len(raw)]), width))
                 if _identity(one) != (s1, s2):
                     continue
-                mine = int(K.mix(np.array([rep], np.int64).view(np.uint64))[0] % _U(blocks))
-                for other in range(blocks):
-                    for c, v in zip(out, (cluster, min(mine, other), max(mine, other), rep, one.tobytes())):
-                        c.append(v)
+                block = int(K.mix(np.array([rep], np.int64).view(np.uint64))[0] % _U(blocks)) if blocks > 1 else -1
+                for c, v in zip(out, (cluster, block, rep, head, one.tobytes())):
+                    c.append(v)
             yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(out, _PLACED)], schema=_PLACED)
 
     return run
 
 
-def _settle_block(percent: int):
+def _sets(table: pa.Table) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Distinct (rep, set) of some rows; an id may stand for several sets."""
+    order = np.argsort(table.column("rep").to_numpy(), kind="stable").tolist()
+    ids, items = table.column("rep"), table.column("items")
+    own = dict.fromkeys((ids[i].as_py(), items[i].as_py()) for i in order)
+    return np.array([k for k, _ in own], np.int64), [np.frombuffer(x, np.uint64) for _, x in own]
+
+
+def _settle_cluster(percent: int):
+    """Links inside a cluster of one block."""
+
     def run(table: pa.Table) -> pa.Table:
-        order = np.argsort(table.column("rep").to_numpy(), kind="stable").tolist()
-        ids, items = table.column("rep"), table.column("items")
-        own = dict.fromkeys((ids[i].as_py(), items[i].as_py()) for i in order)  # an id may stand for several sets
-        rep = np.array([k for k, _ in own], np.int64)
-        edges = linked([np.frombuffer(x, np.uint64) for _, x in own], percent)
+        rep, sets = _sets(table)
+        edges = linked(sets, percent)
         if not edges:
             return _NO_PAIRS
         e = np.array(edges)
@@ -432,6 +457,100 @@ def _settle_block(percent: int):
     return run
 
 
+def _settle_guests(percent: int):
+    """Links between the sets of a block and guests that visit every block of their cluster (``head``)."""
+
+    def run(table: pa.Table) -> pa.Table:
+        guest = table.column("head").to_numpy(zero_copy_only=False)
+        rep, sets = _sets(table.filter(pa.array(~guest)))
+        guests, their = _sets(table.filter(pa.array(guest)))
+        m = len(sets)
+        size = np.fromiter(map(len, sets), np.int64, m)
+        flat = np.concatenate(sets) if m else np.zeros(0, np.uint64)
+        order = np.argsort(flat, kind="stable")
+        owner = np.repeat(np.arange(m), size)[order]
+        flat = flat[order]
+        us, vs = [], []
+        for who, one in zip(guests.tolist(), their):
+            lo, hi = np.searchsorted(flat, one), np.searchsorted(flat, one, "right")
+            shared = np.bincount(owner[K.ragged(lo, hi - lo)], minlength=m)
+            hit = np.flatnonzero(100 * shared >= percent * (size + len(one) - shared))
+            us.append(np.full(len(hit), who))
+            vs.append(rep[hit])
+        return _out(us, vs)
+
+    return run
+
+
+def _visit(sets: DataFrame, guests: DataFrame, percent: int, few: bool) -> DataFrame:
+    """Links of ``guests`` (cluster, blocks, rep, items) with all sets (_PLACED) of their clusters.
+
+    Unless they are ``few``, guests come in parties of about PARTY.
+    """
+    party = F.lit(0)
+    sets = sets.select("cluster", "block", "rep", F.lit(False).alias("head"), "items")
+    if few:
+        sets = sets.withColumn("party", party)
+    else:
+        parties = guests.groupBy("cluster").agg(F.ceil(F.count("*") / PARTY).alias("parties"))
+        sets = spread_join(sets, parties, "cluster").where("parties > 0").withColumn("party", F.explode(F.sequence(F.lit(0), (F.col("parties") - 1).cast("int")))).drop("parties")
+        guests = spread_join(guests, parties, "cluster")
+        party = F.pmod(F.xxhash64("rep"), F.col("parties")).cast("int")
+    block = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    everywhere = guests.withColumn("party", party).select("cluster", block.alias("block"), "rep", F.lit(True).alias("head"), "items", "party")
+    return sets.unionByName(everywhere).groupBy("cluster", "block", "party").applyInArrow(_settle_guests(percent), _PAIR)
+
+
+def _heads(members: DataFrame, forests: DataFrame) -> DataFrame:
+    """(rep): the HEADS members (cluster, rep) of each cluster with most candidate links."""
+    degree = forests.select(F.col("u").alias("rep")).union(forests.select("v")).groupBy("rep").agg(F.count("*").alias("k"))
+    some = members.join(degree, "rep").withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(256)))
+    for by in (["cluster", "salt"], ["cluster"]):  # the few best of each part, then of all
+        w = Window.partitionBy(*by).orderBy(F.desc("k"), "rep")
+        some = some.withColumn("r", F.row_number().over(w)).where(F.col("r") <= HEADS)
+    return some.select("rep", F.lit(True).alias("head"))
+
+
+def _confirmed(docs: DataFrame, reps: DataFrame, forests: DataFrame, width: int, percent: int, keep: list[Stored]) -> DataFrame:
+    """Links (u, v) that connect all components of each candidate cluster, confirmed on full sets."""
+    spark = docs.sparkSession
+
+    def hold(df: DataFrame, tag: str) -> DataFrame:
+        keep.append(Stored(spark, df, tag))
+        return keep[-1].df
+
+    found = components(forests, spark)
+    keep.append(found)
+    named = found.df.select(F.col("v").alias("rep"), F.col("c").alias("cluster")).union(found.df.select("c", "c").distinct())
+    named = hold(named.join(reps.select("rep", "n", "s1", "s2"), "rep"), "named")
+    size = F.least(F.ceil(F.sum("n") / BLOCK), F.ceil(F.count("*") / BLOCK_SETS))
+    blocks = named.groupBy("cluster").agg(F.greatest(size, F.lit(1)).cast("int").alias("blocks"))
+    wanted = hold(spread_join(named, blocks, "cluster").select("rep", "s1", "s2", "cluster", "blocks"), "wanted")
+    large = wanted.where("blocks > 1").select("cluster", "blocks", "rep").distinct()
+    asked = wanted.join(_heads(large, forests), "rep", "left").withColumn("head", F.coalesce("head", F.lit(False)))
+    # one plan at every size: a broadcast of few ids now would hide the shuffle of many later
+    texts = X.pack_texts(docs).where("packed IS NOT NULL")
+    asked = texts.join(asked.hint("merge"), F.col("doc_id") == F.col("rep")).select("rep", "s1", "s2", "cluster", "blocks", "head", "packed", "n_raw")
+    placed = hold(asked.mapInArrow(_place(width), _PLACED_DDL), "sets")
+    single = placed.where("block < 0").groupBy("cluster").applyInArrow(_settle_cluster(percent), _PAIR)
+    large = hold(large, "large")
+    if large.isEmpty():
+        return single
+    many = placed.where("block >= 0")
+    by_id = large.select("rep", "blocks")
+    first = hold(_visit(many, many.where("head").join(by_id, "rep"), percent, True), "links")
+    # what the heads left outside the largest component of its cluster visits all blocks
+    comp = components(first, spark)
+    keep.append(comp)
+    label = large.join(comp.df.withColumnRenamed("v", "rep"), "rep", "left").select("cluster", "blocks", "rep", F.coalesce("c", "rep").alias("c"))
+    label = hold(label, "label")
+    count = label.groupBy("cluster", "c").agg(F.count("*").alias("k"))
+    top = count.groupBy("cluster").agg(F.max(F.struct("k", "c")).alias("t")).select("cluster", F.col("t.c").alias("top"))
+    open_ = hold(spread_join(label, top, "cluster").where("c <> top").select("rep", "blocks").distinct(), "open")
+    guests = hold(many.join(open_, "rep"), "guests")
+    return single.union(first).union(_visit(many, guests, percent, False))
+
+
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, groups: int = GROUPS, rows: int = ROWS) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row."""
     spark = docs.sparkSession
@@ -440,26 +559,18 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, groups:
     whole = sketch.df.where("n_shingles > 0 AND doc_id IS NOT NULL")
     reps = Stored(spark, whole.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("left").alias("left"), F.first("right").alias("right")), "reps")
     buckets = bucket_count(docs, 4 << 20, least=16)
-    dealt = reps.df.select("rep", "n", "left", "right").mapInArrow(_deal(buckets), "bucket int, block binary")
-    forests = dealt.groupBy("bucket").applyInArrow(_forests(groups, percent), _PAIR)
-    clusters = components(forests, spark)
-
-    named = clusters.df.select(F.col("v").alias("rep"), F.col("c").alias("cluster")).union(clusters.df.select("c", "c").distinct())
-    wanted = named.join(reps.df.select("rep", "n", "s1", "s2"), "rep")
-    blocks = named.join(reps.df.select("rep", "n"), "rep").groupBy("cluster").agg(F.ceil(F.sum("n") / BLOCK).cast("int").alias("blocks"))
-    wanted = Stored(spark, wanted.join(blocks, "cluster").select("rep", "s1", "s2", "cluster", "blocks"), "wanted")
-    texts = X.pack_texts(docs).where("packed IS NOT NULL")
-    # one plan at every size: a broadcast of few ids now would hide the shuffle of many later
-    asked = texts.join(wanted.df.hint("merge"), F.col("doc_id") == F.col("rep")).select("rep", "s1", "s2", "cluster", "blocks", "packed", "n_raw")
-    placed = asked.mapInArrow(_place(width), "cluster long, b1 int, b2 int, rep long, items binary")
-    links = placed.groupBy("cluster", "b1", "b2").applyInArrow(_settle_block(percent), _PAIR)
-    comp = components(links, spark)
-    wanted.drop()
-    clusters.drop()
+    dealt = reps.df.select("rep", "n", "left", "right").mapInArrow(_deal(buckets, percent), "bucket int, block binary")
+    forests = Stored(spark, dealt.groupBy("bucket").applyInArrow(_forests(groups, percent), _PAIR), "forests")
+    keep = [sketch, reps, forests]
+    comp = components(_confirmed(docs, reps.df, forests.df, width, percent, keep), spark)
+    keep.append(comp)
     label = reps.df.select("s1", "s2", "rep").join(comp.df.withColumnRenamed("v", "rep"), "rep", "left").select("s1", "s2", F.coalesce("c", "rep").alias("component_id"))
     out = sketch.df.select("doc_id", "n_shingles", "s1", "s2").join(label, ["s1", "s2"], "left")
     cid = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("component_id")).otherwise(F.col("doc_id"))
-    return out.select("doc_id", "n_shingles", cid.alias("component_id"), F.coalesce(F.col("doc_id") == cid, F.lit(True)).alias("kept"))
+    out = Stored(spark, out.select("doc_id", "n_shingles", cid.alias("component_id"), F.coalesce(F.col("doc_id") == cid, F.lit(True)).alias("kept")), "components")
+    for table in keep:
+        table.drop()
+    return out.df
 
 
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
@@ -467,6 +578,7 @@ def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
 
     Rows that repeat a doc_id all stay or all go.
     """
-    gone = near_duplicates(docs, width, percent).where("NOT kept").select(F.col("doc_id").alias("_gone")).distinct()
+    name = free_name(docs, "gone")
+    gone = near_duplicates(docs, width, percent).where("NOT kept").select(F.col("doc_id").alias(name)).distinct()
     gone = Stored(docs.sparkSession, gone, "gone").df  # with a known size, Spark decides on a broadcast
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    return docs.join(gone, F.col("doc_id") == F.col(name), "left_anti")

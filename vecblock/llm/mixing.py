@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from vecblock.llm.shared import Stored
+from vecblock.llm.shared import Stored, free_name
 
 WEIGHTS = (5, 2, 1)
 CAP = 3
@@ -50,18 +50,19 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: int = CAP
     return by.withColumn("lambda", level).select("source", "source_size", "n_docs", F.least("full", F.coalesce(F.col("w") * F.col("lambda"), F.col("full"))).alias("target"))
 
 
-def _draw(seed: int):
-    return F.xxhash64(F.lit(seed), "doc_id", "size")
+def _draw(seed: int, size):
+    """A hash-random key of 60 bits."""
+    return F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("doc_id").cast("string"), size.cast("string"))), 1, 15), 16, 10).cast("long")
 
 
 def _plan(docs: DataFrame, seed: int, weights: tuple[int, ...], cap: int) -> DataFrame:
     spark = docs.sparkSession
     sized = docs.select("doc_id", "source", size_of("text").alias("size"))
-    sized = Stored(spark, sized.withColumn("draw", _draw(seed)), "sizes")
+    sized = Stored(spark, sized.withColumn("draw", _draw(seed, F.col("size"))), "sizes")
     aim = Stored(spark, targets(sized.df, weights, cap), "targets")
     # each source gets as many ranges as its rows ask for; a range is known by its number
     rows = sized.df.join(aim.df.withColumnRenamed("source", "s"), F.col("source").eqNullSafe(F.col("s"))).drop("s")
-    unit = (F.col("draw").cast("double") + F.lit(2.0**63)) / F.lit(2.0**64)
+    unit = F.col("draw").cast("double") / F.lit(2.0**60)
     ranges = F.ceil(F.col("n_docs") / RANGE_ROWS)
     rows = rows.withColumn("range", F.least(F.floor(unit * ranges), ranges - 1).cast("long"))
     per = rows.groupBy("source", "range").agg(F.sum("size").alias("k"))
@@ -94,9 +95,9 @@ def mixed_documents(docs: DataFrame, seed: int = 17, weights: tuple[int, ...] =
     shuffled; the border document is taken whole, and with it rows of the same key.
     """
     cuts = _plan(docs, seed, weights, cap).groupBy("source").agg(F.max("epochs").alias("e"), F.max(F.when(F.col("part") > 0, F.col("draw"))).alias("last"))
-    cuts = Stored(docs.sparkSession, cuts.select(F.col("source").alias("_cut_source"), F.col("e").cast("int").alias("_cut_epochs"), F.col("last").alias("_cut_last")), "cuts")
-    draw = F.xxhash64(F.lit(seed), "doc_id", size_of("text"))
-    rows = docs.join(cuts.df, F.col("source").eqNullSafe(F.col("_cut_source")))
-    copies = F.col("_cut_epochs") + F.coalesce((draw <= F.col("_cut_last")).cast("int"), F.lit(0))
-    rows = rows.withColumn("_cut_copies", copies).where("_cut_copies > 0")
-    return rows.withColumn("_cut_copy", F.explode(F.sequence(F.lit(1), "_cut_copies"))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    of, epochs, last, copies = (free_name(docs, f"cut_{x}") for x in ("source", "epochs", "last", "copies"))
+    cuts = Stored(docs.sparkSession, cuts.select(F.col("source").alias(of), F.col("e").cast("int").alias(epochs), F.col("last").alias(last)), "cuts")
+    rows = docs.join(cuts.df, F.col("source").eqNullSafe(F.col(of)))
+    taken = F.col(epochs) + F.coalesce((_draw(seed, size_of("text")) <= F.col(last)).cast("int"), F.lit(0))
+    rows = rows.withColumn(copies, taken).where(F.col(copies) > 0)
+    return rows.withColumn(copies, F.explode(F.sequence(F.lit(1), F.col(copies)))).select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -28,7 +28,7 @@ from pyspark.sql.window import Window
 
 from vecblock.llm import kernels as K
 from vecblock.llm.logistic import Logistic
-from vecblock.llm.shared import Stored
+from vecblock.llm.shared import Stored, free_name
 
 SAMPLE = 20_000
 _CLASSES = [b"#*$%&<>", b"|", b"!", b"?", b"0123456789", bytes(range(65, 91)), bytes(range(97, 123)), b"\n", b".,;:", b"()[]{}=+@\"'/\\_"]
@@ -59,7 +59,7 @@ def features(raw: np.ndarray, off: np.ndarray) -> np.ndarray:
     new = np.append(True, (tri[order][1:] != tri[order][:-1]) | (trow[order][1:] != trow[order][:-1]))[: len(order)]
     kinds3, all3 = np.bincount(trow[order], new, n), np.bincount(trow, minlength=n)
     some = np.maximum(count, 1)
-    extra = np.stack([chars / some, np.log1p(count), distinct / some, 1 - kinds3 / np.maximum(all3, 1), np.log1p(size)], 1)
+    extra = np.stack([chars / some, np.log1p(count), distinct / some, (all3 - kinds3) / np.maximum(all3, 1), np.log1p(size)], 1)
     return np.hstack([share, extra])
 
 
@@ -77,13 +77,15 @@ def labelled(docs: DataFrame, labels: DataFrame, label: str, sample: int, where:
     return docs.select("doc_id", "text").join(F.broadcast(some), "doc_id")  # at most ``sample`` ids and labels
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE) -> Logistic:
+def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE, where: Column | None = None) -> Logistic:
+    """The model of up to ``sample`` labelled rows; ``where`` is a condition on the labels, to hold some out."""
+
     def run(batches):
         for batch in batches:
             x = _by_slices(batch, features)
             yield pa.RecordBatch.from_arrays([batch.column("y").cast(pa.int32()), pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), FEATURES).cast(pa.list_(pa.float64()))], names=["y", "x"])
 
-    got = labelled(docs, labels, label, sample).select("y", "text").mapInArrow(run, "y int, x array<double>").toArrow()  # ``sample`` rows of FEATURES numbers
+    got = labelled(docs, labels, label, sample, where).select("y", "text").mapInArrow(run, "y int, x array<double>").toArrow()  # ``sample`` rows of FEATURES numbers
     x = np.array(got.column("x").to_pylist(), np.float64).reshape(-1, FEATURES)
     y = got.column("y").to_numpy().astype(np.float64)
     order = np.lexsort((*x.T, y))
@@ -133,24 +135,33 @@ def site_rates(scored: DataFrame, host: str, path: str) -> DataFrame:
     return both.select("host", "path", "host_rate", ((F.col("s") + F.col("k") * F.col("host_rate")) / (F.col("n") + F.col("k"))).alias("path_rate"), "global_rate")
 
 
-def score(docs: DataFrame, labels: DataFrame, label: str = "quality", host: str = "source", path: str = "lang", threshold: float = 0.5, sample: int = SAMPLE, model: Logistic | None = None) -> DataFrame:
-    """``docs`` with doc_score, host_rate, path_rate, posterior and good."""
+OWN = ("doc_score", "host_rate", "path_rate", "posterior", "good")
+
+
+def score(docs: DataFrame, labels: DataFrame, label: str = "quality", host: str = "source", path: str = "lang", threshold: float = 0.5, sample: int = SAMPLE, model: Logistic | None = None, columns: list[str] | None = None) -> DataFrame:
+    """``docs`` (or ``columns`` of it) with doc_score, host_rate, path_rate, posterior and good, which replace columns of these names.
+
+    Texts are read once: the document logits are written with the columns that are asked for.
+    """
     model = model or fit(docs, labels, label, sample)
-    thin = evidence(docs.select(F.col(host).alias("host"), F.col(path).alias("path"), "text"), model)
-    rates = site_rates(thin.select("host", "path", (1 / (1 + F.exp(-F.col("logit")))).alias("p")), "host", "path")
-    rates = rates.withColumnsRenamed({"host": "_host", "path": "_path", "host_rate": "_host_rate", "path_rate": "_path_rate", "global_rate": "_global_rate"})
-    rates = Stored(docs.sparkSession, rates, "rates").df  # with a known size, Spark decides on a broadcast
-    full = evidence(docs, model, "_logit")
-    full = full.join(rates, F.col(host).eqNullSafe(F.col("_host")) & F.col(path).eqNullSafe(F.col("_path")))
-    z = F.col("_logit") + _logit(F.col("_path_rate")) - _logit(F.col("_global_rate"))
+    columns = [c for c in (docs.columns if columns is None else columns) if c.lower() not in OWN]
+    logit, h, p = (free_name(docs, x) for x in ("logit_of_text", "host_of_row", "path_of_row"))
+    named = docs.withColumns({h: F.col(f"`{host}`"), p: F.col(f"`{path}`")})
+    full = evidence(named, model, logit).select(*[F.col(f"`{c}`") for c in columns], h, p, logit)
+    full = Stored(docs.sparkSession, full, "evidence").df
+    rates = site_rates(full.select(F.col(h).alias("host"), F.col(p).alias("path"), (1 / (1 + F.exp(-F.col(logit)))).alias("p")), "host", "path")
+    short = {c: free_name(full, f"site_{c}") for c in rates.columns}
+    rates = Stored(docs.sparkSession, rates.withColumnsRenamed(short), "rates").df  # with a known size, Spark decides on a broadcast
+    full = full.join(rates, F.col(h).eqNullSafe(F.col(short["host"])) & F.col(p).eqNullSafe(F.col(short["path"])))
+    z = F.col(logit) + _logit(F.col(short["path_rate"])) - _logit(F.col(short["global_rate"]))
     post = 1 / (1 + F.exp(-z))
-    return full.select(*[F.col(f"`{c}`") for c in docs.columns], (1 / (1 + F.exp(-F.col("_logit")))).alias("doc_score"), F.col("_host_rate").alias("host_rate"), F.col("_path_rate").alias("path_rate"), post.alias("posterior"), (post >= threshold).alias("good"))
+    return full.select(*[F.col(f"`{c}`") for c in columns], (1 / (1 + F.exp(-F.col(logit)))).alias("doc_score"), F.col(short["host_rate"]).alias("host_rate"), F.col(short["path_rate"]).alias("path_rate"), post.alias("posterior"), (post >= threshold).alias("good"))
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """The documents that the classifier does not reject, in their own columns."""
     names = docs.columns
-    clash = {c: f"_own_{i}" for i, c in enumerate(names) if c in {"doc_score", "host_rate", "path_rate", "posterior", "good"}}
+    clash = {c: f"_own_{i}" for i, c in enumerate(names) if c.lower() in OWN}
     back = {v: k for k, v in clash.items()}
     out = score(docs.withColumnsRenamed(clash), labels, **options).where("good")
     return out.select(*[F.col(f"`{clash.get(c, c)}`").alias(c) for c in names]) if back else out.select(*[F.col(f"`{c}`") for c in names])

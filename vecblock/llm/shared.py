@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 
@@ -10,15 +11,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_root(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session; a temporary folder only where it is unset (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root.rstrip("/")
-    have = spark.sparkContext.getCheckpointDir()
-    if have:
-        return have.rstrip("/")
-    spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="vecblock-"))
-    return spark.sparkContext.getCheckpointDir().rstrip("/")
+    """``spark.checkpoint.dir`` of the session; where it is unset, a temporary folder in local mode (tests) and an error on a cluster."""
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not root:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the whole cluster shares")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="vecblock-"))
+        root = spark.sparkContext.getCheckpointDir()
+    return root.rstrip("/")
 
 
 def delete(spark: SparkSession, path: str) -> None:
@@ -34,6 +34,10 @@ def _at_exit(spark: SparkSession, path: str) -> None:
         return
 
 
+def drop_at_exit(spark: SparkSession, path: str) -> None:
+    atexit.register(_at_exit, spark, path)
+
+
 class Stored:
     """A written table: ``df`` reads it, ``drop()`` removes its files."""
 
@@ -44,7 +48,7 @@ class Stored:
             writer = writer.option(k, v)
         writer.parquet(self.path)
         self.schema = df.schema
-        atexit.register(_at_exit, spark, self.path)
+        drop_at_exit(spark, self.path)
 
     @property
     def df(self) -> DataFrame:
@@ -66,6 +70,9 @@ def bucket_count(df: DataFrame, bytes_each: int = 4 << 20, least: int = 64, most
     return 1 << (int(want) - 1).bit_length()
 
 
-def column(df: DataFrame, name: str) -> str:
-    """A column name fit for F.col, whatever characters it has."""
-    return "`" + name.replace("`", "``") + "`"
+def free_name(df: DataFrame, name: str) -> str:
+    """A column name like ``name`` that ``df`` has not."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
