@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from vecblock.llm import decontaminate, minhash_dedup, mixing, quality_classifier
 from vecblock.llm.entries import token_file_rows
-from vecblock.llm.shared import shared_root
+from vecblock.llm.shared import delete, shared_root
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -44,17 +44,19 @@ STAGES = [
     ("token-ID / binary output", token_stage),
 ]
 
-#: A fitted classifier and a tokenizer are beyond SQL; tests hold the stages against brute force.
+#: A fitted classifier and a tokenizer are beyond SQL; tests/llm holds the stages and the whole against slow versions.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for k, (_, stage) in enumerate(STAGES):
-        out = stage(spark, docs, sf_dir)
-        if k == len(STAGES) - 1:
-            return out
+    docs, last = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
+    for k, (_, stage) in enumerate(STAGES[:-1]):
         path = f"{shared_root(spark)}/stage-{k}-{uuid.uuid4().hex}"
-        out.write.parquet(path)
+        stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
-    return docs
+        if last:
+            delete(spark, last)
+        last = path
+    out = STAGES[-1][1](spark, docs, sf_dir)  # its rows come from the token file
+    delete(spark, last)
+    return out
