@@ -159,14 +159,14 @@ def build_far_graph(ids: np.ndarray, x: np.ndarray, rule: str, degree: int, metr
     return {"kind": "flat", "links": links, "entry": [int(rng.integers(n))] if n else [], "ids": ids, "x": x}
 
 
-def walk(graph: dict, q: np.ndarray, k: int, ef: int, metric: str, farthest: bool = False) -> tuple[np.ndarray, np.ndarray, int, int]:
+def walk(graph: dict, q: np.ndarray, k: int, ef: int, metric: str, farthest: bool = False, trace: list[int] | None = None) -> tuple[np.ndarray, np.ndarray, int, int]:
     x, hops = graph["x"], 0
     if not len(graph["ids"]):
         return graph["ids"], np.zeros(0), 0, 0
     if graph["kind"] == "layered":
         at = [graph["entry"]]
         for level in range(len(graph["layers"]) - 1, 0, -1):
-            rows, _, h, _ = A.best_first(q, at, graph["layers"][level], x, 1, metric)
+            rows, _, h, _ = A.best_first(q, at, graph["layers"][level], x, 1, metric, trace=trace)
             at, hops = [int(rows[0])], hops + h
         links = graph["layers"][0]
     elif graph["kind"] == "seeded":
@@ -174,7 +174,7 @@ def walk(graph: dict, q: np.ndarray, k: int, ef: int, metric: str, farthest: boo
         at, links = sorted({graph["starts"][i] for i in near.tolist()}), graph["links"]
     else:
         at, links = list(graph["entry"]), graph["links"]
-    rows, dist, h, seen = A.best_first(q, at, links, x, max(ef, k), metric, farthest)
+    rows, dist, h, seen = A.best_first(q, at, links, x, max(ef, k), metric, farthest, trace)
     return graph["ids"][rows], dist, hops + h, seen
 
 
@@ -226,6 +226,26 @@ def search(graphs: DataFrame, q: DataFrame, k: int, ef: int = 64, metric: str =
     return spark.createDataFrame([], FOUND) if out is None else out
 
 
+def trace(graphs: DataFrame, q: DataFrame, k: int, ef: int = 64, metric: str = "l2") -> DataFrame:
+    """(query_id, step, vec_id): the rows whose links a walk reads, in order; for a stated few queries."""
+    held = q.sparkSession.sparkContext.broadcast(exact.query_block(q))  # at most exact.QUERY_BLOCK bytes
+
+    def run(batches):
+        qid, mat = held.value
+        for b in batches:
+            for payload in b.column("payload").to_pylist():
+                g = pickle.loads(payload)  # written by build() above
+                out = []
+                for i, one in zip(qid.tolist(), mat):
+                    steps: list[int] = []
+                    walk(g, one, k, ef, metric, trace=steps)
+                    out += [(i, s, int(g["ids"][v])) for s, v in enumerate(steps)]
+                cols = list(zip(*out)) or [[]] * 3
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["query_id", "step", "vec_id"])
+
+    return graphs.select("payload").mapInArrow(run, "query_id long, step long, vec_id long")
+
+
 def merged(found: DataFrame, k: int, farthest: bool = False) -> DataFrame:
     return exact.ranked(found.select("query_id", "vec_id", "dist"), k, farthest)
 

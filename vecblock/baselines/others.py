@@ -75,27 +75,55 @@ def lsh_search(df: DataFrame, q: DataFrame, k: int, bucket: float = 2.0, tables:
     return exact.ranked(pairs.where("query_id <> vec_id"), k)
 
 
-def _edges(df: DataFrame, far: bool, metric) -> DataFrame:
-    """Relative-neighbour rule on all triples: for small collections only."""
-    a = df.select(F.col("vec_id").alias("a"), F.col("v").alias("va"))
-    b = df.select(F.col("vec_id").alias("b"), F.col("v").alias("vb"))
-    d = a.join(b, F.col("a") != F.col("b")).select("a", "b", metric(F.col("va"), F.col("vb")).alias("d"))
-    ac = d.select(F.col("a").alias("a2"), F.col("b").alias("c"), F.col("d").alias("dac"))
-    bc = d.select(F.col("a").alias("b3"), F.col("b").alias("c3"), F.col("d").alias("dbc"))
-    pair = d.where("a < b")
-    third = pair.join(ac, F.col("a") == F.col("a2")).where(F.col("c") != F.col("b")).join(bc, (F.col("b") == F.col("b3")) & (F.col("c") == F.col("c3")))
-    blocked = third.where((F.col("dac") > F.col("d")) & (F.col("dbc") > F.col("d"))) if far else third.where((F.col("dac") < F.col("d")) & (F.col("dbc") < F.col("d")))
-    return pair.join(blocked.select("a", "b").distinct(), ["a", "b"], "left_anti").select("a", "b", F.col("d").alias("dist"))
-
-
-def rng_edges(df: DataFrame) -> DataFrame:
+#: Bytes of all distances between the rows of an exact edge set.
+PAIR_BYTES = 512 << 20
+
+
+def _edges(df: DataFrame, far: bool, candidates: int | None = None) -> DataFrame:
+    """Edges that no third row blocks.  The rows visit each other in blocks of rows; they have to fit into a task.
+
+    With ``candidates`` a row considers its nearest (farthest) so many rows as ends only; third rows are always all rows.
+    """
+    block = exact.query_block(df.select(F.col("vec_id").alias("query_id"), "v"))
+    if block is None:
+        raise ValueError("the rows exceed exact.QUERY_BLOCK")
+    if 8 * len(block[0]) ** 2 > PAIR_BYTES:
+        raise ValueError("all pairs exceed PAIR_BYTES: use the pruned graphs of baselines.graphs in shards")
+    held = df.sparkSession.sparkContext.broadcast(block)
+    sign = -1.0 if far else 1.0
+
+    def run(batches):
+        ids, x = held.value
+        between = None
+        for b in batches:
+            if not len(b):
+                continue
+            if between is None:
+                between = np.stack([sign * A.distance(one, x, "l2") for one in x])
+            out: list[tuple] = []
+            for a in np.searchsorted(ids, b.column("vec_id").to_numpy()).tolist():
+                d = between[a]
+                ends = np.arange(len(ids)) if candidates is None else np.lexsort((ids, np.where(ids == ids[a], np.inf, d)))[:candidates]
+                ends = ends[ends != a]
+                worst = np.maximum(d[None], between[ends])  # a third row is closer to both ends than they are to each other
+                worst[:, a] = np.inf
+                worst[np.arange(len(ends)), ends] = np.inf
+                free = ends[~(worst < d[ends][:, None]).any(1)]
+                out += [(int(ids[min(a, e)]), int(ids[max(a, e)]), float(sign * d[e])) for e in free.tolist()]
+            cols = list(zip(*out)) or [[]] * 3
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.float64()))], names=["a", "b", "dist"])
+
+    return df.select("vec_id").mapInArrow(run, "a long, b long, dist double").distinct()
+
+
+def rng_edges(df: DataFrame, candidates: int | None = None) -> DataFrame:
     """(a, b, dist): no third row is closer to both ends."""
-    return _edges(df, False, M.l2)
+    return _edges(df, False, candidates)
 
 
-def far_edges(df: DataFrame) -> DataFrame:
+def far_edges(df: DataFrame, candidates: int | None = None) -> DataFrame:
     """(a, b, dist): no third row is farther from both ends."""
-    return _edges(df, True, M.l2)
+    return _edges(df, True, candidates)
 
 
 def mutual_far_edges(df: DataFrame, k: int) -> DataFrame:

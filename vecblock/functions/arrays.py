@@ -138,8 +138,8 @@ def nearest(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
     return out
 
 
-def kmeans(x: np.ndarray, ids: np.ndarray, k: int, iters: int, init: str = "d2", seed: int = 42) -> tuple[np.ndarray, np.ndarray]:
-    """(assignment, centers) after Lloyd rounds; empty clusters disappear."""
+def kmeans(x: np.ndarray, ids: np.ndarray, k: int, iters: int, init: str = "d2", seed: int = 42, on_empty: str = "drop") -> tuple[np.ndarray, np.ndarray]:
+    """(assignment, centers) after Lloyd rounds; empty clusters disappear, or begin anew at the ``farthest`` row."""
     centers = x[seed_rows(x, ids, k, init, seed)].copy()
     at = nearest(x, centers)
     for _ in range(iters):
@@ -147,7 +147,14 @@ def kmeans(x: np.ndarray, ids: np.ndarray, k: int, iters: int, init: str = "d2",
         sums = np.zeros_like(centers)
         np.add.at(sums, at, x)
         keep = n > 0
-        centers = sums[keep] / n[keep][:, None]
+        new = sums[keep] / n[keep][:, None]
+        if on_empty == "farthest":
+            for _ in range(len(centers) - len(new)):
+                far = np.sqrt(((x - new[nearest(x, new)]) ** 2).sum(1))
+                if far.max(initial=0.0) <= 0:
+                    break
+                new = np.concatenate([new, x[np.lexsort((ids, -far))[:1]]])
+        centers = new
         new = nearest(x, centers)
         if len(keep) == len(centers) and (new == at).all():
             break
@@ -156,7 +163,7 @@ def kmeans(x: np.ndarray, ids: np.ndarray, k: int, iters: int, init: str = "d2",
     return at, centers[used]
 
 
-def split_all(x: np.ndarray, ids: np.ndarray, path: str, stop: int, fanout: int, iters: int, init: str, seed: int, depth: int | None = None) -> tuple[list[tuple[str, np.ndarray, bool]], list[tuple[str, int, bool, bool]]]:
+def split_all(x: np.ndarray, ids: np.ndarray, path: str, stop: int, fanout: int, iters: int, init: str, seed: int, depth: int | None = None, on_empty: str = "drop") -> tuple[list[tuple[str, np.ndarray, bool]], list[tuple[str, int, bool, bool]]]:
     """Split a part until every piece has at most ``stop`` rows.
 
     Returns the final pieces (path, rows, degenerate) and every part below and
@@ -172,7 +179,7 @@ def split_all(x: np.ndarray, ids: np.ndarray, path: str, stop: int, fanout: int,
             parts.append((name, len(rows), True, False))
             continue
         parts.append((name, len(rows), False, False))
-        at, centers = kmeans(x[rows], ids[rows], min(fanout, len(rows)), iters, init, seed)
+        at, centers = kmeans(x[rows], ids[rows], min(fanout, len(rows)), iters, init, seed, on_empty)
         if len(centers) < 2:  # nothing tells these rows apart: chop them by id
             order = rows[np.argsort(ids[rows], kind="stable")]
             for c, a in enumerate(range(0, len(order), stop)):
@@ -213,8 +220,8 @@ def refine(q: np.ndarray, seeds: np.ndarray, links: list[np.ndarray], x: np.ndar
         d = np.concatenate([d, sign * distance(q, x[new], metric)])
 
 
-def best_first(q: np.ndarray, entry: list[int], links, x: np.ndarray, ef: int, metric: str, farthest: bool = False) -> tuple[np.ndarray, np.ndarray, int, int]:
-    """Candidate-list walk of width ``ef``: (rows, distances, hops, vectors seen)."""
+def best_first(q: np.ndarray, entry: list[int], links, x: np.ndarray, ef: int, metric: str, farthest: bool = False, trace: list[int] | None = None) -> tuple[np.ndarray, np.ndarray, int, int]:
+    """Candidate-list walk of width ``ef``: (rows, distances, hops, vectors seen); ``trace`` gets the rows whose links were read."""
     import heapq
 
     sign = -1.0 if farthest else 1.0
@@ -230,6 +237,8 @@ def best_first(q: np.ndarray, entry: list[int], links, x: np.ndarray, ef: int, m
         if len(best) >= ef and d > -best[0][0]:
             break
         hops += 1
+        if trace is not None:
+            trace.append(v)
         fresh = [u for u in links[v] if u not in seen]
         if not fresh:
             continue

@@ -3,8 +3,13 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import SparkSession
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, LongType, StructField, StructType
+
+from vecblock.functions import arrays as A
 
 _SUM = "aggregate({0}, 0D, (s, x) -> s + x)"
 DOT = _SUM.format("zip_with(a, b, (x, y) -> x * y)")
@@ -26,32 +31,43 @@ def register(spark: SparkSession) -> None:
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({args}) RETURNS DOUBLE RETURN {body}")
 
 
-def _pairs(f):
-    @F.pandas_udf("double")
-    def run(a, b):
-        import pandas as pd
+def _arrow(f):
+    """A scalar Arrow function of two list columns, as one kernel over whole batches; null where a side is null."""
 
-        return pd.Series([float(f(np.asarray(x, float), np.asarray(y, float))) for x, y in zip(a, b)])
+    def run(a: pa.Array, b: pa.Array) -> pa.Array:
+        there = pc.and_(pc.is_valid(a), pc.is_valid(b))
+        x, y = A.matrix(a.filter(there)), A.matrix(b.filter(there))
+        out = np.full(len(a), np.nan)
+        out[there.to_numpy(zero_copy_only=False)] = f(x, y) if len(x) else np.zeros(0)
+        return pa.array(out, mask=~there.to_numpy(zero_copy_only=False))
 
-    return run
+    return F.arrow_udf(run, "double")
 
 
 def register_fast(spark: SparkSession) -> None:
-    """The same names with suffix _fast, over Arrow batches."""
-    spark.udf.register("vec_l2_fast", _pairs(lambda x, y: np.sqrt(((x - y) ** 2).sum())))
-    spark.udf.register("vec_dot_fast", _pairs(lambda x, y: (x * y).sum()))
-    spark.udf.register("vec_cosine_fast", _pairs(lambda x, y: 1 - (x * y).sum() / np.sqrt((x * x).sum() * (y * y).sum())))
+    """The same names with suffix _fast, over Arrow batches; the rows of a batch have one dimension."""
+    spark.udf.register("vec_l2_fast", _arrow(lambda x, y: np.sqrt(((x - y) ** 2).sum(1))))
+    spark.udf.register("vec_dot_fast", _arrow(lambda x, y: (x * y).sum(1)))
+    spark.udf.register("vec_cosine_fast", _arrow(lambda x, y: 1 - (x * y).sum(1) / np.sqrt((x * x).sum(1) * (y * y).sum(1))))
 
 
-def vec_mean():
-    """Grouped aggregate: the mean vector."""
-    import pandas as pd
+def vec_mean(df: DataFrame, keys: list[str], v: str = "v") -> DataFrame:
+    """(keys, v): the mean vector of each group; tasks send partial sums, so no group meets as a whole."""
+    schema = StructType([*[df.schema[k] for k in keys], StructField("n", LongType()), StructField("v", ArrayType(DoubleType()))])
 
-    def mean(v: pd.Series) -> list:
-        return np.mean(np.stack([np.asarray(x, float) for x in v]), axis=0).tolist()
+    def part(batches):
+        for b in batches:
+            x = A.matrix(b.column(v))
+            groups: dict[tuple, list[int]] = {}
+            for i, key in enumerate(zip(*[b.column(k).to_pylist() for k in keys])):
+                groups.setdefault(key, []).append(i)
+            cols = list(zip(*groups)) or [[] for _ in keys]
+            sums = np.array([x[at].sum(0) for at in groups.values()]).reshape(len(groups), -1)
+            yield pa.RecordBatch.from_arrays([*[pa.array(list(c), b.schema.field(k).type) for c, k in zip(cols, keys)], pa.array([len(at) for at in groups.values()], pa.int64()), A.lists(sums) if len(groups) else pa.array([], pa.list_(pa.float64()))], names=[*keys, "n", "v"])
 
-    mean.__annotations__ = {"v": pd.Series, "return": list}
-    return F.pandas_udf(mean, "array<double>", F.PandasUDFType.GROUPED_AGG)
+    sums = df.select(*keys, v).mapInArrow(part, schema)
+    flat = sums.select(*keys, "n", F.posexplode("v").alias("pos", "x")).groupBy(*keys, "pos").agg((F.sum("x") / F.sum("n")).alias("x"))
+    return flat.groupBy(*keys).agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "x"))), lambda e: e["x"]).alias("v"))
 
 
 def register_tables(spark: SparkSession) -> None:
@@ -67,16 +83,27 @@ def register_tables(spark: SparkSession) -> None:
     spark.udtf.register("vec_unpack", Unpack)
 
 
-def search_table(tree_rows: "np.ndarray", ids: "np.ndarray", metric: str = "l2"):
-    """A table function vec_search(query_id, v, k) over a bounded block of rows."""
+def search_table(spark: SparkSession, index_path: str, metric: str = "l2", max_bytes: int = 64 << 20):
+    """A table function vec_search(query_id, v, k, beam) over a saved index of at most ``max_bytes``, descended like any tree."""
     from pyspark.sql.functions import udtf
 
-    from vecblock.functions import arrays as A
+    from vecblock.operators import search as S, tree as T
+
+    index = T.open_tree(spark, index_path)
+    if index.n * (8 * index.dim + 16) > max_bytes:
+        raise ValueError("the index exceeds max_bytes: use search() on it")
+    levels = S.levels_of(index)
+    got = index.live_rows().select("leaf_id", "vec_id", "v").orderBy("leaf_id", "vec_id").toArrow()  # at most ``max_bytes``
+    held = spark.sparkContext.broadcast((levels, got.column("leaf_id").to_numpy(), got.column("vec_id").to_numpy(), A.matrix(got.column("v"))))
 
     @udtf(returnType="query_id: bigint, rank: int, vec_id: bigint, dist: double")
     class Search:
-        def eval(self, query_id, v, k):
-            _, found, dist = A.block_topk(np.asarray([v], float), tree_rows, ids, int(k) + 1, metric)
+        def eval(self, query_id, v, k, beam):
+            lv, leaf, ids, x = held.value
+            q = np.asarray([v], float)
+            opened = S.descend_local(lv, q, S.SearchParams(k=int(k), beam=int(beam)), metric)[0]
+            at = np.concatenate([np.arange(*np.searchsorted(leaf, [lv.ids[level][n], lv.ids[level][n] + 1])) for level, n, _ in opened if level == len(lv.ids) - 1])
+            _, found, dist = A.block_topk(q, x[at], ids[at], int(k) + 1, metric)
             rank = 0
             for i, d in zip(found.tolist(), dist.tolist()):
                 if i != query_id and rank < k:

@@ -1,14 +1,13 @@
 """Exact nearest, farthest and range answers.
 
-Queries travel, vectors stay: blocks of queries are broadcast (each block has a
-fixed size) and every task keeps its own top k per query, so a shuffle carries
-|Q| k rows per task and no vector.
+A query set of at most QUERY_BLOCK bytes is broadcast: vectors stay, and every task keeps its own
+top k per query, so a shuffle carries |Q| k rows per task and no vector.  Larger sets
+meet the vectors on a grid of blocks, each pair of blocks one task; no query
+passes the driver.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -24,8 +23,18 @@ FOUND = "query_id long, vec_id long, dist double"
 _FOUND = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("dist", pa.float64())])
 
 
-def query_blocks(q: DataFrame) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(ids, matrix) blocks of (query_id, v), streamed; a query set is stated and small beside the collection."""
+def query_block(q: DataFrame) -> tuple[np.ndarray, np.ndarray] | None:
+    """(ids, matrix) of (query_id, v), or None where they exceed QUERY_BLOCK bytes."""
+    q = q.select("query_id", M.doubles("v").alias("v")).where("v IS NOT NULL")
+    size = q.agg((F.count("*") * (8 * F.max(F.size("v")) + 8)).alias("b")).first().b or 0
+    if size > QUERY_BLOCK:
+        return None
+    got = q.orderBy("query_id").toArrow()  # checked against QUERY_BLOCK
+    return got.column("query_id").to_numpy(), A.matrix(got.column("v"))
+
+
+def query_blocks(q: DataFrame):
+    """(ids, matrix) blocks of at most QUERY_BLOCK bytes, streamed: for the comparison methods, whose query sets are small."""
     ids, rows, size = [], [], 0
     for r in q.select("query_id", M.doubles("v").alias("v")).where("v IS NOT NULL").orderBy("query_id").toLocalIterator():
         ids.append(r.query_id)
@@ -38,6 +47,41 @@ def query_blocks(q: DataFrame) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         yield np.array(ids, np.int64), np.array(rows)
 
 
+def _on_grid(rows: DataFrame, q: DataFrame, meet) -> DataFrame:
+    """FOUND from meet(ids, queries, vec_ids, vectors) for every pair of a block of queries and a block of rows."""
+    q = q.select("query_id", M.doubles("v").alias("v")).where("v IS NOT NULL")
+    sides = []
+    for df, key in ((q, "query_id"), (rows, "vec_id")):
+        size = df.agg((F.count("*") * (8 * F.max(F.size("v")) + 8)).alias("b")).first().b or 0
+        n = max(1, -(-int(size) // QUERY_BLOCK))
+        sides.append((df.withColumn("own", F.pmod(F.xxhash64(key), F.lit(n)).cast("int")), n))
+    (left, nq), (right, nr) = sides
+    left = left.withColumn("i", F.col("own")).withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(nr - 1)))).drop("own")
+    right = right.withColumn("j", F.col("own")).withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(nq - 1)))).drop("own")
+
+    def run(key, a: pa.Table, b: pa.Table) -> pa.Table:
+        if not len(a) or not len(b):
+            return _FOUND.empty_table()
+        who, found, dist = meet(a.column("query_id").to_numpy(), A.matrix(a.column("v")), b.column("vec_id").to_numpy(), A.matrix(b.column("v")))
+        return pa.table([pa.array(who, pa.int64()), pa.array(found, pa.int64()), pa.array(dist, pa.float64())], schema=_FOUND)
+
+    return left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInArrow(run, FOUND)
+
+
+def _best(k: int, metric: str, farthest: bool, exclude_self: bool):
+    """The best k rows of a block for each query."""
+
+    def meet(qid, q, ids, x):
+        row, found, dist = A.block_topk(q, x, ids, k + exclude_self, metric, farthest)
+        who = qid[row] if len(row) else row
+        if exclude_self:
+            keep = who != found
+            who, found, dist = who[keep], found[keep], dist[keep]
+        return who, found, dist
+
+    return meet
+
+
 def ranked(found: DataFrame, k: int, farthest: bool = False, by: str = "query_id") -> DataFrame:
     """The k best (dist, id) of each query with their ranks."""
     order = [F.desc("dist") if farthest else F.asc("dist"), F.asc("vec_id")]
@@ -45,18 +89,12 @@ def ranked(found: DataFrame, k: int, farthest: bool = False, by: str = "query_id
     return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select(by, "rank", "vec_id", "dist")
 
 
-def _scan(block, k: int, metric: str, farthest: bool, exclude_self: bool):
+def _scan(block, meet, k: int, farthest: bool):
     def run(batches):
         qid, q = block.value
         best: pa.Table | None = None
         for batch in batches:
-            x = A.matrix(batch.column("v"))
-            ids = batch.column("vec_id").to_numpy(zero_copy_only=False)
-            row, found, dist = A.block_topk(q, x, ids, k + exclude_self, metric, farthest)
-            who = qid[row] if len(row) else row
-            if exclude_self:
-                keep = who != found
-                who, found, dist = who[keep], found[keep], dist[keep]
+            who, found, dist = meet(qid, q, batch.column("vec_id").to_numpy(zero_copy_only=False), A.matrix(batch.column("v")))
             now = pa.table({"query_id": pa.array(who, pa.int64()), "vec_id": pa.array(found, pa.int64()), "dist": pa.array(dist, pa.float64())})
             best = _cut(now if best is None else pa.concat_tables([best, now]), k, farthest)
         if best is not None:
@@ -78,14 +116,13 @@ def knn(df: DataFrame, q: DataFrame, k: int, metric: str = "l2", exclude_self: b
     """(query_id, rank, vec_id, dist): exact k nearest of (vec_id, v) for each of (query_id, v)."""
     spark = df.sparkSession
     rows = df.select("vec_id", M.doubles("v").alias("v")).where("v IS NOT NULL")
-    out = None
-    for block in query_blocks(q) if k > 0 else ():
-        held = spark.sparkContext.broadcast(block)  # at most QUERY_BLOCK bytes
-        part = rows.mapInArrow(_scan(held, k, metric, farthest, exclude_self), FOUND)
-        out = part if out is None else out.union(part)
-    if out is None:
-        out = spark.createDataFrame([], FOUND)
-    return ranked(out, k, farthest)
+    if k <= 0:
+        return ranked(spark.createDataFrame([], FOUND), k, farthest)
+    meet, block = _best(k, metric, farthest, exclude_self), query_block(q)
+    if block is None:
+        return ranked(_on_grid(rows, q, meet), k, farthest)
+    held = spark.sparkContext.broadcast(block)  # at most QUERY_BLOCK bytes
+    return ranked(rows.mapInArrow(_scan(held, meet, k, farthest), FOUND), k, farthest)
 
 
 def kfn(df: DataFrame, q: DataFrame, k: int, metric: str = "l2", exclude_self: bool = True) -> DataFrame:
@@ -102,28 +139,32 @@ def knn_sets(df: DataFrame, q: DataFrame, k: int, metric: str = "l2", exclude_se
     return found.groupBy("query_id").agg(F.array_sort(F.collect_set("vec_id")).alias("ids"), F.sum("dist").alias("total"))
 
 
-def _within(block, radius: float, metric: str):
-    def run(batches):
-        qid, q = block.value
-        for batch in batches:
-            x, ids = A.matrix(batch.column("v")), batch.column("vec_id").to_numpy(zero_copy_only=False)
-            if not len(x):
-                continue
-            rough = A.rough(q, x, metric) <= radius + 1e-6 * (1 + radius)
-            i, j = np.nonzero(rough)
-            d = A.distance(q[i], x[j], metric)
-            ok = d <= radius
-            yield pa.RecordBatch.from_arrays([pa.array(qid[i[ok]]), pa.array(ids[j[ok]], pa.int64()), pa.array(d[ok])], schema=_FOUND)
+def _near(radius: float, metric: str):
+    def meet(qid, q, ids, x):
+        if not len(x) or not len(q):
+            z = np.zeros(0, np.int64)
+            return z, z, np.zeros(0)
+        i, j = np.nonzero(A.rough(q, x, metric) <= radius + 1e-6 * (1 + radius))
+        d = A.distance(q[i], x[j], metric)
+        ok = d <= radius
+        return qid[i[ok]], ids[j[ok]], d[ok]
 
-    return run
+    return meet
 
 
 def within(df: DataFrame, q: DataFrame, radius: float, metric: str = "l2", exclude_self: bool = True) -> DataFrame:
     """(query_id, vec_id, dist) of all vectors in a radius."""
     rows = df.select("vec_id", M.doubles("v").alias("v")).where("v IS NOT NULL")
-    out = None
-    for block in query_blocks(q):
-        part = rows.mapInArrow(_within(df.sparkSession.sparkContext.broadcast(block), radius, metric), FOUND)
-        out = part if out is None else out.union(part)
-    out = df.sparkSession.createDataFrame([], FOUND) if out is None else out
+    meet, block = _near(radius, metric), query_block(q)
+    if block is None:
+        out = _on_grid(rows, q, meet)
+    else:
+        held = df.sparkSession.sparkContext.broadcast(block)  # at most QUERY_BLOCK bytes
+
+        def run(batches):
+            for b in batches:
+                who, found, dist = meet(*held.value, b.column("vec_id").to_numpy(zero_copy_only=False), A.matrix(b.column("v")))
+                yield pa.RecordBatch.from_arrays([pa.array(who, pa.int64()), pa.array(found, pa.int64()), pa.array(dist, pa.float64())], schema=_FOUND)
+
+        out = rows.mapInArrow(run, FOUND)
     return out.where("query_id <> vec_id") if exclude_self else out

@@ -35,8 +35,8 @@ def recommended_link_leaves(n: int, base: float = 10) -> int:
 def near_leaves(leaves: DataFrame, s: int, metric: str = "l2") -> DataFrame:
     """(leaf_id, near_id, rank, dist): the s nearest leaves of each by centroid, its own included.
 
-    ``leaves``: (leaf_id, centroid).  Blocks of centroids travel to all others, so
-    this is quadratic in the number of leaves; past 10**5 leaves use ``near_leaves_by_tree``.
+    ``leaves``: (leaf_id, centroid).  Exact at any number of leaves and quadratic in it, on a
+    grid of blocks; ``near_leaves_by_tree`` is the approximation that is not.
     """
     q = leaves.select(F.col("leaf_id").alias("query_id"), F.col("centroid").alias("v"))
     found = exact.knn(leaves.select(F.col("leaf_id").alias("vec_id"), F.col("centroid").alias("v")), q, s, metric, exclude_self=False)
@@ -54,13 +54,16 @@ def near_leaves_by_tree(tree: BlockTree, s: int, beam: int | None = None) -> Dat
     return d.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= s)
 
 
-def build_links(tree: BlockTree, link_degree: int = 8, link_leaves: int = 4, max_scan_fraction: float = 1.0, near: DataFrame | None = None) -> DataFrame:
-    """LINKS and kind: each vector's nearest vectors among the rows of its leaf's near leaves."""
+def build_links(tree: BlockTree, link_degree: int = 8, link_leaves: int = 4, max_scan_fraction: float = 1.0, near: DataFrame | None = None, by_tree: bool = False) -> DataFrame:
+    """LINKS and kind: each vector's nearest vectors among the rows of its leaf's near leaves.
+
+    ``by_tree`` finds near leaves by a search in the tree instead of by all pairs of leaves.
+    """
     m = tree.levels[-1] if tree.levels else 0
     s = max(1, min(link_leaves, math.ceil(m * max_scan_fraction), m or 1))
     if near is None:
         leaves = tree.nodes.where("is_leaf").select(F.col("node_id").alias("leaf_id"), "centroid")
-        near = near_leaves(leaves, s) if m <= 100_000 else near_leaves_by_tree(tree, s)
+        near = near_leaves_by_tree(tree, s) if by_tree else near_leaves(leaves, s)
     rows = tree.live_rows().select("leaf_id", "vec_id", "v")
     asked = near.select(F.col("leaf_id").alias("home"), F.col("near_id").alias("at"))
     other = rows.select(F.col("leaf_id").alias("at"), F.col("vec_id").alias("other"), F.col("v").alias("w")).join(asked, "at").select("home", "at", "other", "w")
@@ -119,9 +122,9 @@ def build_links_pruned(leaf_rows: DataFrame, bound: float, metric: str = "l2") -
 
 
 def local_graph(links: DataFrame, rows: DataFrame):
-    """(ids, matrix, adjacency) of a small graph on the driver; refuses more than LOCAL_BYTES."""
+    """(ids, matrix, adjacency) of a small graph on the driver; None where vectors and links exceed LOCAL_BYTES."""
     size = rows.agg((F.count("*") * F.max(F.size("v")) * 8).alias("b")).first().b or 0
-    if size > LOCAL_BYTES:
+    if size > LOCAL_BYTES or size + 16 * links.count() > LOCAL_BYTES:
         return None
     got = rows.select("vec_id", "v").orderBy("vec_id").toArrow()  # checked against LOCAL_BYTES
     ids, x = got.column("vec_id").to_numpy(), A.matrix(got.column("v"))
@@ -135,11 +138,12 @@ def local_graph(links: DataFrame, rows: DataFrame):
     return ids, x, [np.array(a, np.int64) for a in adj]
 
 
-def greedy(seeds: DataFrame, links: DataFrame, rows: DataFrame, q: DataFrame, k: int, metric: str = "l2", farthest: bool = False, ef: int | None = None, exclude_self: bool = True, max_rounds: int = 64, local: bool = True) -> DataFrame:
+def greedy(seeds: DataFrame, links: DataFrame, rows: DataFrame, q: DataFrame, k: int, metric: str = "l2", farthest: bool = False, ef: int | None = None, exclude_self: bool = True, max_rounds: int = 10_000, local: bool = True) -> DataFrame:
     """(query_id, rank, vec_id, dist, hops, n_seen) from seeds (query_id, vec_id).
 
     A graph that fits into a task is broadcast and each query walks alone; others
-    advance all queries together, a join per round, until no answer changes.
+    advance all queries together, a join per round, until no answer changes.  Both end at the
+    same fixed point; more than ``max_rounds`` raise.
     """
     width = max(k, ef or k)
     graph = local_graph(links, rows) if local else None
@@ -191,6 +195,8 @@ def _greedy_rounds(seeds, links, rows, q, k, width, metric, farthest, exclude_se
         fresh = scored(new.join(pool.select("query_id", "vec_id"), ["query_id", "vec_id"], "left_anti")).withColumn("state", F.lit(1))
         marked = top.withColumn("state", F.when(F.col("open"), 2).otherwise(F.col("state"))).select("query_id", "vec_id", "dist", "state")
         pool = stored(marked.union(fresh), "pool")
+    else:
+        raise RuntimeError(f"the walk did not end in {max_rounds} rounds")
     seen = pool.groupBy("query_id").agg(F.count(F.when(F.col("state") == 2, 1)).alias("hops"), F.count("*").alias("n_seen"))
     hits = pool.where("query_id <> vec_id") if exclude_self else pool
     return exact.ranked(hits, k, farthest).join(seen, "query_id").select("query_id", "rank", "vec_id", "dist", "hops", "n_seen")
@@ -215,9 +221,8 @@ __all__ = ["LEVEL_BYTES", "build_links", "build_links_pruned", "fixpoint_violati
 
 def greedy_per_branch(seeds: DataFrame, links: DataFrame, rows: DataFrame, q: DataFrame, k: int, metric: str = "l2", farthest: bool = False, exclude_self: bool = True) -> DataFrame:
     """(query_id, rank, vec_id, dist): one walk for each branch's seeds (query_id, branch, vec_id), merged at the end."""
-    branch = F.dense_rank().over(Window.partitionBy("query_id").orderBy("branch")) - 1
-    apart = seeds.withColumn("b", branch.cast("long")).select((F.col("query_id") * 4096 + F.pmod("b", F.lit(4096))).alias("walk"), "query_id", "vec_id")
-    walks = apart.select("walk", "query_id").distinct().join(q, "query_id")
-    got = greedy(apart.select(F.col("walk").alias("query_id"), "vec_id"), links, rows, walks.select(F.col("walk").alias("query_id"), "v"), k + int(exclude_self), metric, farthest, exclude_self=False)
-    merged = got.select(F.floor(F.col("query_id") / 4096).cast("long").alias("query_id"), "vec_id", "dist").distinct()
+    walks = stored(seeds.select("query_id", "branch").distinct().withColumn("walk", F.monotonically_increasing_id()), "walks")
+    apart = seeds.join(walks, ["query_id", "branch"])
+    got = greedy(apart.select(F.col("walk").alias("query_id"), "vec_id"), links, rows, walks.join(q, "query_id").select(F.col("walk").alias("query_id"), "v"), k + int(exclude_self), metric, farthest, exclude_self=False)
+    merged = got.select(F.col("query_id").alias("walk"), "vec_id", "dist").join(walks, "walk").select("query_id", "vec_id", "dist").distinct()
     return exact.ranked(merged.where("query_id <> vec_id") if exclude_self else merged, k, farthest)

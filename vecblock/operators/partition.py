@@ -33,6 +33,7 @@ class PartitionParams:
     max_depth: int | None = None
     local_rows: int = 200_000
     sample_rows: int = 50_000
+    on_empty: str = "drop"  # or 'farthest': an empty cluster begins anew at the row farthest from its center
 
 
 @dataclass
@@ -135,7 +136,7 @@ def _open_level(rows: DataFrame, big: dict[str, int], p: PartitionParams) -> Dat
 
     def start(t: pa.Table) -> pa.Table:
         x, ids = A.matrix(t.column("v")), t.column("vec_id").to_numpy()
-        _, centers = A.kmeans(x, ids, p.fanout, p.lloyd_iters, p.init, p.seed)
+        _, centers = A.kmeans(x, ids, p.fanout, p.lloyd_iters, p.init, p.seed, p.on_empty)
         return pa.table({"path": pa.array([t.column("path")[0].as_py()] * len(centers)), "v": A.lists(centers)})
 
     sampled = rows.mapInArrow(sample, _MEMBER).groupBy("path").applyInArrow(start, "path string, v array<double>")
@@ -173,7 +174,7 @@ def _finish(p: PartitionParams):
         path = t.column("path")[0].as_py()
         x, ids = A.matrix(t.column("v")), t.column("vec_id").to_numpy()
         depth = None if p.max_depth is None else max(0, p.max_depth - path.count("."))
-        pieces, parts = A.split_all(x, ids, path, p.max_cluster_rows, p.fanout, p.lloyd_iters, p.init, p.seed, depth)
+        pieces, parts = A.split_all(x, ids, path, p.max_cluster_rows, p.fanout, p.lloyd_iters, p.init, p.seed, depth, p.on_empty)
         n = len(parts)
         none = pa.nulls(n, pa.list_(pa.float64()))
         head = pa.table([pa.array([0] * n, pa.int32()), pa.array([q[0] for q in parts], pa.string()), pa.nulls(n, pa.int64()), none, pa.array([q[1] for q in parts], pa.int64()), pa.array([q[2] for q in parts], pa.bool_()), pa.array([q[3] for q in parts], pa.bool_())], names=["kind", "path", "vec_id", "v", "n", "is_final", "degenerate"])

@@ -8,6 +8,7 @@ beyond PROBE_BYTES, both sides meet by leaf.
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 import numpy as np
@@ -164,7 +165,13 @@ def descend(tree: BlockTree, q: DataFrame, p: SearchParams = SearchParams()) ->
     if not tree.levels:
         return q.sparkSession.createDataFrame([], LOG)
     q = prepared(tree, q)
-    return _descend_broadcast(tree, q, p) if fits(tree) or p.frontier == "best_first" else _descend_joined(tree, q, p)
+    if fits(tree):
+        return _descend_broadcast(tree, q, p)
+    if p.frontier == "best_first":
+        raise ValueError("best_first needs all inner levels at once: they exceed LEVEL_BYTES, use the beam")
+    if tree.params.metric not in ("l2", "cosine"):
+        raise ValueError(f"inner levels beyond LEVEL_BYTES are joined by l2 or cosine, not by {tree.params.metric}")
+    return _descend_joined(tree, q, p)
 
 
 def prepared(tree: BlockTree, q: DataFrame) -> DataFrame:
@@ -179,19 +186,18 @@ def scan_leaves(tree: BlockTree, probes: DataFrame, q: DataFrame, p: SearchParam
     rows = tree.live_rows().select("shard", "leaf_id", "vec_id", "v")
     if allowed is not None:
         rows = rows.join(allowed.select("vec_id"), "vec_id", "left_semi")
-    probes = stored(probes.select("query_id", F.col("node_id").alias("leaf_id")).join(prepared(tree, q), "query_id"), "probes")
-    n = probes.count()
+    probes = probes.select("query_id", F.col("node_id").alias("leaf_id"))
+    few = PROBE_BYTES // 16
+    asked = probes.limit(few + 1).toArrow()  # at most PROBE_BYTES: one row more tells that there are too many
+    block = exact.query_block(prepared(tree, q)) if len(asked) <= few else None
     kinds = exact._FOUND
-    if n * (tree.dim * 8 + 16) <= PROBE_BYTES:
-        asked = probes.orderBy("query_id", "leaf_id").collect()  # checked against PROBE_BYTES
-        ids = sorted({r.query_id for r in asked})
-        where = {v: i for i, v in enumerate(ids)}
-        mat = np.zeros((len(ids), tree.dim))
-        want: dict[int, list[int]] = {}
-        for r in asked:
-            mat[where[r.query_id]] = r.v
-            want.setdefault(r.leaf_id, []).append(where[r.query_id])
-        held = spark.sparkContext.broadcast((np.array(ids, np.int64), mat, {a: np.array(sorted(set(b))) for a, b in want.items()}))
+    if block is not None:
+        ids, mat = block
+        order = np.lexsort((asked.column("query_id").to_numpy(), asked.column("leaf_id").to_numpy()))
+        leaf, who = asked.column("leaf_id").to_numpy()[order], np.searchsorted(ids, asked.column("query_id").to_numpy()[order])
+        edge = np.flatnonzero(np.append(True, leaf[1:] != leaf[:-1])) if len(leaf) else np.zeros(0, np.int64)
+        want = {int(leaf[a]): np.unique(who[a:b]) for a, b in zip(edge.tolist(), [*edge[1:].tolist(), len(leaf)])}
+        held = spark.sparkContext.broadcast((ids, mat, want))
         if 0 < len(want) <= 500:  # reaches the scan: files and row groups of other leaves are skipped
             rows = rows.where(F.col("leaf_id").isin(sorted(want)))
 
@@ -227,6 +233,7 @@ def scan_leaves(tree: BlockTree, probes: DataFrame, q: DataFrame, p: SearchParam
         keep = who != found if p.exclude_self else np.ones(len(who), bool)
         return pa.table({"query_id": pa.array(who[keep], pa.int64()), "vec_id": pa.array(found[keep], pa.int64()), "dist": pa.array(dist[keep], pa.float64())})
 
+    probes = stored(probes.join(prepared(tree, q), "query_id"), "probes")
     # a leaf is bounded by its capacity; popular leaves' queries are dealt out by salt
     salted = probes.withColumn("salt", F.pmod(F.xxhash64("query_id"), F.lit(16)))
     asked = salted.select(F.col("leaf_id").alias("asked"), (F.col("salt") + 0).alias("turn")).distinct()
@@ -249,8 +256,52 @@ def search(tree: BlockTree, q: DataFrame, params: SearchParams = SearchParams(),
     return graph.greedy(found, links, tree.live_rows().select("vec_id", "v"), prepared(tree, q), p.k, tree.params.metric, p.farthest, exclude_self=p.exclude_self).select("query_id", "rank", "vec_id", "dist")
 
 
+#: A metric m and c such that m(a, b) <= c * l2(a, b), and C such that C * m(a, b) >= l2(a, b), for vectors of n numbers.
+_BELOW_L2 = {"l2": lambda n: 1.0, "l1": lambda n: math.sqrt(n), "chebyshev": lambda n: 1.0, "minkowski": lambda n: 1.0}
+_ABOVE_L2 = {"l2": lambda n: 1.0, "l1": lambda n: 1.0, "chebyshev": lambda n: math.sqrt(n), "minkowski": lambda n: n ** (1 / 2 - 1 / 3)}
+
+
+def l2_bound(metric: str, bound: np.ndarray, dim: int, farthest: bool) -> np.ndarray:
+    """An L2 distance such that no answer lies beyond it (or, of the farthest, below it), from a bound in the tree's metric."""
+    if metric == "cosine":  # on unit vectors 1 - cos = d^2 / 2
+        return np.sqrt(np.maximum(2 * bound, 0.0))
+    if metric not in _BELOW_L2:
+        raise ValueError(f"no distance bound is known for {metric}")
+    # nearest: m <= bound gives l2 <= C m; farthest: m >= bound gives l2 >= m / c
+    return bound / _BELOW_L2[metric](dim) if farthest else bound * _ABOVE_L2[metric](dim)
+
+
+def _open_local(lv: Levels, q: np.ndarray, bound: np.ndarray, farthest: bool) -> tuple[np.ndarray, np.ndarray]:
+    """(query row, leaf) pairs that the triangle inequality leaves open, by matrix products level by level."""
+    row, node = np.arange(len(q)), np.zeros(len(q), np.int64)
+    for level in range(len(lv.ids) - 1):
+        count = np.array([len(k) for k in lv.children[level]], np.int64)
+        flat = np.concatenate(lv.children[level])
+        first = np.cumsum(count) - count
+        at = np.repeat(first[node] - (np.cumsum(count[node]) - count[node]), count[node]) + np.arange(int(count[node].sum()))
+        row, node = np.repeat(row, count[node]), flat[at]
+        d = A.rough(q, lv.centers[level + 1], "l2")[row, node]
+        r, b = lv.radius[level + 1][node], bound[row]
+        slack = 1e-6 * (1 + np.minimum(b, 1e12) + d)  # rounding of the products
+        ok = d + r >= b - slack if farthest else d - r <= b + slack
+        row, node = row[ok], node[ok]
+    return row, lv.ids[-1][node]
+
+
 def _open_within(tree: BlockTree, q: DataFrame, farthest: bool) -> DataFrame:
-    """Leaves that may hold an answer, from (query_id, v, bound): nearer than, or as far as, the bound."""
+    """(query_id, node_id): leaves that may hold an answer, from (query_id, v, bound) with L2 bounds."""
+    if fits(tree):
+        held = tree.nodes.sparkSession.sparkContext.broadcast(levels_of(tree))
+
+        def run(batches):
+            for b in batches:
+                ids = b.column("query_id").to_numpy()
+                for at in range(0, len(b), 256):
+                    part = b.slice(at, 256)
+                    row, leaf = _open_local(held.value, A.matrix(part.column("v")), part.column("bound").to_numpy(), farthest)
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[at : at + 256][row]), pa.array(leaf)], names=["query_id", "node_id"])
+
+        return q.select("query_id", "v", "bound").mapInArrow(run, "query_id long, node_id long")
     nodes = tree.nodes.select("node_id", F.col("parent_id").alias("up"), "level", "centroid", "radius")
     root = nodes.where("up IS NULL").select(F.col("node_id").alias("at"))
     now = q.join(F.broadcast(root), how="cross")  # the one root
@@ -263,30 +314,41 @@ def _open_within(tree: BlockTree, q: DataFrame, farthest: bool) -> DataFrame:
     return now.select("query_id", F.col("at").alias("node_id"))
 
 
-def search_exact(tree: BlockTree, q: DataFrame, k: int = 10, farthest: bool = False, exclude_self: bool = True) -> DataFrame:
-    """Exact answers: a beam search bounds the k-th distance, then every leaf the triangle inequality allows is read.
+def search_exact(tree: BlockTree, q: DataFrame, k: int = 10, farthest: bool = False, exclude_self: bool = True, beam: int = 2) -> DataFrame:
+    """Exact answers: a beam search bounds the k-th distance, then the other leaves that the triangle inequality allows are read.
 
-    For L2, and for cosine through unit vectors.
+    Bounds are L2; other metrics (l1, chebyshev, minkowski of order 3, cosine on unit vectors) are
+    brought to L2 by their norms' ratios, which depend on the dimension; for further metrics this raises.
     """
-    p = SearchParams(k=k, beam=2, farthest=farthest, exclude_self=exclude_self, node_score="bound" if farthest else "centroid")
-    q2 = prepared(tree, q)
-    first = search(tree, q, p)
+    metric = tree.params.metric
+    l2_bound(metric, np.zeros(1), max(tree.dim, 1), farthest)
+    if not tree.levels or k <= 0:
+        return q.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, dist double")
+    p = SearchParams(k=k, beam=beam, farthest=farthest, exclude_self=exclude_self, node_score="bound" if farthest and metric == "l2" else "centroid")
+    seen = stored(descend(tree, q, p).where("is_leaf").select("query_id", "node_id"), "seen")
+    first = stored(scan_leaves(tree, seen, q, p), "first")
     kth = first.groupBy("query_id").agg(F.max("rank").alias("n"), (F.min("dist") if farthest else F.max("dist")).alias("b"))
-    wide = F.lit(-1.0) if farthest else F.lit(1e300)
-    # on unit vectors 1 - cos = d^2 / 2, with d the L2 distance
-    to_l2 = F.sqrt(F.greatest(2 * F.col("b"), F.lit(0.0))) if tree.params.metric == "cosine" else F.col("b")
-    bound = F.when(F.col("n") >= k, to_l2).otherwise(wide)
-    asked = stored(q2.join(kth, "query_id", "left").select("query_id", "v", bound.alias("bound")), "bounds")
-    return scan_leaves(tree, _open_within(tree, asked, farthest), q, SearchParams(k=k, farthest=farthest, exclude_self=exclude_self))
+    factor = float(l2_bound(metric, np.ones(1), tree.dim, farthest)[0])
+    to_l2 = F.sqrt(F.greatest(2 * F.col("b"), F.lit(0.0))) if metric == "cosine" else F.col("b") * factor
+    bound = F.when(F.col("n") >= k, to_l2).otherwise(-1.0 if farthest else 1e300)
+    asked = prepared(tree, q).join(kth, "query_id", "left").select("query_id", "v", bound.alias("bound"))
+    more = _open_within(tree, asked, farthest).join(seen, ["query_id", "node_id"], "left_anti")
+    rest = scan_leaves(tree, more, q, SearchParams(k=k, farthest=farthest, exclude_self=exclude_self))
+    return exact.ranked(first.drop("rank").unionByName(rest.drop("rank")), k, farthest)
 
 
 def within(tree: BlockTree, q: DataFrame, radius: float, exclude_self: bool = True) -> DataFrame:
-    """(query_id, vec_id, dist) of all rows in an L2 radius, reading only leaves that can hold one."""
+    """(query_id, vec_id, dist) of all rows in a radius of the tree's metric (l2 or cosine), reading only leaves that can hold one."""
+    metric = tree.params.metric
+    if metric not in ("l2", "cosine"):
+        raise ValueError(f"a radius search needs an l2 or cosine tree, not {metric}")
     q2 = prepared(tree, q)
-    probes = _open_within(tree, q2.withColumn("bound", F.lit(float(radius))), False)
+    reach = float(l2_bound(metric, np.array([radius]), tree.dim, False)[0])
+    probes = _open_within(tree, q2.withColumn("bound", F.lit(reach)), False)
     rows = tree.live_rows().select("leaf_id", "vec_id", F.col("v").alias("x"))
     hit = probes.withColumnRenamed("node_id", "leaf_id").join(q2, "query_id").join(rows, "leaf_id")
-    out = hit.select("query_id", "vec_id", M.l2(F.col("v"), F.col("x")).alias("dist")).where(F.col("dist") <= radius)
+    d = M.cosine(F.col("v"), F.col("x")) if metric == "cosine" else M.l2(F.col("v"), F.col("x"))
+    out = hit.select("query_id", "vec_id", d.alias("dist")).where(F.col("dist") <= radius)
     return out.where("query_id <> vec_id") if exclude_self else out
 
 

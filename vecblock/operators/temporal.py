@@ -11,6 +11,7 @@ from pyspark.sql.window import Window
 from vecblock.functions import arrays as A
 from vecblock.functions import metrics as M
 from vecblock.operators import exact
+from vecblock.sources.stored import stored
 
 #: Queries up to which each step of a chain looks at all of them.
 DIRECT = 2_000
@@ -101,9 +102,9 @@ def order_random(q: DataFrame, seed: int = 42) -> DataFrame:
 
 def retrieved(turns: DataFrame, docs: DataFrame, k: int, metric: str = "cosine") -> DataFrame:
     """(conv_id, turn, vec_id): the k nearest documents of each turn vector (conv_id, turn, v)."""
-    q = turns.select((F.col("conv_id") * 1000 + F.col("turn")).alias("query_id"), "v")
-    got = exact.knn(docs, q, k, metric, exclude_self=False)
-    return got.select(F.floor(F.col("query_id") / 1000).cast("long").alias("conv_id"), F.pmod("query_id", F.lit(1000)).cast("long").alias("turn"), "vec_id")
+    q = stored(turns.withColumn("query_id", F.monotonically_increasing_id()), "turns")
+    got = exact.knn(docs, q.select("query_id", "v"), k, metric, exclude_self=False)
+    return got.join(q.select("query_id", "conv_id", "turn"), "query_id").select("conv_id", "turn", "vec_id")
 
 
 def turn_overlap(got: DataFrame, against: str = "first") -> DataFrame:

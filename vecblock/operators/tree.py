@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BinaryType, DoubleType, StructField, StructType
 from pyspark.sql.window import Window
 
 from vecblock.functions import arrays as A
@@ -26,7 +27,8 @@ class TreeParams:
     leaf_capacity: int = 64
     inner_capacity: int = 8
     pack: str = "subtree"
-    how: str = "grow"
+    how: str = "auto"  # 'grow' by insertion on the driver, up to DRIVER_BYTES of centroids, or 'pack', at any size; 'auto' grows where that is possible
+    split_at: float = 1.0  # fill of an inner node, as a share of its capacity, at which it splits
     order: str = "dfs"
     inner_centroid: str = "weighted"
     metric: str = "l2"
@@ -173,7 +175,7 @@ def assemble(leaves: list, params: TreeParams) -> tuple[list[tuple], dict[str, i
     """Node rows (NODES without shard) and the number of each leaf path, from leaf statistics."""
     leaves = sorted(leaves, key=lambda r: _path_key(r.leaf_path))
     cents, weights = np.array([r.centroid for r in leaves]), np.array([r.n_rows for r in leaves], np.float64)
-    levels = grow(cents, weights, params.inner_capacity) if params.how == "grow" else packed(len(leaves), params.inner_capacity)
+    levels = grow(cents, weights, params.inner_capacity, params.split_at) if params.how != "pack" else packed(len(leaves), params.inner_capacity)
     height = len(levels)
     total = [np.array([r.vec_sum for r in leaves])]
     count, center, radius = [weights.copy()], [cents], [np.array([r.radius for r in leaves])]
@@ -234,7 +236,7 @@ def build(df: DataFrame, params: TreeParams = TreeParams(), parts: Hierarchy | N
     if not head.m:
         return BlockTree(spark.createDataFrame([], NODES), spark.createDataFrame([], ROWS), params, [], 0, 0)
     if head.m * head.dim * 16 > DRIVER_BYTES:
-        nodes, names = _assemble_wide(stats, params)
+        nodes, names = _assemble_wide(_packable(stats, params), params)
     else:
         rows, number = assemble(stats.collect(), params)  # checked against DRIVER_BYTES
         shard = {me: pos // params.leaves_per_shard for me, *_, pos in rows}
@@ -254,6 +256,12 @@ def _laid_out(nodes: DataFrame, rows: DataFrame, params: TreeParams, dim: int, n
     return BlockTree(nodes, spark.read.schema(ROWS).parquet(path), params, levels, dim, n, version, deleted)
 
 
+def _packable(stats: DataFrame, params: TreeParams) -> DataFrame:
+    if params.how == "grow":
+        raise ValueError("growing inner nodes holds all leaf centroids on the driver, and they exceed DRIVER_BYTES: build with how='pack'")
+    return stats
+
+
 def _assemble_wide(stats: DataFrame, params: TreeParams) -> tuple[DataFrame, DataFrame]:
     """Bottom-up packing without the driver: number the leaves by path, group each level by capacity."""
     from vecblock.functions import metrics as M
@@ -358,10 +366,40 @@ def balance(nodes: DataFrame) -> DataFrame:
 # --- versions on disk -----------------------------------------------------------
 
 
-def save(tree: BlockTree, path: str, store_dtype: str = "double") -> str:
+def refresh_centroids(tree: BlockTree) -> BlockTree:
+    """Sums, centroids and radii of all nodes from the rows that are alive, bottom up; ids and shape stay."""
+    from vecblock.functions import metrics as M
+
+    def far(rows: DataFrame, to: DataFrame, key: str, center: str, extra) -> DataFrame:
+        both = rows.join(to.select(F.col("node_id").alias(key), F.col("centroid").alias("c")), key)
+        return both.groupBy(key).agg(F.max(M.l2(F.col(center), F.col("c")) + extra).alias("radius"))
+
+    live = tree.live_rows().select("leaf_id", "v")
+    fixed = tree.nodes.drop("n_rows", "vec_sum", "centroid", "radius")
+    total = M.vector_sum(live, ["leaf_id"]).join(live.groupBy("leaf_id").agg(F.count("*").alias("n_rows")), "leaf_id")
+    now = total.select(F.col("leaf_id").alias("node_id"), "n_rows", F.col("v").alias("vec_sum"), F.transform("v", lambda x: x / F.col("n_rows")).alias("centroid"))
+    now = stored(now.join(far(live, now, "leaf_id", "v", F.lit(0.0)).withColumnRenamed("leaf_id", "node_id"), "node_id"), "level")
+    made = [now]
+    for level in range(tree.height - 1, -1, -1):
+        up = tree.nodes.where(F.col("level") == level + 1).select("node_id", F.col("parent_id").alias("up"))
+        kids = now.join(up, "node_id")
+        total = M.vector_sum(kids, ["up"], "vec_sum").join(kids.groupBy("up").agg(F.sum("n_rows").alias("n_rows")), "up")
+        above = total.select(F.col("up").alias("node_id"), "n_rows", "vec_sum", F.transform("vec_sum", lambda x: x / F.col("n_rows")).alias("centroid"))
+        reach = far(kids.select("up", "centroid", F.col("radius").alias("r")), above, "up", "centroid", F.col("r"))
+        now = stored(above.join(reach.withColumnRenamed("up", "node_id"), "node_id"), "level")
+        made.append(now)
+    every = made[0]
+    for m in made[1:]:
+        every = every.unionByName(m)
+    nodes = fixed.join(every, "node_id").select(*tree.nodes.columns)
+    return replace(tree, nodes=stored(nodes, "nodes"), version=tree.version + 1)
+
+
+def save(tree: BlockTree, path: str, store_dtype: str = "double", links: DataFrame | None = None) -> str:
     """Write a version: data first, its manifest last; a reader sees whole versions only.
 
     'float16' and 'int8' store vectors small; readers re-score in double what they decode.
+    ``links`` (src, dst, dist, src_leaf, dst_leaf) are optional, sorted by their source's leaf.
     """
     spark = tree.nodes.sparkSession
     base = f"{path}/v{tree.version:06d}"
@@ -369,9 +407,11 @@ def save(tree: BlockTree, path: str, store_dtype: str = "double") -> str:
     place = tree.nodes.select(F.col("node_id").alias("leaf_id"), "node_order")
     rows = tree.live_rows().join(place, "leaf_id").repartitionByRange("shard", "node_order").sortWithinPartitions("shard", "node_order", "d_centroid", "vec_id").drop("node_order")
     encode(rows, store_dtype).write.partitionBy("shard").parquet(f"{base}/rows")
+    if links is not None:
+        links.repartitionByRange("src_leaf").sortWithinPartitions("src_leaf", "src", "dist", "dst").write.parquet(f"{base}/links")
     params = asdict(tree.params)
     n = tree.live_rows().count() if tree.deleted is not None else tree.n
-    write_json(spark, {"version": tree.version, "dim": tree.dim, "n": n, "levels": tree.levels, "params": params, "dtype": store_dtype}, f"{base}/manifest")
+    write_json(spark, {"version": tree.version, "dim": tree.dim, "n": n, "levels": tree.levels, "params": params, "dtype": store_dtype, "links": links is not None}, f"{base}/manifest")
     return base
 
 
@@ -382,13 +422,7 @@ def encode(rows: DataFrame, dtype: str) -> DataFrame:
         scale = F.greatest(F.array_max(F.transform("v", lambda x: F.abs(x))) / 127.0, F.lit(1e-300))
         return rows.withColumn("scale", scale).withColumn("v", F.transform("v", lambda x: F.round(x / F.col("scale")).cast("tinyint")))
     if dtype == "float16":
-        from pyspark.sql.functions import pandas_udf
-
-        @pandas_udf("binary")
-        def half(v):
-            return v.map(lambda x: np.asarray(x, np.float16).tobytes())
-
-        return rows.withColumn("v", half("v"))
+        return _recoded(rows, BinaryType(), _to_half)
     raise ValueError(f"unknown storage type {dtype}")
 
 
@@ -397,13 +431,30 @@ def decode(rows: DataFrame, dtype: str) -> DataFrame:
         return rows
     if dtype == "int8":
         return rows.withColumn("v", F.transform("v", lambda x: x * F.col("scale"))).drop("scale")
-    from pyspark.sql.functions import pandas_udf
+    return _recoded(rows, ArrayType(DoubleType()), _from_half)
 
-    @pandas_udf("array<double>")
-    def full(v):
-        return v.map(lambda x: np.frombuffer(x, np.float16).astype(np.float64))
 
-    return rows.withColumn("v", full("v"))
+def _to_half(col: pa.Array) -> pa.Array:
+    half = np.ascontiguousarray(A.matrix(col).astype(np.float16))
+    off = np.arange(len(col) + 1, dtype=np.int32) * (half.shape[1] * 2)
+    return pa.Array.from_buffers(pa.binary(), len(col), [None, pa.py_buffer(off), pa.py_buffer(half)])
+
+
+def _from_half(col: pa.Array) -> pa.Array:
+    off = np.frombuffer(col.buffers()[1], np.int32, len(col) + 1, 4 * col.offset)
+    flat = np.frombuffer(col.buffers()[2], np.uint8)[off[0] : off[-1]].view(np.float16)
+    return A.lists(flat.astype(np.float64).reshape(len(col), -1)) if len(col) else pa.array([], pa.list_(pa.float64()))
+
+
+def _recoded(rows: DataFrame, kind, f) -> DataFrame:
+    """Column v by a kernel over whole Arrow batches."""
+    schema = StructType([StructField("v", kind) if x.name == "v" else x for x in rows.schema.fields])
+
+    def run(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([f(c) if name == "v" else c for name, c in zip(b.schema.names, b.columns)], names=b.schema.names)
+
+    return rows.mapInArrow(run, schema)
 
 
 def versions(spark: SparkSession, path: str) -> list[int]:
@@ -424,6 +475,13 @@ def open_tree(spark: SparkSession, path: str, version: int | None = None) -> Blo
     return BlockTree(spark.read.schema(NODES).parquet(f"{base}/nodes"), rows, params, m["levels"], m["dim"], m["n"], version)
 
 
+def open_links(spark: SparkSession, path: str, version: int | None = None) -> DataFrame | None:
+    """The links saved with a version, or None."""
+    version = versions(spark, path)[-1] if version is None else version
+    base = f"{path}/v{version:06d}"
+    return spark.read.parquet(f"{base}/links") if read_json(spark, f"{base}/manifest").get("links") else None
+
+
 def vacuum(spark: SparkSession, path: str, keep: int = 2) -> list[int]:
     """Remove all but the newest ``keep`` versions."""
     old = versions(spark, path)[:-keep] if keep else []

@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from vecblock.functions import arrays as A
 from vecblock.functions import metrics as M
@@ -109,47 +110,55 @@ def search_view(view: View, q: DataFrame, k: int, farthest: bool = False, beam:
     return q.select("query_id", M.doubles("v").alias("v")).mapInArrow(run, "query_id long, rank int, vec_id long, dist double")
 
 
-def replay(rows: DataFrame, q_seq: DataFrame, k: int, view_size: int, trigger: str = "truth", metric: str = "l2", probe_rows: DataFrame | None = None) -> DataFrame:
-    """(session_id, seq, query_id, view_no, served_from, recall): each session's queries in order.
+def replay(rows: DataFrame, q_seq: DataFrame, k: int, view_size: int, trigger: str = "truth", metric: str = "l2", tree: BlockTree | None = None, beam: int | None = None, with_links: bool = False) -> DataFrame:
+    """(session_id, seq, query_id, view_no, served_from, recall, ids): each session's queries in order.
 
-    ``q_seq``: (session_id, seq, query_id, v).  Each query's nearest ``view_size``
-    rows are computed first for all queries at once; a session then runs by itself.
+    ``q_seq``: (session_id, seq, query_id, v).  Each query's nearest ``view_size`` rows
+    are found first for all queries at once; a session then runs by itself, with one copy of
+    the vectors that its views can hold.  A view answers from ``beam`` of its leaves and, ``with_links``, by walking its links.
     'truth' renews a view whose answer holds none of the true k; 'radius' when the query is farther from the
-    anchor than the view reaches; 'probe' when the best row of one leaf-sized
-    probe is not in the view.  The query that renews is answered by the new view.
+    anchor than the view reaches; 'probe' when the best row of the one leaf that ``tree``
+    leads to is not in the view.  The query that renews is answered by the new view.
+    Without a view (``view_size`` 0) every query goes to the collection.
     """
     q = q_seq.select("query_id", "v").distinct()
     wide = exact.knn(rows, q, max(k, view_size), metric)
-    mine = wide.join(rows.select("vec_id", F.col("v").alias("x")), "vec_id")
-    lists = mine.groupBy("query_id").agg(F.array_sort(F.collect_list(F.struct("rank", "vec_id", "dist", "x"))).alias("near"))
-    seq = q_seq.join(lists, "query_id").select("session_id", "seq", "query_id", M.doubles("v").alias("v"), "near")
-
-    def run(t: pa.Table) -> pa.Table:
-        got = sorted(t.to_pylist(), key=lambda r: r["seq"])
-        view, number, out = None, 0, []
-        for r in got:
-            qv = np.array(r["v"])
-            near = r["near"]
-            truth = {z["vec_id"] for z in near[:k]}
-            hits = None
-            if view is not None:
-                ids, _ = view.answer(qv, k, skip=r["query_id"])
-                hits = len(truth & set(ids.tolist()))
-                renew = {"truth": hits == 0, "radius": float(A.distance(qv, view.anchor, metric)) > view.radius, "probe": bool(near) and near[0]["vec_id"] not in set(view.ids.tolist())}[trigger]
-            if view is None or renew:
-                number += 1
-                some = near[:view_size]
-                x = np.array([z["x"] for z in some]) if some else np.zeros((0, len(qv)))
-                view = local_view(np.array([z["vec_id"] for z in some], np.int64), x, qv, metric, with_links=False)
-                ids, _ = view.answer(qv, k, skip=r["query_id"])
-                hits, where = len(truth & set(ids.tolist())), "new"
-            else:
-                where = "view"
-            out.append((r["session_id"], r["seq"], r["query_id"], number, where, hits / max(1, len(truth))))
-        cols = list(zip(*out)) or [[]] * 6
-        return pa.table([pa.array(c, k2) for c, k2 in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.float64()))], names=["session_id", "seq", "query_id", "view_no", "served_from", "recall"])
-
-    return seq.groupBy("session_id").applyInArrow(run, "session_id long, seq long, query_id long, view_no long, served_from string, recall double")
+    lists = wide.groupBy("query_id").agg(F.array_sort(F.collect_list(F.struct("rank", "vec_id"))).alias("near"))
+    probe = search(tree, q, SearchParams(k=1, beam=1)).select("query_id", F.col("vec_id").alias("probe")) if trigger == "probe" else q.select("query_id", F.lit(None).cast("long").alias("probe"))
+    seq = q_seq.join(lists, "query_id").join(probe, "query_id", "left").select("session_id", "seq", "query_id", M.doubles("v").alias("v"), F.transform("near", lambda x: x["vec_id"]).alias("near"), "probe")
+    pool = seq.select("session_id", F.explode("near").alias("vec_id")).distinct().join(rows.select("vec_id", M.doubles("v").alias("x")), "vec_id").select("session_id", "vec_id", "x")
+
+    def run(key, t: pa.Table, held: pa.Table) -> pa.Table:
+        out: list[tuple] = []
+        if len(t):
+            ids = held.column("vec_id").to_numpy()
+            order = np.argsort(ids)
+            ids, x = ids[order], A.matrix(held.column("x"))[order]
+            turn = np.argsort(t.column("seq").to_numpy(), kind="stable")
+            asked = A.matrix(t.column("v"))
+            view, number = None, 0
+            for i in turn.tolist():
+                qv, query = asked[i], t.column("query_id")[i].as_py()
+                near = t.column("near")[i].values.to_numpy()
+                truth = set(near[:k].tolist())
+                got = np.zeros(0, np.int64)
+                where = "base" if not view_size else "view"
+                renew = view is None
+                if view is not None:
+                    got, _ = view.answer(qv, k, beam, skip=query)
+                    renew = {"truth": not truth & set(got.tolist()), "radius": float(A.distance(qv, view.anchor, metric)) > view.radius, "probe": t.column("probe")[i].as_py() not in set(view.ids.tolist())}[trigger]
+                if view_size and renew:
+                    some = near[:view_size]
+                    view = local_view(some, x[np.searchsorted(ids, some)], qv, metric, with_links)
+                    got, _ = view.answer(qv, k, beam, skip=query)
+                    number, where = number + 1, "new"
+                if not view_size:
+                    got = near[:k]
+                out.append((key[0].as_py(), t.column("seq")[i].as_py(), query, number, where, len(truth & set(got.tolist())) / max(1, len(truth)), got.tolist()))
+        cols = list(zip(*out)) or [[]] * 7
+        return pa.table([pa.array(c, k2) for c, k2 in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.float64(), pa.list_(pa.int64())))], names=["session_id", "seq", "query_id", "view_no", "served_from", "recall", "ids"])
+
+    return seq.groupBy("session_id").cogroup(pool.groupBy("of_session")).applyInArrow(run, "session_id long, seq long, query_id long, view_no long, served_from string, recall double, ids array<long>")
 
 
 def survival(trace: DataFrame) -> DataFrame:
@@ -170,12 +179,15 @@ def authorised_search(view_rows: DataFrame, grants: DataFrame, asked: DataFrame,
 
     ``view_rows`` (view_id, vec_id, v), ``grants`` (user_id, view_id), ``asked`` (user_id, query_id, v).
     """
-    from pyspark.sql.window import Window
-
-    allowed = grants.join(view_rows, "view_id").select("user_id", "vec_id", F.col("v").alias("x")).dropDuplicates(["user_id", "vec_id"])
-    d = asked.join(allowed, "user_id").select("user_id", "query_id", "vec_id", M.l2(F.col("v"), F.col("x")).alias("dist")).where("query_id <> vec_id")
+    # a user's best k are among the best k of each granted view: vectors meet queries once per view, not once per user
+    q = asked.select("query_id", "v").distinct().withColumnRenamed("v", "qv")
+    views = view_rows.select("view_id", "vec_id", F.col("v").alias("x")).join(grants.select("view_id").distinct(), "view_id", "left_semi")
+    d = views.join(F.broadcast(q), F.col("query_id") != F.col("vec_id")).select("view_id", "query_id", "vec_id", M.l2(F.col("qv"), F.col("x")).alias("dist"))  # the stated questions
+    w = Window.partitionBy("view_id", "query_id").orderBy("dist", "vec_id")
+    near = d.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k).drop("r")
+    mine = asked.select("user_id", "query_id").join(grants, "user_id").join(near, ["view_id", "query_id"]).dropDuplicates(["user_id", "query_id", "vec_id"])
     w = Window.partitionBy("user_id", "query_id").orderBy("dist", "vec_id")
-    return d.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("user_id", "query_id", "rank", "vec_id", "dist")
+    return mine.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("user_id", "query_id", "rank", "vec_id", "dist")
 
 
 def to_json(view: View) -> str:

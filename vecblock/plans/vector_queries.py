@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from functools import lru_cache, partial
+from functools import lru_cache
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,7 +14,7 @@ from vecblock.operators import dissim, exact, graph, ingest, measures, partition
 from vecblock.operators.partition import PartitionParams
 from vecblock.operators.search import ALL, SearchParams
 from vecblock.sources import vectors as V
-from vecblock.sources.stored import fresh_path
+from vecblock.sources.stored import fresh_path, stored
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -208,11 +208,11 @@ def trigram_vectors(spark, sf_dir):
 @query(f"WITH {DOCV}, {TURNV}, d AS (SELECT conv_id, turn, doc_id, list_distance(tv.v, dv.v) AS d FROM tv, dv) SELECT conv_id, turn, row_number() OVER (PARTITION BY conv_id, turn ORDER BY round(d, 9), doc_id) AS rank, doc_id AS vec_id, round(d, 6) AS dist FROM d QUALIFY rank <= 3")
 def similarity_join(spark, sf_dir):
     docs, turns = V.document_vectors(spark, sf_dir), V.turn_vectors(spark, sf_dir)
-    q = turns.select((F.col("conv_id") * 1000 + F.col("turn")).alias("query_id"), "v")
-    near = exact.knn(docs, q, 20, exclude_self=False)
+    q = stored(turns.withColumn("query_id", F.monotonically_increasing_id()), "turns")
+    near = exact.knn(docs, q.select("query_id", "v"), 20, exclude_self=False)
     w = Window.partitionBy("query_id").orderBy(F.round("dist", 9), "vec_id")
     top = near.withColumn("rank", F.row_number().over(w).cast("long")).where("rank <= 3")
-    return r6(top.select(F.floor(F.col("query_id") / 1000).cast("long").alias("conv_id"), F.pmod("query_id", F.lit(1000)).cast("long").alias("turn"), "rank", "vec_id", "dist"), "dist")
+    return r6(top.join(q.select("query_id", "conv_id", "turn"), "query_id").select("conv_id", "turn", "rank", "vec_id", "dist"), "dist")
 
 
 # --- centroids, seeds and clusters -----------------------------------------------------
@@ -235,7 +235,7 @@ for _name, _f, _agg in (("centroid_by_label", M.centroid, "avg"), ("vector_sum_b
 def aggregate_function_mean(spark, sf_dir):
     from vecblock.functions import sql as S
 
-    df = V.vectors(spark, sf_dir).groupBy(F.col("label").cast("long").alias("label")).agg(S.vec_mean()("v").alias("v"))
+    df = S.vec_mean(V.vectors(spark, sf_dir).withColumn("label", F.col("label").cast("long")), ["label"])
     return r6(df.select("label", F.posexplode("v").alias("pos", "x")).withColumn("pos", F.col("pos").cast("long")), "x")
 
 
@@ -521,11 +521,11 @@ def pruned_links_equal(spark, sf_dir):
 
 def _edges_sql(far: bool) -> str:
     op = ">" if far else "<"
-    return f"WITH {BASE}, s AS (SELECT * FROM v WHERE vec_id < 60), d AS (SELECT a.vec_id AS a, b.vec_id AS b, list_distance(a.v, b.v) AS d FROM s a, s b WHERE a.vec_id <> b.vec_id) SELECT o.a, o.b, round(o.d, 6) AS dist FROM d o WHERE o.a < o.b AND NOT EXISTS (SELECT 1 FROM d x, d y WHERE x.a = o.a AND y.a = o.b AND x.b = y.b AND x.d {op} o.d AND y.d {op} o.d)"
+    return f"WITH {BASE}, d AS MATERIALIZED (SELECT a.vec_id AS a, b.vec_id AS b, list_distance(a.v, b.v) AS d FROM v a, v b WHERE a.vec_id <> b.vec_id) SELECT o.a, o.b, round(o.d, 6) AS dist FROM d o WHERE o.a < o.b AND NOT EXISTS (SELECT 1 FROM d x, d y WHERE x.a = o.a AND y.a = o.b AND x.b = y.b AND x.d {op} o.d AND y.d {op} o.d)"
 
 
-query(_edges_sql(False), "rng_edges")(lambda s, d: r6(others.rng_edges(V.vectors(s, d).where("vec_id < 60")), "dist"))
-query(_edges_sql(True), "dissim_rng_edges")(lambda s, d: r6(others.far_edges(V.vectors(s, d).where("vec_id < 60")), "dist"))
+query(_edges_sql(False), "rng_edges")(lambda s, d: r6(others.rng_edges(V.vectors(s, d)), "dist"))
+query(_edges_sql(True), "dissim_rng_edges")(lambda s, d: r6(others.far_edges(V.vectors(s, d)), "dist"))
 
 
 @query(f"WITH f AS ({knn_sql(16, base=_ALL_Q, order='d DESC, vec_id')}) SELECT x.query_id AS a, x.vec_id AS b FROM f x JOIN f y ON x.query_id = y.vec_id AND x.vec_id = y.query_id WHERE x.query_id < x.vec_id")
@@ -574,11 +574,11 @@ def view_routing(spark, sf_dir):
     return r6(view.route(v.where("vec_id IN (1, 2, 3, 4)").select(F.col("vec_id").alias("view_id"), "v"), V.queries_of(v)), "dist")
 
 
-@query(f"WITH {BASE}, g AS (SELECT c_custkey AS user_id, CAST(c_custkey % 10 AS BIGINT) AS view_id FROM customer WHERE c_custkey % 100 < 3), d AS (SELECT user_id, query_id, vec_id, list_distance(qv, v) AS d FROM g JOIN v ON v.label = g.view_id, q WHERE query_id % 50 = 0 AND query_id <> vec_id) SELECT user_id, query_id, row_number() OVER (PARTITION BY user_id, query_id ORDER BY d, vec_id) AS rank, vec_id, round(d, 6) AS dist FROM d QUALIFY rank <= 3")
+@query(f"WITH {BASE}, g AS (SELECT c_custkey AS user_id, CAST(c_custkey % 10 AS BIGINT) AS view_id FROM customer), d AS (SELECT user_id, query_id, vec_id, list_distance(qv, v) AS d FROM g JOIN v ON v.label = g.view_id, q WHERE query_id <> vec_id) SELECT user_id, query_id, row_number() OVER (PARTITION BY user_id, query_id ORDER BY d, vec_id) AS rank, vec_id, round(d, 6) AS dist FROM d QUALIFY rank <= 3")
 def view_access(spark, sf_dir):
     v = V.vectors(spark, sf_dir)
-    grants = V.table(spark, sf_dir, "customer").where("c_custkey % 100 < 3").select(F.col("c_custkey").alias("user_id"), (F.col("c_custkey") % 10).alias("view_id"))
-    asked = grants.select("user_id").distinct().join(F.broadcast(V.queries_of(v).where("query_id % 50 = 0")), how="cross")  # each user asks the same few questions
+    grants = V.table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("user_id"), (F.col("c_custkey") % 10).alias("view_id"))
+    asked = grants.select("user_id").distinct().join(F.broadcast(V.queries_of(v)), how="cross")  # each user asks the stated questions
     got = view.authorised_search(v.select(F.col("label").cast("long").alias("view_id"), "vec_id", "v"), grants, asked, 3)
     return r6(got.withColumn("rank", F.col("rank").cast("long")), "dist")
 
@@ -604,13 +604,13 @@ def survival_radius(spark, sf_dir):
 
 @query(f"""WITH RECURSIVE {BASE}, n AS (SELECT query_id, vec_id, row_number() OVER (PARTITION BY query_id ORDER BY list_distance(qv, v), vec_id) AS rank FROM q, v WHERE query_id <> vec_id),
 vw AS (SELECT query_id AS anchor, vec_id FROM n WHERE rank <= 50),
-hit AS (SELECT a.query_id AS anchor, b.query_id AS asked, (SELECT count(*) FROM (SELECT w.vec_id FROM vw w, v x, q y WHERE w.anchor = a.query_id AND x.vec_id = w.vec_id AND y.query_id = b.query_id AND w.vec_id <> b.query_id ORDER BY list_distance(y.qv, x.v), w.vec_id LIMIT 10) t WHERE t.vec_id IN (SELECT vec_id FROM n WHERE n.query_id = b.query_id AND rank <= 10)) AS h FROM q a, q b WHERE a.query_id < 100 AND b.query_id < 100),
+hit AS (SELECT a.query_id AS anchor, b.query_id AS asked, (SELECT count(*) FROM (SELECT w.vec_id FROM vw w, v x, q y WHERE w.anchor = a.query_id AND x.vec_id = w.vec_id AND y.query_id = b.query_id AND w.vec_id <> b.query_id ORDER BY list_distance(y.qv, x.v), w.vec_id LIMIT 10) t WHERE t.vec_id IN (SELECT vec_id FROM n WHERE n.query_id = b.query_id AND rank <= 10)) AS h FROM q a, q b),
 run AS (SELECT CAST(0 AS BIGINT) AS query_id, CAST(0 AS BIGINT) AS anchor, CAST(1 AS BIGINT) AS view_no UNION ALL
 SELECT run.query_id + 10, CASE WHEN hit.h = 0 THEN run.query_id + 10 ELSE run.anchor END, run.view_no + CASE WHEN hit.h = 0 THEN 1 ELSE 0 END FROM run JOIN hit ON hit.anchor = run.anchor AND hit.asked = run.query_id + 10)
 SELECT query_id, view_no FROM run""")
 def survival_fixture(spark, sf_dir):
     v = V.vectors(spark, sf_dir)
-    q = V.queries_of(v).where("query_id < 100").select(F.lit(0).cast("long").alias("session_id"), F.col("query_id").alias("seq"), "query_id", "v")
+    q = V.queries_of(v).select(F.lit(0).cast("long").alias("session_id"), F.col("query_id").alias("seq"), "query_id", "v")
     return view.replay(v, q, 10, 50).select("query_id", "view_no")
 
 
@@ -626,17 +626,12 @@ def query_order_random(spark, sf_dir):
     return temporal.order_random(V.queries_of(V.vectors(spark, sf_dir)))
 
 
-def _whole_log(spark, sf_dir):
+def _log(spark, sf_dir):
     """All events as an access log: users as nodes, in event order."""
     return V.table(spark, sf_dir, "events").select(F.col("event_id").alias("seq"), F.floor(F.col("event_id") / 4).cast("long").alias("query_id"), F.pmod("user_id", F.lit(97)).alias("node_id"))
 
 
-def _log(spark, sf_dir):
-    """The part of the log that the quadratic SQL covers."""
-    return _whole_log(spark, sf_dir).where("seq < 4000")
-
-
-LOG = "log AS (SELECT event_id AS seq, CAST(floor(event_id / 4) AS BIGINT) AS query_id, user_id % 97 AS node_id FROM events WHERE event_id < 4000)"
+LOG = "log AS (SELECT event_id AS seq, CAST(floor(event_id / 4) AS BIGINT) AS query_id, user_id % 97 AS node_id FROM events)"
 LRU = f"{LOG}, p AS (SELECT seq, query_id, node_id, lag(seq) OVER (PARTITION BY node_id ORDER BY seq) AS prev FROM log), h AS (SELECT seq, query_id, node_id, coalesce(prev IS NOT NULL AND (SELECT count(DISTINCT b.node_id) FROM log b WHERE b.seq > p.prev AND b.seq < p.seq) < 20, FALSE) AS hit FROM p)"
 
 
@@ -692,11 +687,6 @@ def io_pages(spark, sf_dir, log=_log):
     return measures.io_curve(measures.page_log(log, pages)).agg(F.sum("reads").alias("page_reads"))
 
 
-# The same measures over the whole log; their SQL would be too slow there.
-for _f in (lru_stack_distance, lru_replayed, warmup_curve, io_lru, io_first_touch, hops_mean, distance_count, touched_fraction, seek_distance, io_pages):
-    query(name=f"{_f.__name__}_all")(partial(_f, log=_whole_log))
-
-
 def _overlap_sql(rule: str) -> str:
     return f"""WITH {DOCV}, {TURNV}, g AS (SELECT conv_id, turn, doc_id FROM tv, dv QUALIFY row_number() OVER (PARTITION BY conv_id, turn ORDER BY list_cosine_distance(tv.v, dv.v), doc_id) <= 10),
 t AS (SELECT conv_id, turn, row_number() OVER (PARTITION BY conv_id ORDER BY turn) AS nth FROM (SELECT DISTINCT conv_id, turn FROM g)), h AS (SELECT conv_id, nth, doc_id FROM g JOIN t USING (conv_id, turn)),
@@ -884,15 +874,14 @@ for _kind in ("csv", "json", "orc"):
 
 @query(knn_sql(5))
 def table_function_search(spark, sf_dir):
-    import numpy as np
-
+    """A lateral search in a saved index at full beam."""
     from vecblock.functions import sql as S
 
-    v = V.vectors(spark, sf_dir)
-    rows = v.orderBy("vec_id").collect()  # a view's worth of rows
-    spark.udtf.register("vec_search", S.search_table(np.array([r.v for r in rows]), np.array([r.vec_id for r in rows])))
-    V.queries_of(v).createOrReplaceTempView("vecblock_q")
-    return long_rank(spark.sql("SELECT s.* FROM vecblock_q q, LATERAL vec_search(q.query_id, q.v, 5) s"))
+    path = fresh_path(spark, "index")
+    tree.save(_tree(spark, sf_dir), path)
+    spark.udtf.register("vec_search", S.search_table(spark, path))
+    V.queries_of(V.vectors(spark, sf_dir)).createOrReplaceTempView("vecblock_q")
+    return long_rank(spark.sql(f"SELECT s.* FROM vecblock_q q, LATERAL vec_search(q.query_id, q.v, 5, {ALL}) s"))
 
 
 @query(f"WITH {BASE} SELECT row_number() OVER (ORDER BY list_distance((SELECT qv FROM q WHERE query_id = 0), v), vec_id) AS rank, vec_id, round(list_distance((SELECT qv FROM q WHERE query_id = 0), v), 6) AS dist FROM v QUALIFY rank <= 10")

@@ -7,13 +7,14 @@ and the better guide at these sizes.
 from __future__ import annotations
 
 import time
+from functools import lru_cache
 
-import numpy as np
 from pyspark.sql import functions as F
 
 from vecblock.baselines import graphs as G
 from vecblock.baselines import others
-from vecblock.operators import dissim, exact, graph, ingest, measures, search, temporal, tree, view
+from vecblock.functions import metrics as M
+from vecblock.operators import cache, dissim, exact, graph, ingest, measures, search, temporal, tree, view
 from vecblock.operators.partition import PartitionParams
 from vecblock.operators.search import ALL, SearchParams
 from vecblock.plans.vector_queries import PARAMS, _sessions, _tree
@@ -26,8 +27,10 @@ SOURCES = {"raw": V.vectors, "hubs": V.hubs}
 
 
 def query(f):
-    QUERIES[f.__name__] = f
-    return f
+    """Register an experiment; one session runs it once per set of tables."""
+    once = lru_cache(maxsize=2)(f)
+    QUERIES[f.__name__] = once
+    return once
 
 
 def rows(spark, data, schema: str):
@@ -42,6 +45,35 @@ def _recall(found, truth, k=10) -> float:
     return float(measures.recall(found, truth, k).first().recall or 0.0)
 
 
+#: Recall at which methods are compared.
+TARGET = 0.95
+
+
+def _avg(df, column: str) -> float:
+    return float(df.agg(F.avg(column)).first()[0] or 0.0)
+
+
+def _first_width(run, truth, widths, k=10):
+    """(width, recall, answer, seconds) of the first width whose answer reaches TARGET, or of the last."""
+    for w in widths:
+        start = time.perf_counter()
+        found = stored(run(w), "found")
+        seconds = time.perf_counter() - start
+        recall = _recall(found.select("query_id", "rank", "vec_id"), truth, k)
+        if recall >= TARGET:
+            break
+    return w, recall, found, seconds
+
+
+def _ranked(found, far=False):
+    """A graph's rows before the merge, merged, with the hops and vectors of each query."""
+    per = found.select("query_id", "hops", "n_seen").groupBy("query_id").agg(F.sum("hops").alias("hops"), F.sum("n_seen").alias("n_seen"))
+    return G.merged(found, 10, far).join(per, "query_id") if "rank" not in found.columns else found
+
+
+BEAMS, EFS = (1, 2, 4, 8, 16, ALL), (10, 20, 50, 100, 200, 500, 1200)
+
+
 def beam_curve(spark, sf_dir, beams=(1, 2, 4, 8)):
     """Recall against leaves and rows read, easy and hard input."""
     out = []
@@ -61,7 +93,7 @@ def beam_curve(spark, sf_dir, beams=(1, 2, 4, 8)):
 
 @query
 def w_memory_curves(spark, sf_dir):
-    """Recall, throughput and hops of every method over its own width."""
+    """Recall and throughput of every method over its own width, on all cores and in one task."""
     out = []
     for kind, source in SOURCES.items():
         v = source(spark, sf_dir)
@@ -69,21 +101,21 @@ def w_memory_curves(spark, sf_dir):
         n = q.count()
         t = _tree(spark, sf_dir, kind)
         links = stored(graph.build_links(t, 8, 4), "links")
+        graphs = {name: G.build(v, name, degree=8, ef_build=32, width=32) for name in ("layered", "disk_graph", "tree_rng")}
         for k in (10, 100):
             truth = _truth(v, q, k)
-            for beam in (1, 4, 8):
-                for name, ln in (("tree", None), ("tree_links", links)):
+            for threads, asked in (("all", q), ("one", q.coalesce(1))):
+                for beam in (1, 2, 4, 8, 16, ALL) if threads == "all" else (4,):
+                    for name, ln in (("tree", None), ("tree_links", links)):
+                        start = time.perf_counter()
+                        found = stored(search.search(t, asked, SearchParams(k=k, beam=beam), ln), "found")
+                        out.append((kind, name, threads, min(beam, t.levels[-1]), k, _recall(found, truth, k), n / (time.perf_counter() - start)))
+            for name, g in graphs.items():
+                for ef in (k, 50, 200, 1200) if k == 10 else (k, 200):
                     start = time.perf_counter()
-                    found = stored(search.search(t, q, SearchParams(k=k, beam=beam), ln), "found")
-                    out.append((kind, name, beam, k, _recall(found, truth, k), n / (time.perf_counter() - start)))
-        truth = _truth(v, q)
-        for name in ("layered", "disk_graph", "tree_rng"):
-            g = G.build(v, name, degree=8, ef_build=32, width=32)
-            for ef in (10, 50):
-                start = time.perf_counter()
-                found = stored(G.merged(G.search(g, q, 10, ef), 10), "found")
-                out.append((kind, name, ef, 10, _recall(found, truth), n / (time.perf_counter() - start)))
-    return rows(spark, out, "input string, method string, width int, k int, recall double, qps double")
+                    found = stored(G.merged(G.search(g, q, k, ef), k), "found")
+                    out.append((kind, name, "one", ef, k, _recall(found, truth, k), n / (time.perf_counter() - start)))
+    return rows(spark, out, "input string, method string, threads string, width int, k int, recall double, qps double")
 
 
 @query
@@ -106,39 +138,53 @@ def w_build_time(spark, sf_dir):
 
 @query
 def w_cpu_proxies(spark, sf_dir):
-    """Stand-ins for hardware counters: leaf reads, bytes and gaps between reads, for a disk order by depth and a random one."""
+    """Stand-ins for hardware counters at the width where each method reaches the target recall.
+
+    A read is a leaf of the tree or a vector of a graph; a gap is the distance on disk between consecutive
+    reads, in leaves or rows; a graph's rows lie in the order of their ids.
+    """
     out = []
-    v = V.hubs(spark, sf_dir)
-    q = V.queries_of(v)
-    t = _tree(spark, sf_dir, "hubs")
-    log = stored(search.descend(t, q, SearchParams(beam=4)).where("is_leaf"), "log")
+    v = stored(V.hubs(spark, sf_dir), "v")
+    q = stored(V.queries_of(v), "q")
+    n, truth, t = q.count(), _truth(v, q), _tree(spark, sf_dir, "hubs")
+    beam, recall, _, seconds = _first_width(lambda b: search.search(t, q, SearchParams(beam=b)), truth, BEAMS)
+    log = stored(search.descend(t, q, SearchParams(beam=beam)).where("is_leaf"), "log")
     for order in ("dfs", "random"):
         rank = F.col("node_order") if order == "dfs" else F.row_number().over(search.Window.orderBy(F.md5(F.col("node_id").cast("string"))))
-        place = t.nodes.where("is_leaf").select("node_id", "n_rows", rank.alias("node_order"))
-        w = search.Window.orderBy("query_id", "node_order")
-        placed = log.join(place, "node_id").withColumn("seq", F.row_number().over(w))
+        place = t.nodes.where("is_leaf").select("node_id", "n_rows", F.row_number().over(search.Window.orderBy(rank)).alias("node_order"))
+        placed = log.join(place, "node_id").withColumn("seq", F.row_number().over(search.Window.orderBy("query_id", "node_order")))
         gap = measures.seek_distance(placed).first()
-        per = placed.agg((F.count("*") / F.count_distinct("query_id")).alias("r"), (F.sum("n_rows") * t.dim * 8 / F.count_distinct("query_id")).alias("b")).first()
-        out.append((order, float(per.r), float(per.b), float(gap.mean_gap or 0), float(gap.sequential or 0)))
-    return rows(spark, out, "layout string, reads_per_query double, bytes_per_query double, mean_gap double, sequential double")
+        per = placed.agg((F.count("*") / n).alias("r"), (F.sum("n_rows") * t.dim * 8 / n).alias("b")).first()
+        out.append((f"tree_{order}", min(beam, t.levels[-1]), recall, float(per.r), float(per.b), float(gap.mean_gap or 0), float(gap.sequential or 0), n / seconds))
+    for name in ("layered", "disk_graph", "tree_rng"):
+        g = G.build(v, name, degree=8, ef_build=32, width=32)
+        ef, recall, found, seconds = _first_width(lambda w, g=g: _ranked(G.search(g, q, 10, w)), truth, EFS)
+        steps = G.trace(g, q, 10, ef).withColumn("node_order", F.col("vec_id")).withColumn("seq", F.row_number().over(search.Window.orderBy("query_id", "step")))
+        gap = measures.seek_distance(steps).first()
+        seen = _avg(found.select("query_id", "n_seen").distinct(), "n_seen")
+        out.append((name, ef, recall, seen, seen * t.dim * 8, float(gap.mean_gap or 0), float(gap.sequential or 0), n / seconds))
+    return rows(spark, out, "method string, width int, recall double, reads_per_query double, bytes_per_query double, mean_gap double, sequential double, qps double")
 
 
 @query
 def w_disk(spark, sf_dir):
-    """An index read from its files: recall, milliseconds and rows per query."""
-    v = V.rolled(V.hubs(spark, sf_dir), 4)
-    t = tree.build(v, PARAMS)
-    path = fresh_path(spark, "index")
-    tree.save(t, path)
-    opened = tree.open_tree(spark, path)
-    q = V.queries_of(v).where("query_id < 500")
-    n, truth = q.count(), _truth(v, q)
+    """An index read from its files, nothing cached: recall, milliseconds and megabytes per query, for two sizes."""
     out = []
-    for beam in (1, 4, 16):
-        start = time.perf_counter()
-        found = stored(search.search(opened, q, SearchParams(beam=beam)), "found")
-        out.append((beam, _recall(found, truth), 1000 * (time.perf_counter() - start) / max(1, n)))
-    return rows(spark, out, "beam int, recall double, ms_per_query double")
+    for times in (4, 16):
+        v = stored(V.rolled(V.hubs(spark, sf_dir), times), "v")
+        t = tree.build(v, PARAMS)
+        path = fresh_path(spark, "index")
+        tree.save(t, path)
+        opened = tree.open_tree(spark, path)
+        q = stored(V.queries_of(v), "q")
+        n, truth = q.count(), _truth(v, q)
+        for beam in (1, 4, 16):
+            start = time.perf_counter()
+            found = stored(search.search(opened, q, SearchParams(beam=beam)), "found")
+            ms = measures.latency_ms(n, time.perf_counter() - start)
+            read = search.descend(opened, q, SearchParams(beam=beam)).where("is_leaf").join(opened.nodes.select("node_id", "n_rows"), "node_id").agg(F.sum("n_rows")).first()[0]
+            out.append((t.n, beam, _recall(found, truth), ms, read * (8 * t.dim + 8) / n / 1e6))
+    return rows(spark, out, "n long, beam int, recall double, ms_per_query double, mb_per_query double")
 
 
 def _leaf_log(spark, sf_dir, order: str, kind: str = "hubs", beam: int = 2):
@@ -150,44 +196,61 @@ def _leaf_log(spark, sf_dir, order: str, kind: str = "hubs", beam: int = 2):
 
 @query
 def w_lru(spark, sf_dir):
-    """Hit rate and resident nodes as queries go on, from an empty and a half-filled cache."""
-    log = _leaf_log(spark, sf_dir, "correlated").withColumn("trace", F.lit(0).cast("long"))
-    m = _tree(spark, sf_dir, "hubs").levels[-1]
-    leaves = [x.node_id for x in _tree(spark, sf_dir, "hubs").nodes.where("is_leaf").orderBy("node_id").limit(m // 2).collect()]
+    """Hit rate, resident bytes and bytes read as queries go on, served through a bounded cache of leaves that starts empty or half full."""
+    _, s = _sessions(spark, sf_dir)
+    s = stored(s, "s")
+    t = _tree(spark, sf_dir, "hubs")
+    whole = t.n * (8 * t.dim + 8)
     out = None
-    for share in (0.1, 0.25, 0.5):
-        for start in ("zero", "half"):
-            cap = max(1, int(m * share))
-            got = measures.lru_replay(log, cap, leaves if start == "half" else None)
-            part = got.groupBy(F.floor(F.col("seq") / 25).cast("long").alias("bucket")).agg(F.avg(F.col("hit").cast("double")).alias("hit_rate"), F.max("resident").alias("resident")).select(F.lit(cap).alias("capacity"), F.lit(start).alias("start"), "bucket", "hit_rate", "resident")
+    for share in (0.25, 0.5):
+        for start, preload in (("zero", 0.0), ("half", 0.5)):
+            held = cache.LeafCache(t, int(whole * share), preload)
+            held.search(s, SearchParams(beam=2, batch_size=16), order="seq")
+            part = held.accesses().groupBy(F.floor(F.col("seq") / 25).cast("long").alias("bucket")).agg(F.avg(F.col("hit").cast("double")).alias("hit_rate"), F.max("resident").alias("resident"), F.max("resident_bytes").alias("resident_bytes"))
+            part = part.select(F.lit(held.max_bytes).alias("capacity_bytes"), F.lit(start).alias("start"), "bucket", "hit_rate", "resident", "resident_bytes", F.lit(held.peak).alias("peak_bytes"), F.lit(held.bytes_read).alias("bytes_read"))
             out = part if out is None else out.union(part)
     return out
 
 
 @query
 def w_hops(spark, sf_dir):
-    """Vectors and nodes visited for a recall, by degree, tree with links beside a layered graph."""
+    """Rows whose links are read (and, in the tree, nodes opened) until the target recall, by degree."""
     v = stored(V.hubs(spark, sf_dir), "v")
     q, t = stored(V.queries_of(v), "q"), _tree(spark, sf_dir, "hubs")
     truth = _truth(v, q)
+    nodes = {b: _avg(search.descend(t, q, SearchParams(beam=b)).groupBy("query_id").agg(F.count("*").alias("n")), "n") for b in (1, 2)}
     out = []
-    for degree in (4, 8, 16):
+    for degree in (4, 8, 16, 32):
         links = stored(graph.build_links(t, degree, 4), "links")
-        seeds = search.search(t, q, SearchParams(beam=2))
-        got = stored(graph.greedy(seeds, links, v, q, 10), "found")
-        out.append((degree, "tree_links", _recall(got, truth), float(got.select("query_id", "hops").distinct().agg(F.avg("hops")).first()[0] or 0)))
-        single = stored(graph.greedy(graph.random_seeds(q, v), links, v, q, 10), "found")
-        out.append((degree, "links_one_random_seed", _recall(single, truth), float(single.select("query_id", "hops").distinct().agg(F.avg("hops")).first()[0] or 0)))
-        g = stored(G.search(G.build(v, "layered", degree=degree, ef_build=64), q, 10, 50), "found")
-        out.append((degree, "layered", _recall(G.merged(g, 10), truth), float(g.select("query_id", "hops").distinct().agg(F.avg("hops")).first()[0] or 0)))
-    return rows(spark, out, "degree int, method string, recall double, mean_hops double")
+        for beam in (1, 2):
+            seeds = stored(search.search(t, q, SearchParams(beam=beam)), "seeds")
+            ef, recall, got, _ = _first_width(lambda w, seeds=seeds, links=links: graph.greedy(seeds, links, v, q, 10, ef=w), truth, EFS)
+            out.append((degree, f"tree_{beam}_links", ef, recall, nodes[beam] + _avg(got.select("query_id", "hops").distinct(), "hops")))
+        single = graph.random_seeds(q, v)
+        ef, recall, got, _ = _first_width(lambda w, links=links: graph.greedy(single, links, v, q, 10, ef=w), truth, EFS)
+        out.append((degree, "links_one_random_seed", ef, recall, _avg(got.select("query_id", "hops").distinct(), "hops")))
+        for name in ("layered", "disk_graph"):
+            g = G.build(v, name, degree=degree, ef_build=64, width=64)
+            ef, recall, got, _ = _first_width(lambda w, g=g: _ranked(G.search(g, q, 10, w)), truth, EFS)
+            out.append((degree, name, ef, recall, _avg(got.select("query_id", "hops").distinct(), "hops")))
+        # without the relaxed pruning rule a flat graph is a plain pruned neighbourhood graph
+        g = G.build(v, "disk_graph", degree=degree, width=64, alpha=1.0)
+        ef, recall, got, _ = _first_width(lambda w, g=g: _ranked(G.search(g, q, 10, w)), truth, EFS)
+        out.append((degree, "flat_graph_alpha_1", ef, recall, _avg(got.select("query_id", "hops").distinct(), "hops")))
+    return rows(spark, out, "degree int, method string, width int, recall double, mean_hops double")
 
 
 @query
 def w_step_trace(spark, sf_dir):
-    """Steps of one query in the tree."""
-    q = V.queries_of(V.hubs(spark, sf_dir)).where("query_id = 10")
-    return search.descend(_tree(spark, sf_dir, "hubs"), q, SearchParams(beam=4)).select("query_id", "level", "node_id", "n_scored")
+    """Steps of one query in the tree (nodes opened) and in the layered graph (rows expanded), at the target recall of all queries."""
+    v = stored(V.hubs(spark, sf_dir), "v")
+    every, t = V.queries_of(v), _tree(spark, sf_dir, "hubs")
+    truth, q = _truth(v, every), every.where("query_id = 10")
+    beam, _, _, _ = _first_width(lambda b: search.search(t, every, SearchParams(beam=b)), truth, BEAMS)
+    tree_steps = search.descend(t, q, SearchParams(beam=beam)).select(F.lit("tree").alias("method"), (F.row_number().over(search.Window.orderBy("step")) - 1).cast("long").alias("step"), "node_id")
+    g = G.build(v, "layered", degree=8, ef_build=64)
+    ef, _, _, _ = _first_width(lambda w: _ranked(G.search(g, every, 10, w)), truth, EFS)
+    return tree_steps.union(G.trace(g, q, 10, ef).select(F.lit("layered"), "step", "vec_id"))
 
 
 @query
@@ -203,18 +266,34 @@ def w_temporal(spark, sf_dir):
 
 @query
 def w_view_survival(spark, sf_dir):
-    """Queries served per view by size, order and input."""
+    """Queries served per view, and recall while it serves, by size, order and input; 0 is no view."""
     out = None
     for kind, source in SOURCES.items():
         for order in ("correlated", "random"):
             v, s = _sessions(spark, sf_dir, source, order)
-            for size in (20, 50, 100):
-                part = view.survival(view.replay(v, s, 10, size)).agg(F.count("*").alias("views"), F.avg("served").alias("mean_served"), F.max("served").alias("longest"))
-                part = part.select(F.lit(kind).alias("input"), F.lit(order).alias("order"), F.lit(size).alias("view_size"), "views", "mean_served", "longest")
+            for size in (0, 20, 50, 100, 200):
+                trace = view.replay(v, s, 10, size, with_links=True, beam=4)
+                part = view.survival(trace).agg(F.count("*").alias("views"), F.avg("served").alias("mean_served"), F.max("served").alias("longest"))
+                recall = trace.agg(F.avg("recall").alias("recall"), F.avg(F.when(F.col("served_from") == "view", F.col("recall"))).alias("recall_served"))
+                part = part.join(recall, how="cross")  # one row each
+                part = part.select(F.lit(kind).alias("input"), F.lit(order).alias("order"), F.lit(size).alias("view_size"), "views", "mean_served", "longest", "recall", "recall_served")
                 out = part if out is None else out.union(part)
     return out
 
 
+@query
+def w_view_triggers(spark, sf_dir):
+    """Renewal by the truth, by the view's reach, and by a probe of one leaf."""
+    v, s = _sessions(spark, sf_dir)
+    t = _tree(spark, sf_dir, "hubs")
+    out = None
+    for trigger in ("truth", "radius", "probe"):
+        trace = view.replay(v, s, 10, 50, trigger=trigger, tree=t, with_links=True, beam=4)
+        part = trace.agg(F.max("view_no").alias("views"), F.avg("recall").alias("recall")).select(F.lit(trigger).alias("trigger"), "views", "recall")
+        out = part if out is None else out.union(part)
+    return out
+
+
 @query
 def w_growth(spark, sf_dir):
     """Leaves before and after inserting the other 85 %."""
@@ -235,54 +314,102 @@ def w_growth_picture(spark, sf_dir):
 
 @query
 def w_async(spark, sf_dir):
-    """A view answers the same before and after the base tree grows."""
-    v = V.hubs(spark, sf_dir)
-    q = V.queries_of(v)
+    """A reader of an opened version, and a view, answer the same while a stream commits further versions of the index."""
+    from vecblock.streaming import streams
+
+    v = stored(V.hubs(spark, sf_dir).select("vec_id", "v"), "v")
+    q = stored(V.queries_of(v), "q")
+    index, source = fresh_path(spark, "index"), fresh_path(spark, "in")
     t = tree.build(v.where("vec_id % 2 = 0"), PARAMS)
-    w = view.create(t, q.limit(1), 50)
-    before = stored(view.search_view(w, q, 5), "before")
-    grown = ingest.insert(t, v.where("vec_id % 2 = 1"))
-    after = view.search_view(w, q, 5)
-    differ = before.exceptAll(after).count()
-    return rows(spark, [(t.version, grown.version, grown.n, int(differ))], "view_version int, tree_version int, tree_rows long, answers_changed long")
+    tree.save(t, index)
+    for k in (1, 3):
+        v.where(F.col("vec_id") % 4 == k).coalesce(1).write.mode("append").parquet(source)
+    opened = tree.open_tree(spark, index)
+    w = view.create(opened, q.limit(1), 50)
+    p = SearchParams(beam=4)
+    first, seen = stored(search.search(opened, q, p), "before"), stored(view.search_view(w, q, 5), "before")
+    growing = streams.insert_stream(streams.file_stream(spark, source, v.schema), index, fresh_path(spark, "ck"))
+    out = []
+    while True:
+        running = growing.isActive
+        now = tree.versions(spark, index)[-1]
+        differ = first.exceptAll(search.search(opened, q, p)).count() + seen.exceptAll(view.search_view(w, q, 5)).count()
+        out.append((len(out), opened.version, now, running, int(differ)))
+        if not running:
+            break
+    last = tree.open_tree(spark, index)
+    out.append((len(out), last.version, last.version, False, int(first.exceptAll(search.search(last, q, p)).count() == 0)))
+    return rows(spark, out, "reading int, reader_version int, newest_version int, stream_running boolean, answers_changed long")
 
 
 @query
 def w_batch(spark, sf_dir):
-    """Throughput by batch size at one beam."""
-    v = V.hubs(spark, sf_dir)
+    """Throughput of whole searches by the number of queries handed over together, with and without links, at the target recall."""
+    v = stored(V.hubs(spark, sf_dir), "v")
     q = stored(V.queries_of(v, 2), "q")
-    n, t = q.count(), _tree(spark, sf_dir, "hubs")
-    lv = search.levels_of(t)
-    x = np.array([r.v for r in q.orderBy("query_id").collect()])
+    ids = [r.query_id for r in q.select("query_id").orderBy("query_id").collect()]  # the stated queries
+    t = _tree(spark, sf_dir, "hubs")
+    truth = _truth(v, q)
+    links = stored(graph.build_links(t, 16, 4), "links")
+    beam, _, _, _ = _first_width(lambda b: search.search(t, q, SearchParams(beam=b)), truth, BEAMS)
+    with_links, _, _, _ = _first_width(lambda b: search.search(t, q, SearchParams(beam=b), links), truth, BEAMS)
+    out = []
+    for size in (1, 4, 16, 64, 256):
+        size = min(size, len(ids))
+        asked = ids[: max(64, 4 * size) if size > 4 else 4 * size]  # a few batches of each size are timed
+        for b, ln in ((beam, None), (with_links, links)):
+            found, start = [], time.perf_counter()
+            for a in range(0, len(asked), size):
+                some = q.where(F.col("query_id").isin(asked[a : a + size]))
+                found += search.search(t, some, SearchParams(beam=b, batch_size=size), ln).collect()  # k rows per query
+            seconds = time.perf_counter() - start
+            got = rows(spark, found, "query_id long, rank int, vec_id long, dist double")
+            out.append((size, ln is not None, len(asked), _recall(got, truth.where(F.col("query_id").isin(asked))), measures.qps(len(asked), seconds)))
+    return rows(spark, out, "batch int, links boolean, queries int, recall double, qps double")
+
+
+@query
+def w_batch_served(spark, sf_dir):
+    """The same without a Spark job per batch: one process with all leaves in its cache, by the number of queries descended together."""
+    v = stored(V.hubs(spark, sf_dir), "v")
+    q, t = stored(V.queries_of(v, 2), "q"), _tree(spark, sf_dir, "hubs")
+    truth = _truth(v, q)
+    beam, _, _, _ = _first_width(lambda b: search.search(t, q, SearchParams(beam=b)), truth, BEAMS)
+    held = cache.LeafCache(t, 2 * t.n * (8 * t.dim + 8), 1.0)
     out = []
     for size in (1, 4, 16, 64, 256):
-        p = SearchParams(beam=4, batch_size=size)
         start = time.perf_counter()
-        for a in range(0, len(x), size):
-            search.descend_local(lv, x[a : a + size], p, "l2")
-        out.append((size, n / (time.perf_counter() - start)))
-    return rows(spark, out, "batch int, qps double")
+        found = held.search(q, SearchParams(beam=beam, batch_size=size))
+        out.append((size, _recall(held.rows(found), truth), measures.qps(q.count(), time.perf_counter() - start)))
+    return rows(spark, out, "batch int, recall double, qps double")
 
 
 @query
 def w_farthest(spark, sf_dir):
-    """Farthest-10 recall of the tree by beam and score, and of the dissimilarity graphs by width."""
+    """Farthest-10 recall and milliseconds of the tree by beam and score, and of the dissimilarity graphs by width."""
     out = []
-    for kind, source in SOURCES.items():
+
+    def timed(kind, method, width, find, truth, n):
+        start = time.perf_counter()
+        found = stored(find(), "found")
+        out.append((kind, method, width, _recall(found, truth), measures.latency_ms(n, time.perf_counter() - start)))
+
+    for kind, source in {**SOURCES, "parts": V.part_vectors}.items():
         v = stored(source(spark, sf_dir), "v")
-        q, t = stored(V.queries_of(v), "q"), _tree(spark, sf_dir, kind)
+        q = stored(V.queries_of(v), "q")
+        n, t = q.count(), tree.build(v, PARAMS) if kind == "parts" else _tree(spark, sf_dir, kind)
         truth = _truth(v, q, far=True)
-        for beam in (1, 4, ALL):
+        for beam in (1, 4, 16, ALL):
             for score in ("centroid", "bound"):
-                found = search.search(t, q, SearchParams(beam=beam, farthest=True, node_score=score))
-                out.append((kind, f"tree_{score}", min(beam, t.levels[-1]), _recall(found, truth)))
-        out.append((kind, "tree_exact", t.levels[-1], _recall(search.search_exact(t, q, 10, farthest=True), truth)))
+                timed(kind, f"tree_{score}", min(beam, t.levels[-1]), lambda t=t, q=q, b=beam, s=score: search.search(t, q, SearchParams(beam=b, farthest=True, node_score=s)), truth, n)
+        timed(kind, "tree_exact", t.levels[-1], lambda t=t, q=q: search.search_exact(t, q, 10, farthest=True), truth, n)
+        if kind == "parts":
+            continue  # all pairs of parts in one task would take minutes
         for rule in ("far_lune", "far_mutual"):
             g = G.build(v, rule, degree=32)
             for ef in (10, 50):
-                out.append((kind, rule, ef, _recall(G.merged(G.search(g, q, 10, ef, farthest=True), 10, True), truth)))
-    return rows(spark, out, "input string, method string, width int, recall double")
+                timed(kind, rule, ef, lambda g=g, q=q, ef=ef: G.merged(G.search(g, q, 10, ef, farthest=True), 10, True), truth, n)
+    return rows(spark, out, "input string, method string, width int, recall double, ms_per_query double")
 
 
 @query
@@ -312,47 +439,56 @@ def w_ablation_leaves(spark, sf_dir):
 
 @query
 def w_ablation_tree(spark, sf_dir):
-    """Recall at one beam by seeding, packing and capacity."""
+    """Recall, rows read and gaps between reads at one beam by seeding, packing, capacity and disk order."""
     v = stored(V.hubs(spark, sf_dir), "v")
     q = stored(V.queries_of(v), "q")
-    truth = _truth(v, q)
+    n, truth = q.count(), _truth(v, q)
     out = []
-    for init in ("d2", "farthest", "random"):
-        for how, cap in (("grow", 64), ("pack", 64), ("grow", 128)):
-            p = tree.TreeParams(leaf_capacity=cap, inner_capacity=8, how=how, partition=PartitionParams(max_cluster_rows=40, fanout=4, lloyd_iters=5, init=init))
-            t = tree.build(v, p)
-            out.append((init, how, cap, t.levels[-1], _recall(search.search(t, q, SearchParams(beam=2)), truth)))
-    return rows(spark, out, "init string, how string, leaf_capacity int, leaves int, recall double")
+    grid = [(init, how, cap, "dfs") for init in ("d2", "farthest", "random") for how, cap in (("grow", 64), ("pack", 64), ("grow", 128))]
+    for init, how, cap, order in [*grid, ("d2", "grow", 64, "bfs"), ("d2", "grow", 64, "random")]:
+        p = tree.TreeParams(leaf_capacity=cap, inner_capacity=8, how=how, order=order, partition=PartitionParams(max_cluster_rows=40, fanout=4, lloyd_iters=5, init=init))
+        t = tree.build(v, p)
+        log = stored(search.descend(t, q, SearchParams(beam=2)).where("is_leaf").join(t.nodes.select("node_id", "n_rows", "node_order"), "node_id"), "log")
+        gap = measures.seek_distance(log.withColumn("seq", F.row_number().over(search.Window.orderBy("query_id", "node_order")))).first()
+        out.append((init, how, cap, order, t.levels[-1], _recall(search.search(t, q, SearchParams(beam=2)), truth), float(log.agg(F.sum("n_rows")).first()[0]) / n, float(gap.mean_gap or 0)))
+    return rows(spark, out, "init string, how string, leaf_capacity int, layout string, leaves int, recall double, rows_read double, mean_gap double")
 
 
 @query
 def w_metrics(spark, sf_dir):
-    """Every metric at full beam: recall one."""
+    """Every metric at full beam, recall one; Mahalanobis as L2 after whitening, Hamming on signs."""
     v = V.vectors(spark, sf_dir)
-    q = V.queries_of(v)
+    sign = lambda x: (x > 0).cast("double")
+    inputs = {m: (v, m) for m in ("l2", "cosine", "l1", "chebyshev", "minkowski")}
+    inputs["mahalanobis"] = (stored(v.select("vec_id", M.whiten(F.col("v"), M.fit_whitener(v)).alias("v")), "white"), "l2")
+    inputs["hamming"] = (stored(v.select("vec_id", F.transform("v", sign).alias("v")), "signs"), "hamming")
     out = []
-    for metric in ("l2", "cosine", "l1", "chebyshev", "minkowski"):
-        t = tree.build(v, tree.TreeParams(**{**PARAMS.__dict__, "metric": metric}))
-        out.append((metric, _recall(search.search(t, q, SearchParams(beam=ALL)), exact.knn(v, q, 10, metric))))
+    for name, (x, metric) in inputs.items():
+        q = V.queries_of(x)
+        t = tree.build(x, tree.TreeParams(**{**PARAMS.__dict__, "metric": metric}))
+        out.append((name, _recall(search.search(t, q, SearchParams(beam=ALL)), exact.knn(x, q, 10, metric))))
     return rows(spark, out, "metric string, recall double")
 
 
 @query
 def w_scale(spark, sf_dir):
-    """Height and distances per query as the collection grows."""
+    """Height, distances per query (counted and predicted) and build seconds as the collection grows."""
     base = V.hubs(spark, sf_dir)
+    q = stored(V.queries_of(base), "q")
     out = []
-    for times in (1, 4, 16):
+    for times in (1, 4, 16, 64):
         v = stored(V.rolled(base, times), "v")
         start = time.perf_counter()
         t = tree.build(v, PARAMS)
         built = time.perf_counter() - start
-        q = V.queries_of(base)
-        log = search.descend(t, q, SearchParams(beam=4))
-        inner = measures.distance_count(log).agg(F.avg("n_scored")).first()[0]
-        read = log.where("is_leaf").join(t.nodes.select("node_id", "n_rows"), "node_id").groupBy("query_id").agg(F.sum("n_rows").alias("n")).agg(F.avg("n")).first()[0]
-        out.append((t.n, t.height, float(inner) + float(read), built))
-    return rows(spark, out, "n long, height int, distances_per_query double, build_seconds double")
+        log = stored(search.descend(t, q, SearchParams(beam=4)), "log")
+        inner = _avg(measures.distance_count(log), "n_scored")
+        read = _avg(log.where("is_leaf").join(t.nodes.select("node_id", "n_rows"), "node_id").groupBy("query_id").agg(F.sum("n_rows").alias("n")), "n")
+        touched = _avg(measures.touched_fraction(log, sum(t.levels)), "touched")
+        p = PARAMS
+        predicted = measures.predicted_cost(spark, t.n, p.partition.fanout, p.partition.lloyd_iters, p.leaf_capacity, 4, 4, p.inner_capacity, 1).where("step = 'search'").first().distances
+        out.append((t.n, t.height, inner + read, float(predicted), touched, built))
+    return rows(spark, out, "n long, height int, distances_per_query double, predicted double, nodes_touched double, build_seconds double")
 
 
 @query

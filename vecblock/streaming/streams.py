@@ -83,36 +83,65 @@ def run_once(stream: DataFrame, name: str, checkpoint: str, mode: str = "append"
     return spark.table(name)
 
 
-def view_sessions(turns: DataFrame, radius: float, ttl_ms: int | None = None) -> DataFrame:
-    """(session_id, seq, served_from, view_no): a live anchor per session, kept in state.
+def view_sessions(turns: DataFrame, radius: float, ttl_ms: int | None = None, rows: DataFrame | None = None, k: int = 5, view_size: int = 100) -> DataFrame:
+    """(session_id, seq, served_from, view_no, ids): a live view per session, kept in state.
 
     ``turns``: (session_id, seq, v).  A query within ``radius`` of the session's
-    anchor is served from its view; others renew it.  ``ttl_ms`` forgets idle
+    anchor is answered by its view, others renew it from ``rows`` (vec_id, v), a collection that fits into a task;
+    without ``rows`` only the anchor is kept and ids are null.  ``ttl_ms`` forgets idle
     sessions by processing time, which keeps a query running (no availableNow).
     Needs the RocksDB state store.
     """
+    import numpy as np
     import pandas as pd
     from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
+    from vecblock.functions import arrays as A
+    from vecblock.operators import graph, view as W
+
+    held = None
+    if rows is not None:
+        size = rows.agg((F.count("*") * F.max(F.size("v")) * 8).alias("b")).first().b or 0
+        if size > graph.LOCAL_BYTES:
+            raise ValueError("the rows exceed LOCAL_BYTES: serve views from replay()")
+        got = rows.select("vec_id", F.col("v").cast("array<double>").alias("v")).orderBy("vec_id").toArrow()  # at most LOCAL_BYTES
+        held = turns.sparkSession.sparkContext.broadcast((got.column("vec_id").to_numpy(), A.matrix(got.column("v"))))
+
     class Live(StatefulProcessor):
         def init(self, handle: StatefulProcessorHandle) -> None:
-            self.state = handle.getValueState("view", "anchor string, no long", ttlDurationMs=ttl_ms)
+            self.state = handle.getValueState("view", "anchor string, no long, view string", ttlDurationMs=ttl_ms)
 
         def handleInputRows(self, key, rows, timerValues):
             got = pd.concat(list(rows)).sort_values("seq")
             had = self.state.get() if self.state.exists() else None
             anchor, no = (json.loads(had[0]), had[1]) if had else (None, 0)
+            view = W.from_json(had[2]) if had and had[2] else None
             out = []
             for seq, v in zip(got["seq"], got["v"]):
                 v = [float(x) for x in v]
                 near = anchor is not None and math.dist(anchor, v) <= radius
                 if not near:
                     anchor, no = v, no + 1
-                out.append((int(key[0]), int(seq), "view" if near else "new", int(no)))
-            self.state.update((json.dumps(anchor), no))
-            yield pd.DataFrame(out, columns=["session_id", "seq", "served_from", "view_no"])
+                    if held is not None:
+                        ids, x = held.value
+                        _, found, _ = A.block_topk(np.array([v]), x, ids, view_size, "l2")
+                        view = W.local_view(found, x[np.searchsorted(ids, found)], np.array(v), with_links=True)
+                answer = view.answer(np.array(v), k)[0].tolist() if view is not None else None
+                out.append((int(key[0]), int(seq), "view" if near else "new", int(no), answer))
+            self.state.update((json.dumps(anchor), no, W.to_json(view) if view is not None else None))
+            yield pd.DataFrame(out, columns=["session_id", "seq", "served_from", "view_no", "ids"])
 
         def close(self) -> None:
             return
 
-    return turns.groupBy("session_id").transformWithStateInPandas(Live(), "session_id long, seq long, served_from string, view_no long", "append", "none" if ttl_ms is None else "processingTime")
+    return turns.groupBy("session_id").transformWithStateInPandas(Live(), "session_id long, seq long, served_from string, view_no long, ids array<long>", "append", "none" if ttl_ms is None else "processingTime")
+
+
+def queries_with_index(stream: DataFrame, found: DataFrame) -> DataFrame:
+    """Stream-static join: arriving (query_id, ...) beside the answers (query_id, rank, vec_id, dist) of an index version."""
+    return stream.join(found, "query_id")
+
+
+def rate_stream(spark: SparkSession, rows_per_second: int = 10) -> DataFrame:
+    """(timestamp, value) from Spark's own clock source, for soak tests."""
+    return spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
