@@ -61,7 +61,7 @@ TIGHT = 17
 #: Shingles and sets of one block of a cluster; the larger block counts.
 BLOCK, BLOCK_SETS = 1 << 14, 128
 #: Sets that visit the blocks of a cluster together.
-PARTY = 1024
+PARTY = 128
 #: Keys of more rows than HOT and a HOT_KEYS-th of all rows are joined by broadcast: HOT_KEYS keys at most.
 HOT, HOT_KEYS = 200, 100_000
 _U = np.uint64
