@@ -126,7 +126,7 @@ def replay(rows: DataFrame, q_seq: DataFrame, k: int, view_size: int, trigger: s
     lists = wide.groupBy("query_id").agg(F.array_sort(F.collect_list(F.struct("rank", "vec_id"))).alias("near"))
     probe = search(tree, q, SearchParams(k=1, beam=1)).select("query_id", F.col("vec_id").alias("probe")) if trigger == "probe" else q.select("query_id", F.lit(None).cast("long").alias("probe"))
     seq = q_seq.join(lists, "query_id").join(probe, "query_id", "left").select("session_id", "seq", "query_id", M.doubles("v").alias("v"), F.transform("near", lambda x: x["vec_id"]).alias("near"), "probe")
-    pool = seq.select("session_id", F.explode("near").alias("vec_id")).distinct().join(rows.select("vec_id", M.doubles("v").alias("x")), "vec_id").select("session_id", "vec_id", "x")
+    pool = seq.select("session_id", F.explode("near").alias("vec_id")).distinct().join(rows.select("vec_id", M.doubles("v").alias("x")), "vec_id").select(F.col("session_id").alias("of_session"), "vec_id", "x")
 
     def run(key, t: pa.Table, held: pa.Table) -> pa.Table:
         out: list[tuple] = []
