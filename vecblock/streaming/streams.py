@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 
 from vecblock.operators import ingest, tree as T
 
+#: Bytes of vectors that live views are made from.
+SERVED_BYTES = 16 << 20
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
 
@@ -87,7 +89,7 @@ def view_sessions(turns: DataFrame, radius: float, ttl_ms: int | None = None, ro
     """(session_id, seq, served_from, view_no, ids): a live view per session, kept in state.
 
     ``turns``: (session_id, seq, v).  A query within ``radius`` of the session's
-    anchor is answered by its view, others renew it from ``rows`` (vec_id, v), a collection that fits into a task;
+    anchor is answered by its view, others renew it from ``rows`` (vec_id, v), a collection of at most SERVED_BYTES;
     without ``rows`` only the anchor is kept and ids are null.  ``ttl_ms`` forgets idle
     sessions by processing time, which keeps a query running (no availableNow).
     Needs the RocksDB state store.
@@ -97,15 +99,15 @@ def view_sessions(turns: DataFrame, radius: float, ttl_ms: int | None = None, ro
     from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
     from vecblock.functions import arrays as A
-    from vecblock.operators import graph, view as W
+    from vecblock.operators import view as W
 
     held = None
     if rows is not None:
         size = rows.agg((F.count("*") * F.max(F.size("v")) * 8).alias("b")).first().b or 0
-        if size > graph.LOCAL_BYTES:
-            raise ValueError("the rows exceed LOCAL_BYTES: serve views from replay()")
-        got = rows.select("vec_id", F.col("v").cast("array<double>").alias("v")).orderBy("vec_id").toArrow()  # at most LOCAL_BYTES
-        held = turns.sparkSession.sparkContext.broadcast((got.column("vec_id").to_numpy(), A.matrix(got.column("v"))))
+        if size > SERVED_BYTES:
+            raise ValueError("the rows exceed SERVED_BYTES: serve views from replay()")
+        got = rows.select("vec_id", F.col("v").cast("array<double>").alias("v")).orderBy("vec_id").toArrow()  # at most SERVED_BYTES
+        held = got.column("vec_id").to_numpy(), A.matrix(got.column("v"))  # part of the processor: it cannot see broadcasts
 
     class Live(StatefulProcessor):
         def init(self, handle: StatefulProcessorHandle) -> None:
@@ -123,7 +125,7 @@ def view_sessions(turns: DataFrame, radius: float, ttl_ms: int | None = None, ro
                 if not near:
                     anchor, no = v, no + 1
                     if held is not None:
-                        ids, x = held.value
+                        ids, x = held
                         _, found, _ = A.block_topk(np.array([v]), x, ids, view_size, "l2")
                         view = W.local_view(found, x[np.searchsorted(ids, found)], np.array(v), with_links=True)
                 answer = view.answer(np.array(v), k)[0].tolist() if view is not None else None
