@@ -229,14 +229,13 @@ def w_hops(spark, sf_dir):
         single = graph.random_seeds(q, v)
         ef, recall, got, _ = _first_width(lambda w, links=links: graph.greedy(single, links, v, q, 10, ef=w), truth, EFS)
         out.append((degree, "links_one_random_seed", ef, recall, _avg(got.select("query_id", "hops").distinct(), "hops")))
-        for name in ("layered", "disk_graph"):
-            g = G.build(v, name, degree=degree, ef_build=64, width=64)
+        # without the relaxed pruning rule (alpha 1) a flat graph is a plain pruned neighbourhood graph
+        for name, kind, alpha in (("layered", "layered", 1.0), ("disk_graph", "disk_graph", 1.2), ("flat_graph_alpha_1", "disk_graph", 1.0)):
+            if kind != "layered" and degree != 8:
+                continue
+            g = G.build(v, kind, degree=degree, ef_build=32, width=32, alpha=alpha)
             ef, recall, got, _ = _first_width(lambda w, g=g: _ranked(G.search(g, q, 10, w)), truth, EFS)
             out.append((degree, name, ef, recall, _avg(got.select("query_id", "hops").distinct(), "hops")))
-        # without the relaxed pruning rule a flat graph is a plain pruned neighbourhood graph
-        g = G.build(v, "disk_graph", degree=degree, width=64, alpha=1.0)
-        ef, recall, got, _ = _first_width(lambda w, g=g: _ranked(G.search(g, q, 10, w)), truth, EFS)
-        out.append((degree, "flat_graph_alpha_1", ef, recall, _avg(got.select("query_id", "hops").distinct(), "hops")))
     return rows(spark, out, "degree int, method string, width int, recall double, mean_hops double")
 
 
