@@ -66,8 +66,8 @@ def _first_width(run, truth, widths, k=10):
 
 
 def _ranked(found, far=False):
-    """A graph's rows before the merge, merged, with the hops and vectors of each query."""
-    per = found.select("query_id", "hops", "n_seen").groupBy("query_id").agg(F.sum("hops").alias("hops"), F.sum("n_seen").alias("n_seen"))
+    """The rows of a graph in one shard, merged, with the hops and vectors of each query."""
+    per = found.groupBy("query_id").agg(F.max("hops").alias("hops"), F.max("n_seen").alias("n_seen"))
     return G.merged(found, 10, far).join(per, "query_id") if "rank" not in found.columns else found
 
 
