@@ -1,4 +1,4 @@
-"""The measures over the whole access log, beyond the part that has SQL."""
+"""The measures over the whole access log, replayed event by event."""
 
 from __future__ import annotations
 
@@ -23,10 +23,10 @@ def test_whole_log(spark):
         cache[node] = True
         if len(cache) > 20:
             cache.popitem(last=False)
-    for name in ("lru_stack_distance_all", "lru_replayed_all"):
+    for name in ("lru_stack_distance", "lru_replayed"):
         assert sorted(map(tuple, QUERIES[name](spark, SF).select("seq", "node_id", "hit").collect())) == want
-    assert sum(r.reads for r in QUERIES["io_lru_all"](spark, SF).collect()) == sum(not h for _, _, h in want)
-    assert sum(r.accesses for r in QUERIES["warmup_curve_all"](spark, SF).collect()) == len(rows)
-    assert sum(r.reads for r in QUERIES["io_first_touch_all"](spark, SF).collect()) == len({n for _, n in rows})
+    assert sum(r.reads for r in QUERIES["io_lru"](spark, SF).collect()) == sum(not h for _, _, h in want)
+    assert sum(r.accesses for r in QUERIES["warmup_curve"](spark, SF).collect()) == len(rows)
+    assert sum(r.reads for r in QUERIES["io_first_touch"](spark, SF).collect()) == len({n for _, n in rows})
     for name in ("hops_mean", "distance_count", "touched_fraction", "seek_distance", "io_pages"):
-        assert QUERIES[f"{name}_all"](spark, SF).count() > 0
+        assert QUERIES[name](spark, SF).count() > 0
