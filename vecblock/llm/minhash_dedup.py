@@ -504,7 +504,7 @@ def _visit(sets: DataFrame, guests: DataFrame, percent: int, few: bool) -> DataF
 def _heads(members: DataFrame, forests: DataFrame) -> DataFrame:
     """(rep): the HEADS members (cluster, rep) of each cluster with most candidate links."""
     degree = forests.select(F.col("u").alias("rep")).union(forests.select("v")).groupBy("rep").agg(F.count("*").alias("k"))
-    some = members.join(degree, "rep").withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(256)))
+    some = members.join(degree, "rep").withColumn("salt", F.pmod(F.xxhash64("rep"), F.lit(16)))
     for by in (["cluster", "salt"], ["cluster"]):  # the few best of each part, then of all
         w = Window.partitionBy(*by).orderBy(F.desc("k"), "rep")
         some = some.withColumn("r", F.row_number().over(w)).where(F.col("r") <= HEADS)
