@@ -44,11 +44,23 @@ def _arrow(f):
     return F.arrow_udf(run, "double")
 
 
+#: Kernels over vectors in the last axis.
+FAST = {
+    "l2": lambda x, y: np.sqrt(((x - y) ** 2).sum(-1)),
+    "dot": lambda x, y: (x * y).sum(-1),
+    "cosine": lambda x, y: 1 - (x * y).sum(-1) / np.sqrt((x * x).sum(-1) * (y * y).sum(-1)),
+}
+
+
 def register_fast(spark: SparkSession) -> None:
     """The same names with suffix _fast, over Arrow batches; the rows of a batch have one dimension."""
-    spark.udf.register("vec_l2_fast", _arrow(lambda x, y: np.sqrt(((x - y) ** 2).sum(1))))
-    spark.udf.register("vec_dot_fast", _arrow(lambda x, y: (x * y).sum(1)))
-    spark.udf.register("vec_cosine_fast", _arrow(lambda x, y: 1 - (x * y).sum(1) / np.sqrt((x * x).sum(1) * (y * y).sum(1))))
+    for name, f in FAST.items():
+        spark.udf.register(f"vec_{name}_fast", _arrow(f))
+
+
+def over_packs(name: str, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """The same kernel for each row of x with each of y, where neither has been copied into pairs."""
+    return np.stack([FAST[name](one[None], y) for one in x])
 
 
 def vec_mean(df: DataFrame, keys: list[str], v: str = "v") -> DataFrame:
