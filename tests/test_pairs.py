@@ -41,7 +41,7 @@ def test_odd_vectors(spark, odd_dir, name):
     assert got.schema == want.schema and plain(got.collect()) == plain(want.collect())
 
 
-@pytest.mark.parametrize("name", ["dist_hamming"])
+@pytest.mark.parametrize("name", ["dist_hamming", "dist_hamming_packed"])
 def test_odd_signs(spark, odd_dir, name):
     sign = lambda v: F.transform(v, lambda x: (x > 0).cast("int"))
     pack = lambda v: M.sign_bits(F.slice(v, 1, 32))
@@ -64,7 +64,7 @@ def test_arrow_functions_in_packs(spark, tmp_path):
             assert l2 == pytest.approx(math.dist(x[a], x[b]), abs=1e-6) and dot == pytest.approx(float(np.dot(x[a], x[b])), abs=1e-6)
 
 
-@pytest.mark.parametrize("name", [*packed(), "dist_hamming"])
+@pytest.mark.parametrize("name", [*packed(), "dist_hamming", "dist_hamming_packed"])
 def test_no_vector_meets_a_vector_in_spark(spark, odd_dir, name):
     """Per pair, lambdas over arrays took some fifty microseconds; packs meet instead."""
     text = VQ.QUERIES[name](spark, odd_dir)._jdf.queryExecution().toString()
