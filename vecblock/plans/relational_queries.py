@@ -187,7 +187,9 @@ def agg_percentiles_approx(spark, d):
 
 @query("SELECT c_nationkey, arg_max(c_custkey, c_acctbal) AS richest, arg_min(c_custkey, c_acctbal) AS poorest, count(*) FILTER (c_acctbal < 0) AS in_debt, array_to_string(list(DISTINCT c_mktsegment ORDER BY c_mktsegment), ',') AS segments FROM customer GROUP BY c_nationkey")
 def agg_pickers(spark, d):
-    return T(spark, d, "customer").groupBy("c_nationkey").agg(F.max_by("c_custkey", "c_acctbal").alias("richest"), F.min_by("c_custkey", "c_acctbal").alias("poorest"), F.count_if(F.col("c_acctbal") < 0).alias("in_debt"), F.array_join(F.array_sort(F.collect_set("c_mktsegment")), ",").alias("segments"))
+    # of equal balances the smallest key
+    at = lambda key: F.when(F.col("c_acctbal").isNotNull(), F.struct("c_acctbal", key))
+    return T(spark, d, "customer").groupBy("c_nationkey").agg(F.max_by("c_custkey", at(-F.col("c_custkey"))).alias("richest"), F.min_by("c_custkey", at(F.col("c_custkey"))).alias("poorest"), F.count_if(F.col("c_acctbal") < 0).alias("in_debt"), F.array_join(F.array_sort(F.collect_set("c_mktsegment")), ",").alias("segments"))
 
 
 @query("SELECT c_nationkey, array_to_string(list_transform(list(c_custkey ORDER BY c_acctbal DESC, c_custkey)[1:3], lambda x: CAST(x AS VARCHAR)), ',') AS top3 FROM customer GROUP BY c_nationkey")
