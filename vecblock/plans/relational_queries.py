@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -254,12 +256,51 @@ def fn_arrays(spark, d):
 
 @query("WITH k AS (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2) SELECT a.user_id AS u, b.user_id AS w, CAST(sum(a.n * b.n) AS BIGINT) AS dot FROM k a JOIN k b USING (event_type) WHERE a.user_id < b.user_id GROUP BY 1, 2")
 def sparse_dot_map(spark, d):
-    k = T(spark, d, "events").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
-    m = k.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
-    a = m.select(F.col("user_id").alias("u"), F.explode("m").alias("t", "x"))
-    b = m.select(F.col("user_id").alias("w"), F.explode("m").alias("t", "y"))
-    # sparse vectors meet by the entries they share
-    return a.join(b, "t").where("u < w").groupBy("u", "w").agg(F.sum(F.col("x") * F.col("y")).alias("dot"))
+    k = T(spark, d, "events").where("user_id IS NOT NULL AND event_type IS NOT NULL").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
+    return sparse_dots(k)
+
+
+#: Sparse vectors of one pack.
+PACK = 512
+
+
+def sparse_dots(k):
+    """(u, w, dot) for all u < w that share an entry, from entries (user_id, event_type, n).
+
+    Packs of vectors meet and each meeting is a matrix product, so no pair is shuffled.
+    """
+    deal = 4 * k.sparkSession.sparkContext.defaultParallelism
+    users = k.groupBy("user_id").agg(F.collect_list(F.struct("event_type", "n")).alias("e"))
+    sorted_ = users.repartitionByRange(deal, "user_id").sortWithinPartitions("user_id").select("user_id", F.col("e.event_type").alias("t"), F.col("e.n").alias("n"))
+
+    def pack(batches):
+        for b in batches:
+            for a in range(0, len(b), PACK):
+                ids, t, n = (b.column(c).slice(a, PACK) for c in ("user_id", "t", "n"))
+                of = np.repeat(np.arange(len(ids)), np.diff(np.asarray(t.offsets)))
+                one = lambda x: pa.array([x.to_pylist()])
+                yield pa.RecordBatch.from_arrays([pa.array([min(ids.to_pylist())]), pa.array([max(ids.to_pylist())]), one(ids), pa.array([of.tolist()]), one(t.flatten()), one(n.flatten())], names=["lo", "hi", "ids", "at", "t", "n"])
+
+    packs = sorted_.mapInArrow(pack, "lo long, hi long, ids array<long>, at array<long>, t array<string>, n array<long>")
+    names = packs.columns
+    left, right = packs.toDF(*[f"u_{c}" for c in names]), packs.toDF(*[f"w_{c}" for c in names])
+    # both sides are shuffled, for a product reads its right side again for each part of the left
+    met = left.repartition(deal).join(right.repartition(2), F.col("u_lo") < F.col("w_hi"), "cross")
+
+    def dots(batches):
+        for b in batches:
+            for i in range(len(b)):
+                side = {c: b.column(c)[i].values for c in b.schema.names if c[2:] in ("ids", "at", "t", "n")}
+                u, w = side["u_ids"].to_numpy(), side["w_ids"].to_numpy()
+                code = pa.concat_arrays([side["u_t"], side["w_t"]]).dictionary_encode()
+                col, split = code.indices.to_numpy(), len(side["u_t"])
+                x, y = np.zeros((len(u), len(code.dictionary)), np.int64), np.zeros((len(w), len(code.dictionary)), np.int64)
+                x[side["u_at"].to_numpy(), col[:split]], y[side["w_at"].to_numpy(), col[split:]] = side["u_n"].to_numpy(), side["w_n"].to_numpy()
+                dot = x @ y.T
+                r, c = np.nonzero((dot > 0) & (u[:, None] < w[None]))  # counts are positive: a shared entry shows
+                yield pa.RecordBatch.from_arrays([pa.array(u[r]), pa.array(w[c]), pa.array(dot[r, c])], names=["u", "w", "dot"])
+
+    return met.mapInArrow(dots, "u long, w long, dot long")
 
 
 @query("SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events")
