@@ -64,15 +64,40 @@ def quantised_search(df: DataFrame, q: DataFrame, k: int, m: int = 8, centers: i
 
 
 def lsh_search(df: DataFrame, q: DataFrame, k: int, bucket: float = 2.0, tables: int = 4, radius: float = 2.0, seed: int = 42) -> DataFrame:
-    """Spark's own random-projection hashing as a control."""
+    """Spark's own random-projection hashing as a control; pairs of one bucket are scored where the rows lie."""
     from pyspark.ml.feature import BucketedRandomProjectionLSH
-    from pyspark.ml.functions import array_to_vector
+    from pyspark.ml.functions import array_to_vector, vector_to_array
 
     a = df.select("vec_id", array_to_vector(M.doubles("v")).alias("f"))
-    b = q.select("query_id", array_to_vector(M.doubles("v")).alias("f"))
+    b = q.select(F.col("query_id").alias("vec_id"), array_to_vector(M.doubles("v")).alias("f"))
     model = BucketedRandomProjectionLSH(inputCol="f", outputCol="h", bucketLength=bucket, numHashTables=tables, seed=seed).fit(a)
-    pairs = model.approxSimilarityJoin(b, a, radius, "dist").select(F.col("datasetA.query_id").alias("query_id"), F.col("datasetB.vec_id").alias("vec_id"), "dist")
-    return exact.ranked(pairs.where("query_id <> vec_id"), k)
+    # the vector and behind it its bucket in each table
+    hashed = lambda t: model.transform(t).select("vec_id", F.concat(vector_to_array("f"), *[vector_to_array(F.col("h")[j]) for j in range(tables)]).alias("v"))
+    meet = _sharing_a_bucket(k, tables, radius)
+    rows, block = hashed(a), exact.query_block(asked := hashed(b).withColumnRenamed("vec_id", "query_id"))
+    if block is None:
+        return exact.ranked(exact._on_grid(rows, asked, meet), k)
+    held = df.sparkSession.sparkContext.broadcast(block)  # at most exact.QUERY_BLOCK bytes
+    return exact.ranked(rows.mapInArrow(exact._scan(held, meet, k, False), exact.FOUND), k)
+
+
+def _sharing_a_bucket(k: int, tables: int, radius: float):
+    """The best k rows of a block for each query among those in one of its buckets and within the radius; no pair leaves the block."""
+
+    def meet(qid, q, ids, x):
+        who, found, dist = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]
+        if len(q) and len(x):
+            hq, hx, q, x = q[:, -tables:], np.ascontiguousarray(x[:, -tables:].T), q[:, :-tables], np.ascontiguousarray(x[:, :-tables])
+            for i in range(len(q)):
+                at = np.flatnonzero(np.logical_or.reduce([h == one for h, one in zip(hx, hq[i])]) & (ids != qid[i]))
+                _, near, d = A.block_topk(q[i : i + 1], x if len(at) == len(x) else x[at], ids[at], k, "l2")
+                near, d = near[d < radius], d[d < radius]
+                who.append(np.full(len(near), qid[i]))
+                found.append(near)
+                dist.append(d)
+        return np.concatenate(who), np.concatenate(found), np.concatenate(dist)
+
+    return meet
 
 
 #: Bytes of all distances between the rows of an exact edge set.
