@@ -2,8 +2,8 @@
 
 Inner levels whose centroids fit into LEVEL_BYTES are broadcast and descended
 for a whole block of queries by matrix products, in one narrow stage; larger levels are joined
-by parent.  Leaves are read where they lie: the few probes travel to them, or,
-beyond PROBE_BYTES, both sides meet by leaf.
+by parent.  Leaves are read where they lie: the few probes travel to them, many of them as
+one byte for each query and leaf; beyond PROBE_BYTES both sides meet by leaf.
 """
 
 from __future__ import annotations
@@ -233,6 +233,9 @@ def scan_leaves(tree: BlockTree, probes: DataFrame, q: DataFrame, p: SearchParam
         keep = who != found if p.exclude_self else np.ones(len(who), bool)
         return pa.table({"query_id": pa.array(who[keep], pa.int64()), "vec_id": pa.array(found[keep], pa.int64()), "dist": pa.array(dist[keep], pa.float64())})
 
+    block = exact.query_block(prepared(tree, q)) if block is None else block
+    if block is not None and len(block[0]) * tree.levels[-1] <= PROBE_BYTES:
+        return exact.ranked(_scan_dense(tree, probes, block, p, rows), k, p.farthest)
     probes = stored(probes.join(prepared(tree, q), "query_id"), "probes")
     # a leaf is bounded by its capacity; popular leaves' queries are dealt out by salt
     salted = probes.withColumn("salt", F.pmod(F.xxhash64("query_id"), F.lit(16)))
@@ -242,13 +245,60 @@ def scan_leaves(tree: BlockTree, probes: DataFrame, q: DataFrame, p: SearchParam
     return exact.ranked(found, k, p.farthest)
 
 
+def _scan_dense(tree: BlockTree, probes: DataFrame, block, p: SearchParams, rows: DataFrame) -> DataFrame:
+    """FOUND where queries open a large share of all leaves: whole batches of rows are scored, what a query did not open is left out."""
+    context, metric = rows.sparkSession.sparkContext, tree.params.metric
+    leaves = np.array([r.node_id for r in tree.nodes.where("is_leaf").select("node_id").orderBy("node_id").collect()], np.int64)  # a byte for each and query is within PROBE_BYTES
+    keys = context.broadcast((block[0], leaves))
+
+    def mark(batches):
+        ids, leaf = keys.value
+        opened = np.zeros((len(ids), len(leaf)), bool)
+        for b in batches:
+            opened[np.searchsorted(ids, b.column("query_id").to_numpy()), np.searchsorted(leaf, b.column("leaf_id").to_numpy())] = True
+        yield pa.RecordBatch.from_arrays([pa.array([np.packbits(opened).tobytes()], pa.binary())], names=["bits"])
+
+    bits = np.zeros(-(-len(block[0]) * len(leaves) // 8), np.uint8)
+    for r in probes.coalesce(16).mapInArrow(mark, "bits binary").collect():  # at most 16 times PROBE_BYTES / 8
+        bits |= np.frombuffer(r.bits, np.uint8)
+    held = context.broadcast((*block, leaves, bits))
+
+    def run(batches):
+        ids, mat, leaf, packed = held.value
+        opened = np.unpackbits(packed, count=len(ids) * len(leaf)).reshape(len(ids), len(leaf)).astype(bool)
+        best = None
+        for b in batches:
+            at, vec, x = np.searchsorted(leaf, b.column("leaf_id").to_numpy()), b.column("vec_id").to_numpy(), A.matrix(b.column("v"))
+            some = np.flatnonzero(opened[:, np.unique(at)].any(1))
+            for a in range(0, len(some), 256):
+                who = some[a : a + 256]
+                row, found, dist = A.block_topk(mat[who], x, vec, p.k + p.exclude_self, metric, p.farthest, opened[who][:, at])
+                who = ids[who[row]]
+                keep = who != found if p.exclude_self else np.ones(len(who), bool)
+                now = pa.table({"query_id": pa.array(who[keep], pa.int64()), "vec_id": pa.array(found[keep], pa.int64()), "dist": pa.array(dist[keep], pa.float64())})
+                best = now if best is None else pa.concat_tables([best, now])
+            if best is not None:
+                best = exact._cut(best, p.k, p.farthest)
+        if best is not None:
+            yield from best.cast(exact._FOUND).to_batches()
+
+    return rows.select("leaf_id", "vec_id", "v").mapInArrow(run, exact.FOUND)
+
+
+def opens_all(tree: BlockTree, p: SearchParams) -> bool:
+    return (p.max_leaves or p.beam if p.frontier == "best_first" else p.beam) >= tree.levels[-1]
+
+
 def search(tree: BlockTree, q: DataFrame, params: SearchParams = SearchParams(), links: DataFrame | None = None, allowed: DataFrame | None = None) -> DataFrame:
     """(query_id, rank, vec_id, dist); ``links`` adds greedy refinement from the tree's answer."""
     p = params
     if p.k <= 0 or not tree.levels:
         return q.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, dist double")
-    probes = descend(tree, q, p).where("is_leaf")
-    found = scan_leaves(tree, probes, q, p, allowed)
+    if opens_all(tree, p):  # no probes to list: every leaf is scanned for every query
+        rows = tree.live_rows().select("vec_id", "v")
+        found = exact.knn(rows if allowed is None else rows.join(allowed.select("vec_id"), "vec_id", "left_semi"), prepared(tree, q), p.k, tree.params.metric, p.exclude_self, p.farthest)
+    else:
+        found = scan_leaves(tree, descend(tree, q, p).where("is_leaf"), q, p, allowed)
     if links is None:
         return found
     from vecblock.operators import graph
@@ -332,7 +382,7 @@ def search_exact(tree: BlockTree, q: DataFrame, k: int = 10, farthest: bool = Fa
     to_l2 = F.sqrt(F.greatest(2 * F.col("b"), F.lit(0.0))) if metric == "cosine" else F.col("b") * factor
     bound = F.when(F.col("n") >= k, to_l2).otherwise(-1.0 if farthest else 1e300)
     asked = prepared(tree, q).join(kth, "query_id", "left").select("query_id", "v", bound.alias("bound"))
-    more = _open_within(tree, asked, farthest).join(seen, ["query_id", "node_id"], "left_anti")
+    more = stored(_open_within(tree, asked, farthest).join(seen, ["query_id", "node_id"], "left_anti"), "open")
     rest = scan_leaves(tree, more, q, SearchParams(k=k, farthest=farthest, exclude_self=exclude_self))
     return exact.ranked(first.drop("rank").unionByName(rest.drop("rank")), k, farthest)
 

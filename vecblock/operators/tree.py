@@ -246,6 +246,13 @@ def build(df: DataFrame, params: TreeParams = TreeParams(), parts: Hierarchy | N
     return _laid_out(nodes, _locate(nodes, members, names), params, head.dim, head.n)
 
 
+def with_metric(tree: BlockTree, metric: str) -> BlockTree:
+    """The same blocks searched by another metric; only cosine clusters and stores other vectors."""
+    if metric != tree.params.metric and "cosine" in (metric, tree.params.metric):
+        raise ValueError(f"a tree for {tree.params.metric} holds other vectors than one for {metric}")
+    return replace(tree, params=replace(tree.params, metric=metric))
+
+
 def _laid_out(nodes: DataFrame, rows: DataFrame, params: TreeParams, dim: int, n: int, version: int = 0, deleted: DataFrame | None = None) -> BlockTree:
     spark = nodes.sparkSession
     path = fresh_path(spark, "rows")
