@@ -113,7 +113,8 @@ def search_view(view: View, q: DataFrame, k: int, farthest: bool = False, beam:
 def replay(rows: DataFrame, q_seq: DataFrame, k: int, view_size: int, trigger: str = "truth", metric: str = "l2", tree: BlockTree | None = None, beam: int | None = None, with_links: bool = False) -> DataFrame:
     """(session_id, seq, query_id, view_no, served_from, recall, ids): each session's queries in order.
 
-    ``q_seq``: (session_id, seq, query_id, v).  Each query's nearest ``view_size`` rows
+    ``q_seq``: (session_id, seq, query_id, v), and ``view_size`` where sessions differ in it (the argument is then
+    the largest).  Each query's nearest ``view_size`` rows
     are found first for all queries at once; a session then runs by itself, with one copy of
     the vectors that its views can hold.  A view answers from ``beam`` of its leaves and, ``with_links``, by walking its links.
     'truth' renews a view whose answer holds none of the true k; 'radius' when the query is farther from the
@@ -125,7 +126,8 @@ def replay(rows: DataFrame, q_seq: DataFrame, k: int, view_size: int, trigger: s
     wide = exact.knn(rows, q, max(k, view_size), metric)
     lists = wide.groupBy("query_id").agg(F.array_sort(F.collect_list(F.struct("rank", "vec_id"))).alias("near"))
     probe = search(tree, q, SearchParams(k=1, beam=1)).select("query_id", F.col("vec_id").alias("probe")) if trigger == "probe" else q.select("query_id", F.lit(None).cast("long").alias("probe"))
-    seq = q_seq.join(lists, "query_id").join(probe, "query_id", "left").select("session_id", "seq", "query_id", M.doubles("v").alias("v"), F.transform("near", lambda x: x["vec_id"]).alias("near"), "probe")
+    size = F.col("view_size") if "view_size" in q_seq.columns else F.lit(view_size)
+    seq = q_seq.join(lists, "query_id").join(probe, "query_id", "left").select("session_id", "seq", "query_id", M.doubles("v").alias("v"), F.slice(F.transform("near", lambda x: x["vec_id"]), F.lit(1), F.greatest(F.lit(k), size)).alias("near"), "probe", size.cast("int").alias("size"))
     pool = seq.select("session_id", F.explode("near").alias("vec_id")).distinct().join(rows.select("vec_id", M.doubles("v").alias("x")), "vec_id").select(F.col("session_id").alias("of_session"), "vec_id", "x")
 
     def run(key, t: pa.Table, held: pa.Table) -> pa.Table:
@@ -136,7 +138,7 @@ def replay(rows: DataFrame, q_seq: DataFrame, k: int, view_size: int, trigger: s
             ids, x = ids[order], A.matrix(held.column("x"))[order]
             turn = np.argsort(t.column("seq").to_numpy(), kind="stable")
             asked = A.matrix(t.column("v"))
-            view, number = None, 0
+            view, number, view_size = None, 0, t.column("size")[0].as_py()
             for i in turn.tolist():
                 qv, query = asked[i], t.column("query_id")[i].as_py()
                 near = t.column("near")[i].values.to_numpy()
