@@ -13,6 +13,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -110,15 +111,18 @@ def _sums(df: DataFrame, centers: dict[str, np.ndarray]) -> list[tuple[str, int,
                     got = total.setdefault((p, c), [0, 0.0])
                     got[0] += len(part)
                     got[1] = got[1] + part.sum(0)
-        keys = list(total)
+        keys, task = list(total), TaskContext.get().partitionId()
         yield pa.RecordBatch.from_arrays(
-            [pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.int32()), pa.array([total[k][0] for k in keys], pa.int64()), pa.array([total[k][1].tolist() for k in keys], pa.list_(pa.float64()))],
-            names=["path", "cluster", "n", "v"],
+            [pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.int32()), pa.array([task] * len(keys), pa.int32()), pa.array([total[k][0] for k in keys], pa.int64()), pa.array([total[k][1].tolist() for k in keys], pa.list_(pa.float64()))],
+            names=["path", "cluster", "task", "n", "v"],
         )
 
-    part = df.select("path", M.doubles("v").alias("v")).mapInArrow(run, "path string, cluster int, n long, v array<double>")
-    n = part.groupBy("path", "cluster").agg(F.sum("n").alias("n"))
-    done = n.join(M.vector_sum(part, ["path", "cluster"]), ["path", "cluster"])
+    def add(t: pa.Table) -> pa.Table:
+        t = t.sort_by("task")
+        return pa.table({"path": t.column("path")[:1], "cluster": t.column("cluster")[:1], "n": pa.array([t.column("n").to_numpy().sum()], pa.int64()), "v": A.lists(A.matrix(t.column("v")).sum(0)[None])})
+
+    part = df.select("path", M.doubles("v").alias("v")).mapInArrow(run, "path string, cluster int, task int, n long, v array<double>")
+    done = part.groupBy("path", "cluster").applyInArrow(add, "path string, cluster int, n long, v array<double>")  # one pass over the rows
     return [(r.path, r.cluster, r.n, r.v) for r in done.collect()]  # parts x fanout rows
 
 

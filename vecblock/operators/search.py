@@ -50,19 +50,18 @@ class Levels:
 
 
 def levels_of(tree: BlockTree) -> Levels:
-    rows = tree.nodes.select("node_id", "parent_id", "level", "centroid", "radius").orderBy("level", "node_id").collect()  # checked by fits()
+    rows = tree.nodes.select("node_id", "parent_id", "level", "centroid", "radius").orderBy("level", "node_id").toArrow()  # checked by fits()
+    levels, node, radius = (rows.column(c).to_numpy() for c in ("level", "node_id", "radius"))
     ids, cents, rad, kids = [], [], [], []
     for level in range(len(tree.levels)):
-        mine = [r for r in rows if r.level == level]
-        ids.append(np.array([r.node_id for r in mine], np.int64))
-        cents.append(np.array([r.centroid for r in mine]))
-        rad.append(np.array([r.radius for r in mine]))
+        a, b = np.searchsorted(levels, [level, level + 1])
+        ids.append(node[a:b].astype(np.int64))
+        cents.append(A.matrix(rows.column("centroid").slice(a, b - a)))
+        rad.append(radius[a:b])
         if level:
-            at = {n: i for i, n in enumerate(ids[level - 1].tolist())}
-            below: list[list[int]] = [[] for _ in at]
-            for i, r in enumerate(mine):
-                below[at[r.parent_id]].append(i)
-            kids.append([np.array(b, np.int64) for b in below])
+            at = np.searchsorted(ids[level - 1], rows.column("parent_id").slice(a, b - a).to_numpy())
+            below = np.argsort(at, kind="stable")
+            kids.append(np.split(below, np.searchsorted(at[below], np.arange(1, len(ids[level - 1])))))
     return Levels(ids, cents, rad, kids)
 
 
@@ -72,9 +71,18 @@ def fits(tree: BlockTree) -> bool:
 
 def _score(q: np.ndarray, c: np.ndarray, r: np.ndarray, p: SearchParams, metric: str) -> np.ndarray:
     """Smaller is better."""
-    d = A.rough(q, c, metric)
+    return _signed(A.rough(q, c, metric), r[None], p)
+
+
+def _exact_score(q: np.ndarray, c: np.ndarray, r: np.ndarray, p: SearchParams, metric: str) -> np.ndarray:
+    """The same, row by row."""
+    d = 1.0 - (A.unit(q) * A.unit(c)).sum(1) if metric == "cosine" else A.distance(q, c, metric)
+    return _signed(d, r, p)
+
+
+def _signed(d: np.ndarray, r: np.ndarray, p: SearchParams) -> np.ndarray:
     if p.node_score == "bound":
-        d = d + r[None] if p.farthest else np.maximum(d - r[None], 0.0)
+        d = d + r if p.farthest else np.maximum(d - r, 0.0)
     return -d if p.farthest else d
 
 
@@ -117,6 +125,48 @@ def descend_local(lv: Levels, q: np.ndarray, p: SearchParams, metric: str) -> li
     return opened
 
 
+#: Rows of a level for each child of a beam from which on scoring the children alone is less work than a product with the level.
+SPARSE = 16
+
+
+def _children(kids: list[np.ndarray], node: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(place in ``node``, child) of all children."""
+    count = np.array([len(k) for k in kids], np.int64)
+    flat, many = np.concatenate(kids), count[node]
+    first = np.cumsum(count) - count
+    at = np.repeat(first[node] - (np.cumsum(many) - many), many) + np.arange(int(many.sum()))
+    return np.repeat(np.arange(len(node)), many), flat[at]
+
+
+def _places(row: np.ndarray) -> np.ndarray:
+    """Place inside its run of equal numbers."""
+    first = np.flatnonzero(np.append(True, row[1:] != row[:-1])) if len(row) else np.zeros(0, np.int64)
+    return np.arange(len(row)) - np.repeat(first, np.diff(np.append(first, len(row))))
+
+
+def descend_beam(lv: Levels, q: np.ndarray, p: SearchParams, metric: str) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """The beam of a block of queries at once: (row, step, level, index, children scored) of the opened nodes."""
+    depth, out = len(lv.ids) - 1, []
+    row, node, steps = np.arange(len(q)), np.zeros(len(q), np.int64), np.zeros(len(q), np.int64)
+    for level in range(depth + 1):
+        scored = np.array([len(k) for k in lv.children[level]], np.int64)[node] if level < depth else np.zeros(len(node), np.int64)
+        out.append((row, steps[row] + _places(row), np.full(len(row), level), node, scored))
+        if level == depth:
+            break
+        steps += np.bincount(row, minlength=len(q))
+        at, child = _children(lv.children[level], node)
+        row = row[at]
+        c, r = lv.centers[level + 1], lv.radius[level + 1]
+        if len(child) * SPARSE < len(q) * len(c):
+            s = np.concatenate([_exact_score(q[row[a : a + 8192]], c[child[a : a + 8192]], r[child[a : a + 8192]], p, metric) for a in range(0, len(child), 8192)])
+        else:
+            s = _score(q, c, r, p, metric)[row, child]
+        order = np.lexsort((child, s, row))
+        order = order[_places(row[order]) < p.beam]
+        row, node = row[order], child[order]
+    return tuple(np.concatenate(c) for c in zip(*out))
+
+
 LOG = "query_id long, step int, node_id long, level int, n_scored long, is_leaf boolean"
 
 
@@ -124,17 +174,21 @@ def _descend_broadcast(tree: BlockTree, q: DataFrame, p: SearchParams) -> DataFr
     held = tree.nodes.sparkSession.sparkContext.broadcast(levels_of(tree))
     depth, metric = tree.height, tree.params.metric
 
+    def opened(lv, v):
+        if p.frontier == "beam":
+            return descend_beam(lv, v, p, metric)
+        flat = [(i, s, *x) for i, o in enumerate(descend_local(lv, v, p, metric)) for s, x in enumerate(o)]
+        return tuple(np.array(c, np.int64) for c in zip(*flat))
+
     def run(batches):
         lv = held.value
+        ids, first = np.concatenate(lv.ids), np.cumsum([0, *map(len, lv.ids)])
         for b in batches:
             for at in range(0, len(b), p.batch_size):
                 part = b.slice(at, p.batch_size)
-                ids = part.column("query_id").to_pylist()
-                got = descend_local(lv, A.matrix(part.column("v")), p, metric) if len(part) else []
-                flat = [(i, s, int(lv.ids[level][n]), level, k, level == depth) for i, o in zip(ids, got) for s, (level, n, k) in enumerate(o)]
-                cols = list(zip(*flat)) or [[]] * 6
-                kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int32(), pa.int64(), pa.bool_()]
-                yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(cols, kinds)], names=["query_id", "step", "node_id", "level", "n_scored", "is_leaf"])
+                row, step, level, node, scored = opened(lv, A.matrix(part.column("v")))
+                columns = [pa.array(part.column("query_id").to_numpy()[row], pa.int64()), pa.array(step, pa.int32()), pa.array(ids[first[level] + node], pa.int64()), pa.array(level, pa.int32()), pa.array(scored, pa.int64()), pa.array(level == depth, pa.bool_())]
+                yield pa.RecordBatch.from_arrays(columns, names=["query_id", "step", "node_id", "level", "n_scored", "is_leaf"])
 
     return q.select("query_id", "v").mapInArrow(run, LOG)
 
@@ -188,10 +242,10 @@ def scan_leaves(tree: BlockTree, probes: DataFrame, q: DataFrame, p: SearchParam
         rows = rows.join(allowed.select("vec_id"), "vec_id", "left_semi")
     probes = probes.select("query_id", F.col("node_id").alias("leaf_id"))
     few = PROBE_BYTES // 16
-    asked = probes.limit(few + 1).toArrow()  # at most PROBE_BYTES: one row more tells that there are too many
-    block = exact.query_block(prepared(tree, q)) if len(asked) <= few else None
+    block = exact.query_block(prepared(tree, q))
+    asked = probes.limit(few + 1).toArrow() if block is not None else None  # at most PROBE_BYTES: one row more tells that there are too many
     kinds = exact._FOUND
-    if block is not None:
+    if block is not None and len(asked) <= few:
         ids, mat = block
         order = np.lexsort((asked.column("query_id").to_numpy(), asked.column("leaf_id").to_numpy()))
         leaf, who = asked.column("leaf_id").to_numpy()[order], np.searchsorted(ids, asked.column("query_id").to_numpy()[order])
@@ -225,24 +279,43 @@ def scan_leaves(tree: BlockTree, probes: DataFrame, q: DataFrame, p: SearchParam
 
         return exact.ranked(rows.select("leaf_id", "vec_id", "v").mapInArrow(run, exact.FOUND), k, p.farthest)
 
-    def meet(key, left: pa.Table, right: pa.Table) -> pa.Table:
-        qid = left.column("query_id").to_numpy()
-        x, vec = A.matrix(right.column("v")), right.column("vec_id").to_numpy()
-        row, found, dist = A.block_topk(A.matrix(left.column("v")), x, vec, k + p.exclude_self, metric, p.farthest)
-        who = qid[row] if len(row) else row
-        keep = who != found if p.exclude_self else np.ones(len(who), bool)
-        return pa.table({"query_id": pa.array(who[keep], pa.int64()), "vec_id": pa.array(found[keep], pa.int64()), "dist": pa.array(dist[keep], pa.float64())})
-
-    block = exact.query_block(prepared(tree, q)) if block is None else block
     if block is not None and len(block[0]) * tree.levels[-1] <= PROBE_BYTES:
         return exact.ranked(_scan_dense(tree, probes, block, p, rows), k, p.farthest)
-    probes = stored(probes.join(prepared(tree, q), "query_id"), "probes")
-    # a leaf is bounded by its capacity; popular leaves' queries are dealt out by salt
-    salted = probes.withColumn("salt", F.pmod(F.xxhash64("query_id"), F.lit(16)))
-    asked = salted.select(F.col("leaf_id").alias("asked"), (F.col("salt") + 0).alias("turn")).distinct()
-    wide = rows.join(asked, F.col("leaf_id") == F.col("asked")).select("leaf_id", "turn", "vec_id", "v")
-    found = salted.groupBy("leaf_id", "salt").cogroup(wide.groupBy("leaf_id", "turn")).applyInArrow(meet, exact.FOUND)
-    return exact.ranked(found, k, p.farthest)
+    return exact.ranked(_scan_met(probes, prepared(tree, q), rows, p, metric), k, p.farthest)
+
+
+#: Leaves of neighbouring ids that meet their queries in one task, and probes that do.
+MEET_LEAVES, MEET_PROBES = 64, 8192
+
+
+def _scan_met(probes: DataFrame, q: DataFrame, rows: DataFrame, p: SearchParams, metric: str) -> DataFrame:
+    """FOUND where rows and queries meet by groups of leaves; groups of many probes are dealt out, each turn with the rows of its leaves."""
+    group = F.floor(F.col("leaf_id") / MEET_LEAVES).alias("group")
+    probes = stored(probes.select("query_id", "leaf_id", group), "probes")
+    turns = probes.groupBy("group").agg(F.ceil(F.count("*") / MEET_PROBES).cast("int").alias("turns"))
+    turn = F.pmod(F.xxhash64("query_id"), F.col("turns")).cast("int").alias("turn")
+    left = probes.join(turns, "group").select("query_id", "leaf_id", "group", turn).groupBy("group", "turn", "query_id").agg(F.collect_list("leaf_id").alias("leaves")).join(q, "query_id")
+    right = rows.select("leaf_id", "vec_id", "v", group).join(turns, "group").withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("turns") - 1))).drop("turns")
+
+    def meet(key, a: pa.Table, b: pa.Table) -> pa.Table:
+        if not len(a) or not len(b):
+            return exact._FOUND.empty_table()
+        qid, q_all, x, vec = a.column("query_id").to_numpy(), A.matrix(a.column("v")), A.matrix(b.column("v")), b.column("vec_id").to_numpy()
+        wanted = a.column("leaves").combine_chunks()
+        asked, who = wanted.flatten().to_numpy(), np.repeat(np.arange(len(a)), np.diff(wanted.offsets.to_numpy()))
+        leaf = b.column("leaf_id").to_numpy()
+        by_query, by_row = np.argsort(asked, kind="stable"), np.argsort(leaf, kind="stable")
+        parts = [exact._FOUND.empty_table()]
+        for one in np.unique(asked).tolist():
+            qs, at = (order[slice(*np.searchsorted(keys[order], [one, one + 1]))] for keys, order in ((asked, by_query), (leaf, by_row)))
+            qs = who[qs]
+            row, found, dist = A.block_topk(q_all[qs], x[at], vec[at], p.k + p.exclude_self, metric, p.farthest)
+            mine = qid[qs[row]]
+            keep = mine != found if p.exclude_self else np.ones(len(mine), bool)
+            parts.append(pa.table([pa.array(mine[keep], pa.int64()), pa.array(found[keep], pa.int64()), pa.array(dist[keep], pa.float64())], schema=exact._FOUND))
+        return exact._cut(pa.concat_tables(parts), p.k, p.farthest)
+
+    return left.groupBy("group", "turn").cogroup(right.groupBy("group", "turn")).applyInArrow(meet, exact.FOUND)
 
 
 def _scan_dense(tree: BlockTree, probes: DataFrame, block, p: SearchParams, rows: DataFrame) -> DataFrame:
@@ -325,11 +398,8 @@ def _open_local(lv: Levels, q: np.ndarray, bound: np.ndarray, farthest: bool) ->
     """(query row, leaf) pairs that the triangle inequality leaves open, by matrix products level by level."""
     row, node = np.arange(len(q)), np.zeros(len(q), np.int64)
     for level in range(len(lv.ids) - 1):
-        count = np.array([len(k) for k in lv.children[level]], np.int64)
-        flat = np.concatenate(lv.children[level])
-        first = np.cumsum(count) - count
-        at = np.repeat(first[node] - (np.cumsum(count[node]) - count[node]), count[node]) + np.arange(int(count[node].sum()))
-        row, node = np.repeat(row, count[node]), flat[at]
+        at, node = _children(lv.children[level], node)
+        row = row[at]
         d = A.rough(q, lv.centers[level + 1], "l2")[row, node]
         r, b = lv.radius[level + 1][node], bound[row]
         slack = 1e-6 * (1 + np.minimum(b, 1e12) + d)  # rounding of the products

@@ -18,6 +18,8 @@ from vecblock.sources.stored import delete, fresh_path, read_json, stored, write
 
 #: Bytes of leaf centroids that the driver may hold while it grows the inner nodes.
 DRIVER_BYTES = 256 << 20
+#: Bytes of leaf names and numbers that a join may broadcast beside the rows, a name counted as 128.
+NAME_BYTES = 32 << 20
 NODES = "node_id long, parent_id long, level int, is_leaf boolean, n_children int, n_rows long, vec_sum array<double>, centroid array<double>, radius double, node_order long, shard int"
 ROWS = "shard int, leaf_id long, cluster string, vec_id long, v array<double>, d_centroid double"
 
@@ -83,26 +85,70 @@ def _leaf_stats(t: pa.Table) -> pa.Table:
     return pa.table([pa.array([t.column("leaf_path")[0].as_py()]), pa.array([len(x)], pa.int64()), A.lists(total[None]), A.lists(center[None]), pa.array([radius])], names=["leaf_path", "n_rows", "vec_sum", "centroid", "radius"])
 
 
+LEAVES = "kind int, leaf_path string, cluster string, vec_id long, v array<double>, d_centroid double, n_rows long, vec_sum array<double>, centroid array<double>, radius double"
+
+
+#: Rows of neighbouring leaves that one call of ``_leaf_rows`` gets.
+LEAF_ROWS = 4096
+
+
+def _leaf_rows(t: pa.Table) -> pa.Table:
+    """Of some whole leaves the statistics (kind 0) and the rows with their distance from the center (kind 1)."""
+    t = t.combine_chunks()
+    key = t.column("leaf_path").combine_chunks().dictionary_encode()
+    order = np.argsort(key.indices.to_numpy(), kind="stable")
+    at = key.indices.to_numpy()[order]
+    t, first = t.take(pa.array(order)), np.flatnonzero(np.append(True, at[1:] != at[:-1]))
+    x, n = A.matrix(t.column("v")), np.diff(np.append(first, len(t)))
+    total = np.add.reduceat(x, first, axis=0)
+    center = total / n[:, None]
+    away = x - center[at]
+    radius = np.maximum.reduceat(np.sqrt((away**2).sum(1)), first)
+    head = pa.table({"leaf_path": key.dictionary, "n_rows": pa.array(n, pa.int64()), "vec_sum": A.lists(total), "centroid": A.lists(center), "radius": radius})
+    body = t.select(["leaf_path", "path", "vec_id", "v"]).rename_columns(["leaf_path", "cluster", "vec_id", "v"]).append_column("d_centroid", pa.array(np.sqrt(sum(c * c for c in np.ascontiguousarray(away.T)))))
+    parts = [y.append_column("kind", pa.array([k] * len(y), pa.int32())) for k, y in enumerate((head, body))]
+    return pa.concat_tables(parts, promote_options="default").select([f.split(" ")[0] for f in LEAVES.split(", ")])
+
+
+def _named(df: DataFrame, n: int) -> DataFrame:
+    """``df`` of n names beside rows: broadcast up to NAME_BYTES."""
+    return F.broadcast(df) if n * 128 <= NAME_BYTES else df
+
+
 def _path_key(path: str) -> tuple:
     return tuple(int(x) for x in path.split(".")[1:])
 
 
 class _Inner:
-    __slots__ = ("children", "total", "weight")
+    """``means`` holds the children's centroids, with room for one child more than a node may keep."""
+
+    __slots__ = ("children", "means", "total", "weight")
 
-    def __init__(self, children, total, weight):
+    def __init__(self, children, means, total, weight, room):
         self.children, self.total, self.weight = children, total, weight
+        self.means = np.empty((room, len(total)))
+        self.means[: len(means)] = means
+
+    def mean(self):
+        return self.total / max(self.weight, 1e-300)
+
+    def nearest(self, c) -> int:
+        d = self.means[: len(self.children)] - c
+        return int((d * d).sum(1).argmin())
 
 
 def _two(x: np.ndarray) -> np.ndarray:
     """Two groups by 2-means from the farthest pair of a first row; halves if one side stays empty."""
     a = int(((x - x.mean(0)) ** 2).sum(1).argmax())
     b = int(((x - x[a]) ** 2).sum(1).argmax())
-    centers = np.stack([x[a], x[b]])
+    centers, last = np.stack([x[a], x[b]]), None
     for _ in range(8):
         at = A.nearest(x, centers)
         if at.min() == at.max():
             return np.arange(len(x)) >= len(x) // 2
+        if last is not None and (at == last).all():  # nothing moves any more
+            return at == 1
+        last = at
         centers = np.stack([x[at == c].mean(0) for c in (0, 1)])
     return A.nearest(x, centers) == 1
 
@@ -113,37 +159,40 @@ def grow(centroids: np.ndarray, weights: np.ndarray, capacity: int, split_at: fl
     Returns, from the lowest inner level up, lists of child numbers per node.
     """
     limit = max(2, int(capacity * split_at))
-    root = _Inner([], np.zeros(centroids.shape[1]), 0.0)
+    room, dim = limit + 2, centroids.shape[1]
+    root = _Inner([], np.empty((0, dim)), np.zeros(dim), 0.0, room)
     height = 1
-
-    def mean(node):
-        return centroids[node] if isinstance(node, int) else node.total / max(node.weight, 1e-300)
-
     for leaf in range(len(centroids)):
         c, w = centroids[leaf], float(weights[leaf])
-        path = [root]
+        path, places = [root], []
         for _ in range(height - 1):
-            kids = path[-1].children
-            path.append(kids[int(((np.stack([mean(k) for k in kids]) - c) ** 2).sum(1).argmin())])
-        for node in path:
+            places.append(path[-1].nearest(c))
+            path.append(path[-1].children[places[-1]])
+        for depth, node in enumerate(path):
             node.total, node.weight = node.total + w * c, node.weight + w
+            if depth:
+                path[depth - 1].means[places[depth - 1]] = node.mean()
+        path[-1].means[len(path[-1].children)] = c
         path[-1].children.append(leaf)
         for depth in range(len(path) - 1, -1, -1):
             node = path[depth]
-            if len(node.children) <= limit:
+            n = len(node.children)
+            if n <= limit:
                 break
-            side = _two(np.stack([mean(k) for k in node.children]))
+            side = _two(node.means[:n])
             parts = []
             for s in (False, True):
-                kids = [k for k, z in zip(node.children, side.tolist()) if z == s]
+                kids, means = [k for k, z in zip(node.children, side.tolist()) if z == s], node.means[:n][side == s]
                 ws = [float(weights[k]) if isinstance(k, int) else k.weight for k in kids]
-                parts.append(_Inner(kids, sum(mean(k) * x for k, x in zip(kids, ws)), sum(ws)))
+                parts.append(_Inner(kids, means, sum(m * x for m, x in zip(means, ws)), sum(ws), room))
             if depth:
-                up = path[depth - 1].children
-                at = next(i for i, k in enumerate(up) if k is node)
-                up[at : at + 1] = parts
+                up, at = path[depth - 1], places[depth - 1]
+                more = len(up.children)
+                up.means[at + 2 : more + 1] = up.means[at + 1 : more].copy()
+                up.means[at], up.means[at + 1] = parts[0].mean(), parts[1].mean()
+                up.children[at : at + 1] = parts
             else:
-                root = _Inner(parts, node.total, node.weight)
+                root = _Inner(parts, [p.mean() for p in parts], node.total, node.weight, room)
                 height += 1
     levels: list[list[list[int]]] = []
 
@@ -230,8 +279,12 @@ def build(df: DataFrame, params: TreeParams = TreeParams(), parts: Hierarchy | N
         df = df.withColumn("v", M.normalized(M.doubles("v")))
     h = parts or hierarchy(df, params.partition)
     leaf_of_cluster = cut(h.clusters, params.leaf_capacity, params.pack)
-    members = stored(h.members.join(leaf_of_cluster, "path"), "members")
-    stats = stored(members.groupBy("leaf_path").applyInArrow(_leaf_stats, "leaf_path string, n_rows long, vec_sum array<double>, centroid array<double>, radius double"), "leaves")
+    size = h.clusters.where("is_final").agg(F.count("*").alias("k"), F.sum("n").alias("n")).first()
+    some = F.pmod(F.xxhash64("leaf_path"), F.lit(max(1, (size.n or 0) // LEAF_ROWS))).alias("some")
+    leaves = h.members.join(_named(leaf_of_cluster, size.k), "path").select("path", "vec_id", "v", "leaf_path", some)
+    leaves = stored(leaves.groupBy("some").applyInArrow(_leaf_rows, LEAVES), "leaves")
+    stats = leaves.where("kind = 0").select("leaf_path", "n_rows", "vec_sum", "centroid", "radius")
+    members = leaves.where("kind = 1").select("leaf_path", "cluster", "vec_id", "v", "d_centroid")
     head = stats.agg(F.count("*").alias("m"), F.max(F.size("centroid")).alias("dim"), F.sum("n_rows").alias("n")).first()
     if not head.m:
         return BlockTree(spark.createDataFrame([], NODES), spark.createDataFrame([], ROWS), params, [], 0, 0)
@@ -240,10 +293,18 @@ def build(df: DataFrame, params: TreeParams = TreeParams(), parts: Hierarchy | N
     else:
         rows, number = assemble(stats.collect(), params)  # checked against DRIVER_BYTES
         shard = {me: pos // params.leaves_per_shard for me, *_, pos in rows}
-        nodes = spark.createDataFrame([(*r, int(shard[r[0]])) for r in rows], NODES)
-        names = spark.createDataFrame(list(number.items()), "leaf_path string, leaf_id long")
+        nodes = spark.createDataFrame(_node_table([(*r, int(shard[r[0]])) for r in rows]), NODES)
+        names = spark.createDataFrame(pa.table({"leaf_path": pa.array(list(number), pa.string()), "leaf_id": pa.array(list(number.values()), pa.int64())}), "leaf_path string, leaf_id long")
     nodes = stored(nodes, "nodes")
-    return _laid_out(nodes, _locate(nodes, members, names), params, head.dim, head.n)
+    spot = names.join(nodes.where("is_leaf").select(F.col("node_id").alias("leaf_id"), "shard"), "leaf_id")
+    return _laid_out(nodes, members.join(_named(spot, head.m), "leaf_path"), params, head.dim, head.n)
+
+
+def _node_table(rows: list[tuple]) -> pa.Table:
+    """NODES as an Arrow table."""
+    kinds = {"long": pa.int64(), "int": pa.int32(), "boolean": pa.bool_(), "double": pa.float64()}
+    names = [f.split(" ") for f in NODES.split(", ")]
+    return pa.table({name: A.lists(np.array(c)) if kind == "array<double>" else pa.array(c, kinds[kind]) for (name, kind), c in zip(names, zip(*rows))})
 
 
 def with_metric(tree: BlockTree, metric: str) -> BlockTree:
@@ -256,10 +317,10 @@ def with_metric(tree: BlockTree, metric: str) -> BlockTree:
 def _laid_out(nodes: DataFrame, rows: DataFrame, params: TreeParams, dim: int, n: int, version: int = 0, deleted: DataFrame | None = None) -> BlockTree:
     spark = nodes.sparkSession
     path = fresh_path(spark, "rows")
-    place = nodes.select(F.col("node_id").alias("leaf_id"), "node_order")
+    levels = [r.n for r in nodes.groupBy("level").agg(F.count("*").alias("n")).orderBy("level").collect()]
+    place = _named(nodes.select(F.col("node_id").alias("leaf_id"), "node_order"), sum(levels))
     laid = rows.join(place, "leaf_id").repartitionByRange("node_order").sortWithinPartitions("node_order", "d_centroid", "vec_id").drop("node_order")
     laid.select(*[f.split(" ")[0] for f in ROWS.split(", ")]).write.parquet(path)
-    levels = [r.n for r in nodes.groupBy("level").agg(F.count("*").alias("n")).orderBy("level").collect()]
     return BlockTree(nodes, spark.read.schema(ROWS).parquet(path), params, levels, dim, n, version, deleted)
 
 
@@ -411,7 +472,7 @@ def save(tree: BlockTree, path: str, store_dtype: str = "double", links: DataFra
     spark = tree.nodes.sparkSession
     base = f"{path}/v{tree.version:06d}"
     tree.nodes.write.parquet(f"{base}/nodes")
-    place = tree.nodes.select(F.col("node_id").alias("leaf_id"), "node_order")
+    place = _named(tree.nodes.select(F.col("node_id").alias("leaf_id"), "node_order"), sum(tree.levels))
     rows = tree.live_rows().join(place, "leaf_id").repartitionByRange("shard", "node_order").sortWithinPartitions("shard", "node_order", "d_centroid", "vec_id").drop("node_order")
     encode(rows, store_dtype).write.partitionBy("shard").parquet(f"{base}/rows")
     if links is not None:
